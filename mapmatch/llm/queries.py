@@ -6,8 +6,9 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import language, mixing, packing, simhash, substring, token_files, topk, urls
+from . import language, mixing, packing, simhash, spotsigs, substring, token_files, topk, urls
 from .common import table
+from .expressions import literal_rows
 
 TOKENIZER = public_tokenizers.path("word_bpe_49k.json")
 
@@ -17,7 +18,7 @@ URL_RULES = [("net", "/", "block"), ("example.net", "/en/", "allow"), ("example.
 
 
 def op1_url_filters(spark: SparkSession, sf_dir: str) -> DataFrame:
-    rules = spark.createDataFrame(URL_RULES, "host string, path string, verdict string")
+    rules = literal_rows(spark, URL_RULES, ["host", "path", "verdict"])
     return urls.judge(table(spark, sf_dir, "pages"), rules).select("page_id", "host", "path", "rule", "verdict")
 
 
@@ -34,6 +35,10 @@ def op5_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.plan(table(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", "target", "taken")
 
 
+def op6_spotsigs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return spotsigs.compare_edited(table(spark, sf_dir, "documents"))
+
+
 def op7_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_files.round_trip(table(spark, sf_dir, "documents"), TOKENIZER)
 
@@ -99,5 +104,5 @@ SELECT doc_id, len(ws)::BIGINT AS n_words, len(gone)::BIGINT AS n_removed,
 FROM f
 """
 
-QUERIES = {f.__name__: f for f in (op1_url_filters, op2_best_fit_packing, op4_exact_top_k, op5_mixing, op7_token_files, op8_simhash, op9_substring_dedup, op10_language_id)}
+QUERIES = {f.__name__: f for f in (op1_url_filters, op2_best_fit_packing, op4_exact_top_k, op5_mixing, op6_spotsigs, op7_token_files, op8_simhash, op9_substring_dedup, op10_language_id)}
 ORACLES = {"op1_url_filters": _OP1, "op4_exact_top_k": _OP4, "op5_mixing": _OP5, "op9_substring_dedup": _OP9}
