@@ -127,6 +127,26 @@ def predict(documents: DataFrame, model: Model, out: tuple[str, str] = ("lang_pr
     return source.mapInPandas(run, f"{fields}, `{out[0]}` string, `{out[1]}` double")
 
 
+def keep_identified(documents: DataFrame, model: Model, least: float = 0.5) -> DataFrame:
+    """The documents, with all their columns, whose language is found with at least this score."""
+    sent = documents.sparkSession.sparkContext.broadcast(model)
+    at = documents.columns.index("text")
+
+    def run(batches):
+        import pyarrow as pa
+
+        for batch in batches:
+            found = [sent.value.predict(t) for t in batch.column(at).to_pylist()]
+            yield batch.filter(pa.array([x != "und" and s >= least for x, s in found], pa.bool_()))
+
+    return documents.mapInArrow(run, documents.schema)
+
+
+def learnable(documents: DataFrame) -> DataFrame:
+    """The documents that training may see: those not held out; a null id teaches nothing."""
+    return documents.where(F.col("doc_id").isNotNull() & ~held_out("doc_id"))
+
+
 def held_out(doc_id: str) -> Column:
     """Whether a document belongs to the part of the data that training never sees; a null id does not."""
     return F.coalesce(F.pmod(F.crc32(F.col(doc_id).cast("string")), F.lit(4)) == 2, F.lit(False))
@@ -134,5 +154,4 @@ def held_out(doc_id: str) -> Column:
 
 def identify(documents: DataFrame) -> DataFrame:
     """doc_id, held_out, lang_pred, score of every document, learned from those not held out (a null id teaches nothing)."""
-    model = train(documents.where(F.col("doc_id").isNotNull() & ~held_out("doc_id")))
-    return predict(documents, model).select("doc_id", held_out("doc_id").alias("held_out"), "lang_pred", "score")
+    return predict(documents, train(learnable(documents))).select("doc_id", held_out("doc_id").alias("held_out"), "lang_pred", "score")

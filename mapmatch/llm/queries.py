@@ -6,7 +6,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import language, mixing, packing, simhash, spotsigs, substring, token_files, topk, urls
+from . import language, mixing, packing, pii, simhash, spotsigs, substring, token_files, topk, urls
 from .common import table
 from .expressions import literal_rows
 
@@ -26,6 +26,10 @@ def op2_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(table(spark, sf_dir, "documents"), TOKENIZER)
 
 
+def op3_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pii.find(table(spark, sf_dir, "documents"))
+
+
 def op4_exact_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:
     vectors = topk.integer_vectors(table(spark, sf_dir, "embeddings"))
     return topk.top_k(vectors, vectors.where(F.col("vec_id") % 50 == 0))
@@ -104,5 +108,5 @@ SELECT doc_id, len(ws)::BIGINT AS n_words, len(gone)::BIGINT AS n_removed,
 FROM f
 """
 
-QUERIES = {f.__name__: f for f in (op1_url_filters, op2_best_fit_packing, op4_exact_top_k, op5_mixing, op6_spotsigs, op7_token_files, op8_simhash, op9_substring_dedup, op10_language_id)}
+QUERIES = {f.__name__: f for f in (op1_url_filters, op2_best_fit_packing, op3_pii, op4_exact_top_k, op5_mixing, op6_spotsigs, op7_token_files, op8_simhash, op9_substring_dedup, op10_language_id)}
 ORACLES = {"op1_url_filters": _OP1, "op4_exact_top_k": _OP4, "op5_mixing": _OP5, "op9_substring_dedup": _OP9}

@@ -171,19 +171,27 @@ def links(distinct: DataFrame, bits: int = BITS, group: int = GROUP) -> DataFram
     return dealt.mapInPandas(compare, "a long, b long").where("a <> b").distinct()
 
 
+def _placed(docs: DataFrame, bits: int) -> DataFrame:
+    """fp, least (the smallest doc_id with it) and root (the fingerprint that names the component)."""
+    nodes = stored(docs.groupBy("fp").agg(F.min("doc_id").alias("least")), "nodes")
+    roots = connected(links(nodes.select("fp"), bits))
+    return nodes.join(roots, nodes["fp"] == roots["node"], "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
+
+
 def near_duplicates(documents: DataFrame, keep: tuple[str, ...] = ("doc_id",), bits: int = BITS) -> DataFrame:
     """The kept columns with fingerprint (16 hex digits) and component_id (the smallest doc_id reachable)."""
     docs = stored(fingerprints(documents, tuple(dict.fromkeys(("doc_id", *keep)))), "fingerprints")
-    nodes = stored(docs.groupBy("fp").agg(F.min("doc_id").alias("least")), "nodes")
-    roots = connected(links(nodes.select("fp"), bits))
-    placed = nodes.join(roots, nodes["fp"] == roots["node"], "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
+    placed = _placed(docs, bits)
     least = placed.groupBy("root").agg(F.min("least").alias("component_id"))
     named = placed.join(least, "root").select("fp", "component_id")
     return docs.join(named, "fp").select(*keep, F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
 def representatives(documents: DataFrame, bits: int = BITS) -> DataFrame:
-    """One document of each group: the one with the smallest doc_id; of rows that share it, one."""
-    found = near_duplicates(documents.select("doc_id", "text"), bits=bits)
-    first = found.where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select("doc_id").distinct()
-    return documents.dropDuplicates(["doc_id"]).join(first, "doc_id", "left_semi")
+    """One document of each component, with all its columns: that with the smallest doc_id (null last, then by a hash of the text)."""
+    mark = F.xxhash64(F.col("doc_id"), F.xxhash64("text"))
+    docs = stored(fingerprints(documents.select("doc_id", "text", mark.alias("mark")), ("doc_id", "mark")), "fingerprints")
+    placed = _placed(docs, bits).select("fp", "root")
+    first = docs.join(placed, "fp").groupBy("root").agg(F.min(F.struct(F.isnull("doc_id").alias("none"), "doc_id", "mark")).alias("x")).select(F.col("x.mark").alias("_mark"))
+    marked = documents.withColumn("_mark", mark).dropDuplicates(["_mark"])
+    return marked.join(first.distinct(), "_mark", "left_semi").select(*documents.columns)
