@@ -6,6 +6,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from .distributed import reliable
+
 
 def pack_rows(df: DataFrame, key: str | list[str], order: list[str], symbol: Column, out: str = "word") -> DataFrame:
     """One word for each key: its rows' symbols, in the order of the given columns (which must be total)."""
@@ -44,7 +46,8 @@ def index_rows(df: DataFrame, order: list[str], out: str = "i", parts: int | Non
     """
     spark = df.sparkSession
     n = parts or max(2, int(spark.conf.get("spark.sql.shuffle.partitions")))
-    ranged = df.repartitionByRange(n, *order).withColumn("_part", F.spark_partition_id())
+    # range bounds are sampled anew whenever the plan runs, so the deal is written down before it is used twice
+    ranged = reliable(df.repartitionByRange(n, *order).withColumn("_part", F.spark_partition_id()))
     inside = ranged.withColumn("_in", F.row_number().over(Window.partitionBy("_part").orderBy(*order)) - 1)
     counts = ranged.groupBy("_part").agg(F.count("*").alias("_n"))
     before = counts.withColumn("_before", F.coalesce(F.sum("_n").over(Window.orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)))
