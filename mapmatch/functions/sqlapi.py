@@ -7,6 +7,7 @@ from collections.abc import Iterator
 import pyarrow as pa
 from pyspark.sql import Column, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from ..operators.kernels import lanes_of, match_ends, walk_table
 from ..operators.match import Compiled, compiled
@@ -37,7 +38,7 @@ def map_function(p: str | Compiled):
     return automaton_map
 
 
-@F.arrow_udf("array<int>")
+@F.arrow_udf(T.ArrayType(T.IntegerType()))
 def compose_group(ix: pa.Array, image: pa.Array) -> list[int]:
     """Aggregate: the images of a group composed in the order of ix. For partial steps fold segments first."""
     order = sorted(zip(ix.to_pylist(), image.to_pylist(), strict=True))

@@ -291,4 +291,4 @@ def accepts_expression(column: Column, p: str | Compiled) -> Column:
     final = F.array(*[F.lit(bool(x)) for x in c.final])
     symbols = F.filter(F.split(column, ""), lambda s: s != "")
     end = F.aggregate(F.transform(symbols, lambda s: _class_of(c, s)), F.lit(0), lambda q, k: F.element_at(steps, q * c.classes.k + k + 1))
-    return F.element_at(final, end + 1)
+    return F.when(column.isNotNull(), F.element_at(final, end + 1))
