@@ -61,40 +61,50 @@ def lanes_of(column: pa.Array, table: np.ndarray, unit: str) -> Lanes:
     return Lanes(classes, at[:-1], length, valid)
 
 
-def _lockstep(lanes: Lanes, state: np.ndarray, step, done: np.ndarray | None = None) -> np.ndarray:
-    """Run step(state, classes) over all lanes; state's first axis is the lane. done[s] marks states that never change."""
+def _lockstep(lanes: Lanes, state: np.ndarray, step) -> np.ndarray:
+    """Run step(state, classes) over all lanes; state's first axis is the lane."""
     order = np.argsort(-lanes.length, kind="stable")
     start, length = lanes.start[order], lanes.length[order]
     state = state[order]
-    out = np.empty_like(state)
-    at = np.arange(len(order))
-    t, active = 0, int(np.searchsorted(-length, 0))
-    while active:
+    for t in range(int(length.max(initial=0))):
+        active = int(np.searchsorted(-length, -t))
         state[:active] = step(state[:active], lanes.classes[start[:active] + t])
-        t += 1
-        if done is not None and t % 64 == 0:
-            stay = done[state[:active]]
-            if stay.mean() > 0.25:
-                out[at[active:]] = state[active:]
-                gone = np.flatnonzero(stay)
-                out[at[gone]] = state[gone]
-                keep = np.flatnonzero(~stay)
-                state, start, length, at = state[keep], start[keep], length[keep], at[keep]
-                active = len(keep)
-        active = int(np.searchsorted(-length[:active], -t))
-    out[at] = state
-    back = np.empty_like(out)
-    back[order] = out
+    back = np.empty_like(state)
+    back[order] = state
     return back
 
 
 def walk_table(lanes: Lanes, delta: np.ndarray, start: int | np.ndarray = 0) -> np.ndarray:
-    """End states of all lanes: one lookup a symbol, over a deterministic automaton or a map automaton."""
+    """End states of all lanes: one lookup a symbol, over a deterministic automaton or a map automaton.
+
+    The table holds row offsets instead of states, so a step is two gathers and a sum, written in place.
+    """
     n, k = delta.shape
-    flat = np.ascontiguousarray(delta.astype(np.int32)).ravel()
+    flat = np.multiply(delta, k, dtype=np.intp).ravel()
     done = (delta == np.arange(n)[:, None]).all(axis=1)
-    state = np.full(len(lanes), start, np.int32) if np.isscalar(start) else np.asarray(start, np.int32).copy()
-    return _lockstep(lanes, state, lambda s, c: flat[s * k + c], done)
+    order = np.argsort(-lanes.length, kind="stable")
+    length, at = lanes.length[order], lanes.start[order].astype(np.intp)
+    state = (np.full(len(lanes), start, np.intp) if np.isscalar(start) else np.asarray(start, np.intp)[order]) * k
+    out, name = np.empty(len(lanes), np.int32), order
+    symbol, cell = np.empty(len(lanes), lanes.classes.dtype), np.empty(len(lanes), np.intp)
+    t = 0
+    while active := int(np.searchsorted(-length, -t)):
+        s, p, c, x = state[:active], at[:active], symbol[:active], cell[:active]
+        steps = min(int(length[active - 1]) - t, 256)
+        for _ in range(steps):
+            np.take(lanes.classes, p, out=c, mode="clip")
+            np.add(s, c, out=x)
+            np.take(flat, x, out=s, mode="clip")
+            p += 1
+        t += steps
+        stay = done[s // k]
+        if stay.mean() > 0.25:
+            gone = np.concatenate([np.flatnonzero(stay), np.arange(active, len(state))])
+            out[name[gone]] = state[gone] // k
+            keep = np.flatnonzero(~stay)
+            state, length, at, name = state[keep], length[keep], at[keep], name[keep]
+    out[name] = state // k
+    return out
 
 
 def walk_all_states(lanes: Lanes, dfa: Dfa) -> np.ndarray:

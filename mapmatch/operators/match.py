@@ -12,6 +12,7 @@ from functools import cached_property
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -202,8 +203,10 @@ def match_corpus(df: DataFrame, word_id: str, text: str, patterns: list[tuple[in
     """word_id, pattern_id of every hit: all patterns in one pass over the words.
 
     The tables of the patterns are stacked over shared symbol classes; every word is a lane for each pattern. Sets whose
-    stacked table would pass ``cells`` are split over several passes inside the same task.
+    stacked table would pass ``cells`` are split over several passes inside the same task. Words that lack a text which
+    the pattern requires are ruled out before the walk.
     """
+    from ..plans.planner import required_literal
     from ..automata.alphabet import from_sets, sets_of
 
     trees = [(i, pattern.parse(p, mode=mode)) for i, p in patterns]
@@ -216,10 +219,10 @@ def match_corpus(df: DataFrame, word_id: str, text: str, patterns: list[tuple[in
         if now and (size + len(delta)) * classes.k > cells:
             stacks.append(now)
             now, size = [], 0
-        now.append((i, delta, d.final, size))
+        now.append((i, delta, d.final, size, required_literal(tree)))
         size += len(delta)
     stacks.append(now)
-    packed = [(np.concatenate([t + at for _, t, _, at in s]).astype(np.int32), np.concatenate([f for _, _, f, _ in s]), [i for i, *_ in s], [at for *_, at in s]) for s in stacks if s]
+    packed = [(np.concatenate([t + at for _, t, _, at, _ in s]).astype(np.int32), np.concatenate([x[2] for x in s]), [(x[0], x[3], x[4]) for x in s]) for s in stacks if s]
     sent = df.sparkSession.sparkContext.broadcast((classes.table, packed))
 
     @F.arrow_udf("array<int>")
@@ -227,9 +230,11 @@ def match_corpus(df: DataFrame, word_id: str, text: str, patterns: list[tuple[in
         table, tables = sent.value
         lanes = lanes_of(word, table, "codepoint")
         found: list[list[int]] = [[] for _ in range(len(lanes))]
-        for delta, final, names, starts in tables:
-            for name, start in zip(names, starts, strict=True):
-                for row in np.flatnonzero(final[walk_table(lanes, delta, start)] & lanes.valid).tolist():
+        for delta, final, members in tables:
+            for name, start, literal in members:
+                maybe = np.flatnonzero(pc.fill_null(pc.match_substring(word, literal), False).to_numpy(zero_copy_only=False)) if literal else np.flatnonzero(lanes.valid)
+                some = kernels.Lanes(lanes.classes, lanes.start[maybe], lanes.length[maybe], lanes.valid[maybe])
+                for row in maybe[final[walk_table(some, delta, start)]].tolist():
                     found[row].append(name)
         return pa.array(found, pa.list_(pa.int32()))
 
