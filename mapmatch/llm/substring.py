@@ -7,6 +7,10 @@ probes that meet are the anchors. Around each anchor the run can only begin with
 extended there: the full windows that hold an anchor are hashed, and a window whose hash also begins in a document
 with a smaller id marks its words. Neighbouring marked windows join into maximal repeats.
 
+Documents with the same whole text are settled first: all but the one with the smallest id repeat it entirely, so they
+are neither indexed nor probed. The table of such texts is sent to all tasks only while it is below ``COPIES`` rows;
+beyond that copies go the way of all other repeats.
+
 The index is a Bloom filter, made part by part; it lets through some needless candidates but loses none. If it would
 pass ``index_bytes`` no filter is sent and every window is a candidate: slower, same result. Counts per window
 are summed before they are shuffled, marks travel as small rows, and the text is shuffled once, at the end.
@@ -17,6 +21,7 @@ id never remove each other's words; words removed are judged on the input alone;
 
 from __future__ import annotations
 
+import hashlib
 from collections.abc import Iterator
 
 import numpy as np
@@ -30,8 +35,13 @@ from .common import drop_stored, parts_for, stored
 
 #: Words of a window; the largest index that is broadcast; bits a block takes in it.
 WINDOW, INDEX_BYTES, BLOCK_BITS = 50, 256 << 20, 12
+#: The same for the index of anchors, which must be sharper: each wrong anchor makes 26 windows candidates.
+ANCHOR_BITS = 24
+#: Repeated whole texts that are broadcast (some 60 bytes each).
+COPIES = 1_000_000
 _BASES = (np.uint64(0x9E3779B97F4A7C15 | 1), np.uint64(0xD6E8FEB86659FD93 | 1))
-_PROBES = (np.uint64(0xFF51AFD7ED558CCD), np.uint64(0xC4CEB9FE1A85EC53), np.uint64(0x2127599BF4325C37))
+#: Odd factors, one for each probe of the filters.
+_PROBES = tuple(np.random.default_rng(50).integers(0, 1 << 64, 6, dtype=np.uint64) | np.uint64(1))
 
 
 def _inverse(x: np.uint64) -> np.uint64:
@@ -78,7 +88,8 @@ def rolling(hashes: np.ndarray, length: int, which: int = 0) -> np.ndarray:
 class Index:
     """Bloom filters side by side, one for each segment of the hash space."""
 
-    def __init__(self, parts: dict[int, bytes], segments: int):
+    def __init__(self, parts: dict[int, bytes], segments: int, each: int):
+        self.probes = _PROBES[: each // 4]
         sizes = [len(parts.get(s, b"\0")) for s in range(segments)]
         self.bits = np.frombuffer(b"".join(parts.get(s, b"\0") for s in range(segments)), np.uint8)
         self.start = np.concatenate([[0], np.cumsum(sizes)[:-1]])
@@ -86,17 +97,17 @@ class Index:
         self.segments = np.uint64(segments)
 
     @staticmethod
-    def build(hashes: np.ndarray) -> bytes:
-        size = 1 << max(3, int(len(hashes) * BLOCK_BITS - 1).bit_length())
+    def build(hashes: np.ndarray, each: int) -> bytes:
+        size = 1 << max(3, int(len(hashes) * each - 1).bit_length())
         bits = np.zeros(size, bool)
-        for p in _PROBES:
+        for p in _PROBES[: each // 4]:
             bits[(hashes * p >> np.uint64(20)) & np.uint64(size - 1)] = True
         return np.packbits(bits, bitorder="little").tobytes()
 
     def positions(self, hashes: np.ndarray) -> np.ndarray:
         """Where the index may hold the hash."""
         at = np.arange(len(hashes))
-        for p in _PROBES:
+        for p in self.probes:
             h = hashes[at]
             segment = (h % self.segments).astype(np.int64)
             bit = (h * p >> np.uint64(20)) & self.mask[segment]
@@ -114,13 +125,29 @@ def _by_segment(hashes: np.ndarray, segments: int, kind: int) -> pd.DataFrame:
     return pd.DataFrame({"segment": np.arange(segments), "kind": kind, "hashes": [distinct[order[a:b]].tobytes() for a, b in zip(cuts[:-1], cuts[1:], strict=True)]})
 
 
-def _gathered(docs: DataFrame, found, segments: int, kind: int) -> DataFrame:
+def _copies(docs: DataFrame) -> Broadcast:
+    """The smallest doc_id by MD5 of every text that several documents have; empty beyond COPIES such texts."""
+    groups = docs.groupBy(F.md5(F.col("text").cast("binary")).alias("m")).agg(F.min("doc_id").alias("least"), F.max("doc_id").alias("most")).where("least < most")
+    rows = groups.select("m", "least").limit(COPIES + 1).collect()
+    return docs.sparkSession.sparkContext.broadcast({bytes.fromhex(r["m"]): r["least"] for r in rows} if len(rows) <= COPIES else {})
+
+
+def _is_copy(copies: dict[bytes, int], doc_id, text: str | None) -> bool:
+    """Whether a document with a smaller id has the same text."""
+    if not copies or text is None or doc_id is None or doc_id != doc_id:
+        return False
+    return copies.get(hashlib.md5(text.encode("utf-8", "surrogatepass")).digest(), doc_id) < doc_id
+
+
+def _gathered(docs: DataFrame, found, segments: int, kind: int, copies: Broadcast) -> DataFrame:
     """Rows of _by_segment for the hashes that found(word hashes) gives for each document."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         held, size = [], 0
         for batch in batches:
-            for text in batch["text"]:
+            for doc_id, text in zip(batch["doc_id"], batch["text"], strict=True):
+                if _is_copy(copies.value, doc_id, text):
+                    continue
                 held.append(h := found(word_hashes(words_of(text))))
                 size += len(h)
             if size > 2_000_000:
@@ -129,10 +156,10 @@ def _gathered(docs: DataFrame, found, segments: int, kind: int) -> DataFrame:
         if size:
             yield _by_segment(np.concatenate(held), segments, kind)
 
-    return docs.select("text").mapInPandas(run, "segment int, kind int, hashes binary")
+    return docs.select("doc_id", "text").mapInPandas(run, "segment int, kind int, hashes binary")
 
 
-def _anchor_index(docs: DataFrame, block: int, index_bytes: int) -> Broadcast | None:
+def _anchor_index(docs: DataFrame, block: int, index_bytes: int, copies: Broadcast) -> Broadcast | None:
     """An index of the hashes of blocks that occur elsewhere too; None where it would be too large to send."""
     spark = docs.sparkSession
     size = docs.agg(F.sum(F.octet_length("text"))).first()[0] or 0
@@ -144,40 +171,42 @@ def _anchor_index(docs: DataFrame, block: int, index_bytes: int) -> Broadcast |
 
     def first(key: tuple, rows: pd.DataFrame) -> pd.DataFrame:
         blocks = np.unique(np.frombuffer(b"".join(rows["hashes"]), np.uint64))
-        return pd.DataFrame({"segment": [key[0]], "bits": [Index.build(blocks)]})
+        return pd.DataFrame({"segment": [key[0]], "bits": [Index.build(blocks, BLOCK_BITS)]})
 
     def second(key: tuple, rows: pd.DataFrame) -> pd.DataFrame:
         blocks, counts = np.unique(np.frombuffer(b"".join(rows["hashes"][rows["kind"] == 0]), np.uint64), return_counts=True)
         probes = np.unique(np.frombuffer(b"".join(rows["hashes"][rows["kind"] == 1]), np.uint64))
         hits = blocks[(counts > 1) | np.isin(blocks, probes, assume_unique=True)]
-        return pd.DataFrame({"segment": [key[0]], "bits": [Index.build(hits)]})
+        return pd.DataFrame({"segment": [key[0]], "bits": [Index.build(hits, ANCHOR_BITS)]})
 
-    def sent(rows: DataFrame, reduce) -> Broadcast:
+    def sent(rows: DataFrame, reduce, each: int) -> Broadcast:
         parts = rows.groupBy("segment").applyInPandas(reduce, "segment int, bits binary").toLocalIterator()
-        return spark.sparkContext.broadcast(Index({r["segment"]: bytes(r["bits"]) for r in parts}, segments))
+        return spark.sparkContext.broadcast(Index({r["segment"]: bytes(r["bits"]) for r in parts}, segments, each))
 
-    blocks = stored(_gathered(docs, lambda h: rolling(h, block)[::block], segments, 0), "blocks")
-    index = sent(blocks, first)
+    blocks = stored(_gathered(docs, lambda h: rolling(h, block)[::block], segments, 0, copies), "blocks")
+    index = sent(blocks, first, BLOCK_BITS)
 
     def probe(h: np.ndarray) -> np.ndarray:
         runs = rolling(h, block)
         at = index.value.positions(runs)
         return runs[at[at % block != 0]]
 
-    hits = sent(blocks.unionByName(_gathered(docs, probe, segments, 1)), second)
+    hits = sent(blocks.unionByName(_gathered(docs, probe, segments, 1, copies)), second, ANCHOR_BITS)
     drop_stored(blocks)
     return hits
 
 
-def candidate_windows(docs: DataFrame, window: int = WINDOW, index_bytes: int = INDEX_BYTES) -> DataFrame:
+def candidate_windows(docs: DataFrame, copies: Broadcast, window: int = WINDOW, index_bytes: int = INDEX_BYTES) -> DataFrame:
     """h, c (two hashes), doc_id, tag, pos of every window that holds an anchor."""
     block = window // 2
-    index = _anchor_index(docs, block, index_bytes)
+    index = _anchor_index(docs, block, index_bytes, copies)
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for batch in batches:
             out = []
             for doc_id, tag, text in zip(batch["doc_id"], batch["tag"], batch["text"], strict=True):
+                if _is_copy(copies.value, doc_id, text):
+                    continue
                 hashes = word_hashes(words_of(text))
                 n = len(hashes) - window + 1
                 if n < 1:
@@ -203,11 +232,11 @@ def candidate_windows(docs: DataFrame, window: int = WINDOW, index_bytes: int =
     return source.mapInPandas(run, "h long, c int, doc_id long, tag int, pos int")
 
 
-def repeats(docs: DataFrame, window: int = WINDOW, index_bytes: int = INDEX_BYTES) -> DataFrame:
+def repeats(docs: DataFrame, copies: Broadcast, window: int = WINDOW, index_bytes: int = INDEX_BYTES) -> DataFrame:
     """doc_id, tag and the positions of its windows that also begin in a document with a smaller id."""
     known = docs.where(F.col("doc_id").isNotNull() & F.col("text").isNotNull())
-    found = stored(candidate_windows(known, window, index_bytes), "windows")
-    least = found.groupBy("h", "c").agg(F.min("doc_id").alias("least"), F.max("doc_id").alias("most")).where("least < most").drop("most")
+    found = stored(candidate_windows(known, copies, window, index_bytes), "windows")
+    least = found.groupBy("h", "c").agg(F.min("doc_id").alias("least"))
     marked = found.join(least, ["h", "c"]).where("doc_id > least").groupBy("doc_id", "tag").agg(F.collect_list("pos").alias("marked"))
     out = stored(marked, "marked")
     drop_stored(found)
@@ -218,7 +247,8 @@ def remove_repeats(documents: DataFrame, window: int = WINDOW, index_bytes: int
     """doc_id, n_words, n_removed, kept (the words left, joined by single spaces) of every document."""
     docs = documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     docs = docs.withColumn("tag", F.hash("text"))
-    joined = docs.join(repeats(docs, window, index_bytes), ["doc_id", "tag"], "left").select("doc_id", "text", "marked")
+    copies = _copies(docs.where("doc_id IS NOT NULL AND text IS NOT NULL"))
+    joined = docs.join(repeats(docs, copies, window, index_bytes), ["doc_id", "tag"], "left").select("doc_id", "text", "marked")
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for batch in batches:
@@ -226,7 +256,9 @@ def remove_repeats(documents: DataFrame, window: int = WINDOW, index_bytes: int
             for doc_id, text, marked in zip(batch["doc_id"], batch["text"], batch["marked"], strict=True):
                 words = words_of(text)
                 kept, gone = words, 0
-                if marked is not None and len(marked):
+                if _is_copy(copies.value, doc_id, text) and len(words) >= window:
+                    kept, gone = [], len(words)
+                elif marked is not None and len(marked):
                     edge = np.zeros(len(words) + window + 1, np.int32)
                     np.add.at(edge, marked, 1)
                     np.add.at(edge, np.asarray(marked) + window, -1)
