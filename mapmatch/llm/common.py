@@ -6,8 +6,12 @@ import os
 import re
 import tempfile
 import uuid
+from array import array
+from collections.abc import Iterator
 
 import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -30,19 +34,16 @@ def stored(df: DataFrame, name: str) -> DataFrame:
     path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
     schema = df.schema
     df.write.option("compression", "zstd").parquet(path)
-    return spark.read.schema(schema).parquet(path)
+    out = spark.read.schema(schema).parquet(path)
+    out._stored_at = path
+    return out
 
 
 def drop_stored(df: DataFrame) -> None:
     """Remove a table made by stored() once nothing will read it any more."""
-    spark = df.sparkSession
-    root = shared_dir(spark)
-    jvm = spark.sparkContext._jvm
-    for file in df.inputFiles()[:1]:
-        folder = file.rsplit("/", 1)[0]
-        if folder.rsplit("/", 1)[0].replace("file://", "file:").replace("file:", "").rstrip("/") == root.replace("file://", "file:").replace("file:", "").rstrip("/"):
-            target = jvm.org.apache.hadoop.fs.Path(folder)
-            target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(target, True)
+    context = df.sparkSession.sparkContext
+    folder = context._jvm.org.apache.hadoop.fs.Path(df._stored_at)
+    folder.getFileSystem(context._jsc.hadoopConfiguration()).delete(folder, True)
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -58,9 +59,7 @@ def parts_for(rows: int, per_part: int) -> int:
     return max(1, -(-rows // per_part))
 
 
-#: The separators FS, GS, RS, US split words for Python's str.split, but are symbols to the tokenizer.
-_SPACES = re.compile(r"[\x20\x09-\x0D]+")
-_PLAIN = re.compile(r"([A-Za-zÀ-ÖØ-öø-ÿ]+)([.,;:!?]?)").fullmatch
+_PLAIN = re.compile(r"([A-Za-zÀ-ÖØ-öø-ÿ]+)([!-/:-@\[-`{-~]*)").fullmatch
 
 _LETTERS = re.compile(r"[a-zà-öø-ÿ]+").fullmatch
 
@@ -79,13 +78,14 @@ class WordTokenizer:
     """Ids of the word-level BPE file, the same as the library's, but each distinct word is encoded once.
 
     That tokenizer drops white space and never joins characters across it, so a text's ids are those of its
-    white-space separated words in order. Plain words (Latin-1 letters and at most one closing mark) share an entry
-    whatever their case, because the tokenizer lower-cases. At most ``keep`` words are remembered.
+    white-space separated words in order. Arrow splits the texts and numbers their distinct words; only words not yet
+    known go to the library. Plain words (Latin-1 letters, then ASCII marks) share an entry whatever their
+    case, because the tokenizer lower-cases. About ``keep`` words are remembered.
     """
 
     _by_path: dict[str, WordTokenizer] = {}
 
-    def __init__(self, path: str, keep: int = 400_000):
+    def __init__(self, path: str, keep: int = 500_000):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
@@ -100,50 +100,62 @@ class WordTokenizer:
 
     def _clear(self) -> None:
         self._index: dict[str, int] = {}
-        self._stems: dict[str, list[int]] = {}
-        self._flat, self._start, self._length = np.zeros(1 << 16, np.uint16), np.zeros(1 << 14, np.int64), np.zeros(1 << 14, np.int64)
+        self._stems: dict[str, bytes] = {"": b""}
+        self._flat, self._start, self._length = np.zeros(1 << 16, np.uint16), np.zeros(1 << 14, np.int32), np.zeros(1 << 14, np.int32)
         self._used = 0
 
-    def _library(self, words: list[str]) -> list[list[int]]:
+    def _library(self, words: list[str]) -> list[bytes]:
         """Plain lower-case words pass the normaliser and the splitter unchanged, so they go straight to the model."""
         plain = [bool(_LETTERS(w)) for w in words]
         rest = iter(self._encoder.encode_batch_fast([w for w, p in zip(words, plain, strict=True) if not p], add_special_tokens=False))
         model = self._encoder.model
-        return [[t.id for t in model.tokenize(w.encode().decode("latin-1").translate(_BYTE_LETTERS))] if p else next(rest).ids for w, p in zip(words, plain, strict=True)]
+        return [array("H", [t.id for t in model.tokenize(w.encode().decode("latin-1").translate(_BYTE_LETTERS))] if p else next(rest).ids).tobytes() for w, p in zip(words, plain, strict=True)]
+
+    def _numbers(self, words: list[str]) -> np.ndarray:
+        """The numbers of distinct words, learning those not known."""
+        found = list(map(self._index.get, words))
+        if None in found:
+            missing = [w for w, i in zip(words, found, strict=True) if i is None]
+            if len(self._index) + len(missing) > self._keep:
+                self._clear()
+                missing = words
+            self._learn(missing)
+            found = list(map(self._index.get, words))
+        return np.array(found, np.int64)
 
     def _learn(self, words: list[str]) -> None:
-        missing = {w for w in words if w not in self._index}
-        if len(self._index) + len(missing) > self._keep:
-            self._clear()
-            missing = set(words)
-        split = {w: (m[1].lower(), m[2]) if (m := _PLAIN(w)) else (w, "") for w in missing}
-        stems = list({part for pair in split.values() for part in pair if part and part not in self._stems})
+        split = [(m[1].lower(), m[2]) if (m := _PLAIN(w)) else (w, "") for w in words]
+        stems = list({part for pair in split for part in pair if part not in self._stems})
         self._stems.update(zip(stems, self._library(stems), strict=True))
-        ids = [self._stems[a] + self._stems[b] if b else self._stems[a] for a, b in split.values()]
-        lengths = np.fromiter(map(len, ids), np.int64, len(ids))
+        ids = [self._stems[a] + self._stems[b] for a, b in split]
+        lengths = np.fromiter(map(len, ids), np.int64, len(ids)) // 2
         n, total = len(self._index), int(lengths.sum())
         while self._used + total > len(self._flat):
             self._flat = np.concatenate([self._flat, np.zeros_like(self._flat)])
         while n + len(ids) > len(self._start):
             self._start, self._length = (np.concatenate([x, np.zeros_like(x)]) for x in (self._start, self._length))
-        self._flat[self._used : self._used + total] = np.fromiter((i for x in ids for i in x), np.uint16, total)
+        self._flat[self._used : self._used + total] = np.frombuffer(b"".join(ids), np.uint16)
         self._length[n : n + len(ids)] = lengths
         self._start[n : n + len(ids)] = self._used + np.cumsum(lengths) - lengths
         self._used += total
-        self._index.update(zip(split, range(n, n + len(ids)), strict=True))
+        self._index.update(zip(words, range(n, n + len(ids)), strict=True))
+
+    def encode_many(self, texts, slice_chars: int = 4_000_000) -> Iterator[np.ndarray]:
+        """Token ids (uint16) of every text in turn; null counts as empty. Slices bound the memory."""
+        column = pa.array(texts, pa.string())
+        sizes = np.cumsum(pc.fill_null(pc.binary_length(column), 0).to_numpy())
+        lo = 0
+        while lo < len(column):
+            hi = max(lo + 1, int(np.searchsorted(sizes, (sizes[lo - 1] if lo else 0) + slice_chars, "right")))
+            words = pc.ascii_split_whitespace(pc.fill_null(column.slice(lo, hi - lo), ""))
+            flat = pc.dictionary_encode(words.flatten())
+            at = self._numbers(flat.dictionary.to_numpy(zero_copy_only=False).tolist())[flat.indices.to_numpy()] if len(flat) else np.zeros(0, np.int64)
+            lengths = self._length[at]
+            ends = np.concatenate([[0], np.cumsum(lengths)])
+            ids = self._flat[np.arange(ends[-1]) + np.repeat(self._start[at] - ends[:-1], lengths)]
+            edges = ends[words.offsets.to_numpy() - words.offsets[0].as_py()]
+            yield from (ids[a:b] for a, b in zip(edges[:-1].tolist(), edges[1:].tolist(), strict=True))
+            lo = hi
 
     def encode(self, text: str | None) -> np.ndarray:
-        """Token ids (uint16) of one text."""
-        text = text or ""
-        words = _SPACES.split(text) if any(c in text for c in "\x1c\x1d\x1e\x1f") else text.split()
-        words = [w for w in words if w] if words and not (words[0] and words[-1]) else words
-        if not words:
-            return np.zeros(0, np.uint16)
-        try:
-            at = np.fromiter(map(self._index.__getitem__, words), np.int64, len(words))
-        except KeyError:
-            self._learn(words)
-            at = np.fromiter(map(self._index.__getitem__, words), np.int64, len(words))
-        lengths = self._length[at]
-        ends = np.cumsum(lengths)
-        return self._flat[np.arange(ends[-1]) + np.repeat(self._start[at] - ends + lengths, lengths)]
+        return next(self.encode_many([text]))

@@ -89,7 +89,7 @@ def tokenize(documents: DataFrame, tokenizer: str, end_id: int) -> DataFrame:
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         encoder, end = WordTokenizer.of(tokenizer), np.array([end_id], np.uint16)
         for batch in batches:
-            ids = [np.concatenate([encoder.encode(t), end]).astype("<u2").tobytes() for t in batch["text"]]
+            ids = [np.concatenate([x, end]).astype("<u2").tobytes() for x in encoder.encode_many(batch["text"])]
             yield pd.DataFrame({"doc_id": batch["doc_id"].astype("Int64"), "ids": ids})
 
     source = documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
@@ -112,7 +112,7 @@ def frequencies(ids: DataFrame) -> list[tuple[int, int]]:
 
 
 
-def write(documents: DataFrame, tokenizer: str, folder: str, end_id: int = 2, shard_tokens: int = 16_000_000) -> DataFrame:
+def write(documents: DataFrame, tokenizer: str, folder: str, end_id: int = 2, shard_tokens: int = 2_000_000) -> DataFrame:
     """Write all documents; returns the manifest: shard, part, n_docs, n_tokens and its start (ids before it)."""
     spark = documents.sparkSession
     ids = tokenize(documents, tokenizer, end_id)
