@@ -82,8 +82,8 @@ def pieces(documents: DataFrame, tokenizer: str, capacity: int = 4096, end_id: i
         encoder, seen = WordTokenizer.of(tokenizer), 0
         for batch in batches:
             rows = []
-            for doc_id, text in zip(batch["doc_id"], batch["text"], strict=True):
-                ids = np.append(encoder.encode(text), end_id).astype("<u4")
+            for doc_id, found in zip(batch["doc_id"], encoder.encode_many(batch["text"]), strict=True):
+                ids = np.append(found, end_id).astype("<u4")
                 for piece, start in enumerate(range(0, len(ids), capacity)):
                     part = ids[start : start + capacity]
                     rows.append((None if doc_id is None or doc_id != doc_id else int(doc_id), piece, start, len(part), zlib.crc32(part.tobytes()), seen))
