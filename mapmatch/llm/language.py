@@ -23,7 +23,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 #: Training reads whole documents until about so many of them; 0.5 smooths counts.
-SAMPLE_DOCUMENTS, SMOOTH, LONGEST = 20_000, 0.5, 4
+SAMPLE_DOCUMENTS, SMOOTH, LONGEST = 2_000, 0.5, 4
 _WORDS = re.compile(r"[^\W\d_]+").findall
 
 
@@ -33,58 +33,63 @@ def _grams(word: str, n: int) -> list[str]:
 
 
 class Model:
-    """Log frequencies by language of words and of n-grams, as dictionaries of small arrays."""
+    """Log frequencies by language of words and of n-grams: a table for each kind, and the row of every entry."""
 
     def __init__(self, counts: dict[str, dict[str, int]]):
         self.languages = sorted(counts)
-        k = len(self.languages)
-        words: dict[str, np.ndarray] = {}
-        grams: list[dict[str, np.ndarray]] = [{} for _ in range(LONGEST + 1)]
+        words = sorted({w for c in counts.values() for w in c})
+        self.words = {w: i for i, w in enumerate(words)}
+        table = np.zeros((len(words), max(1, len(self.languages))), np.float32)
         for j, language in enumerate(self.languages):
-            for word, n in counts[language].items():
-                words.setdefault(word, np.zeros(k))[j] += n
-        for word, n in words.items():
-            for size in range(1, LONGEST + 1):
+            own = counts[language]
+            table[[self.words[w] for w in own], j] = list(own.values())
+        self.grams: list[dict[str, int]] = [{}]
+        self.gram_logs = [self._logs(np.zeros((0, table.shape[1])))]
+        for size in range(1, LONGEST + 1):
+            rows: dict[str, int] = {}
+            at, of = [], []
+            for i, word in enumerate(words):
                 for gram in _grams(word, size):
-                    grams[size].setdefault(gram, np.zeros(k))
-                    grams[size][gram] += n
-        self.words, self.grams = self._logs(words), [self._logs(g) if g else {} for g in grams]
-        self._seen: dict[str, np.ndarray] = {}
+                    at.append(rows.setdefault(gram, len(rows)))
+                    of.append(i)
+            sums = np.zeros((len(rows), table.shape[1]))
+            np.add.at(sums, at, table[of])
+            self.grams.append(rows)
+            self.gram_logs.append(self._logs(sums))
+        self.word_logs = self._logs(table)
+        self._seen: dict[str, np.ndarray | None] = {}
 
     @staticmethod
-    def _logs(table: dict[str, np.ndarray]) -> dict[str, np.ndarray]:
+    def _logs(counts: np.ndarray) -> np.ndarray:
         """Smoothed log frequencies, less the mean over the languages so that scores of different lengths compare."""
-        keys = list(table)
-        counts = np.array([table[x] for x in keys]) if keys else np.zeros((0, 1))
-        logs = np.log(counts + SMOOTH) - np.log(counts.sum(axis=0) + SMOOTH * max(1, len(keys)))
-        return dict(zip(keys, (logs - logs.mean(axis=1, keepdims=True)).astype(np.float32), strict=True))
+        logs = np.log(counts + SMOOTH) - np.log(counts.sum(axis=0) + SMOOTH * max(1, len(counts)))
+        return (logs - logs.mean(axis=1, keepdims=True)).astype(np.float32)
 
     def word(self, word: str) -> np.ndarray | None:
         if (known := self.words.get(word)) is not None:
-            return known
+            return self.word_logs[known]
         for size in range(LONGEST, 0, -1):
-            hits = [x for g in _grams(word, size) if (x := self.grams[size].get(g)) is not None]
+            hits = [i for g in _grams(word, size) if (i := self.grams[size].get(g)) is not None]
             if hits:
-                return np.mean(hits, axis=0, dtype=np.float32)
+                return self.gram_logs[size][hits].mean(axis=0)
         return None
 
     def predict(self, text: str | None) -> tuple[str, float]:
         words = Counter(_WORDS(text.lower())) if text else None
         if not words or not self.languages or not any(c.isalpha() for w in words for c in w):
             return "und", 0.0
-        total, n = np.zeros(len(self.languages)), 0
         if len(self._seen) > 200_000:
             self._seen.clear()
-        for word, count in words.items():
-            if word not in self._seen:
-                self._seen[word] = self.word(word)
-            if (scores := self._seen[word]) is not None:
-                total += count * scores
-                n += count
-        mean = total / max(n, 1)
+        seen = self._seen
+        for word in [w for w in words if w not in seen]:
+            seen[word] = self.word(word)
+        scored = [(n, x) for w, n in words.items() if (x := seen[w]) is not None]
+        if not scored:
+            return self.languages[0], 1 / len(self.languages)
+        times = np.array([n for n, _ in scored], np.float64)
+        mean = times @ np.array([x for _, x in scored], np.float64) / times.sum()
         best = int(np.argmax(mean))
-        share = np.exp(4 * (mean - mean[best]))
-        return self.languages[best], float(1 / share.sum())
+        return self.languages[best], float(1 / np.exp(4 * (mean - mean[best])).sum())
 
 
 def word_counts(labelled: DataFrame) -> dict[str, dict[str, int]]:
@@ -127,8 +132,12 @@ def predict(documents: DataFrame, model: Model, out: tuple[str, str] = ("lang_pr
     return source.mapInPandas(run, f"{fields}, `{out[0]}` string, `{out[1]}` double")
 
 
-def keep_identified(documents: DataFrame, model: Model, least: float = 0.5) -> DataFrame:
-    """The documents, with all their columns, whose language is found with at least this score."""
+def keep_identified(documents: DataFrame, model: Model, least: float | None = None) -> DataFrame:
+    """The documents, with all their columns, whose language is found with at least this score.
+
+    Unless given, the score must be a half, or with many languages a fifth more than an even share.
+    """
+    least = min(0.5, 1.2 / max(1, len(model.languages))) if least is None else least
     sent = documents.sparkSession.sparkContext.broadcast(model)
     at = documents.columns.index("text")
 
