@@ -236,10 +236,12 @@ def repeats(docs: DataFrame, copies: Broadcast, window: int = WINDOW, index_byte
     """doc_id, tag and the positions of its windows that also begin in a document with a smaller id."""
     known = docs.where(F.col("doc_id").isNotNull() & F.col("text").isNotNull())
     found = stored(candidate_windows(known, copies, window, index_bytes), "windows")
-    least = found.groupBy("h", "c").agg(F.min("doc_id").alias("least"))
+    spread = found.groupBy("h", "c").agg(F.min("doc_id").alias("least"), F.max("doc_id").alias("most")).where("least < most").drop("most")
+    least = stored(spread, "least")  # written down, so that the join deals both sides itself and can split a window that very many documents share
     marked = found.join(least, ["h", "c"]).where("doc_id > least").groupBy("doc_id", "tag").agg(F.collect_list("pos").alias("marked"))
     out = stored(marked, "marked")
     drop_stored(found)
+    drop_stored(least)
     return out
 
 
