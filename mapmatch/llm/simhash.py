@@ -42,18 +42,26 @@ def _pivots(n: int = PIVOTS) -> np.ndarray:
     return x ^ (x >> np.uint64(31))
 
 
-def fingerprint(text: str | None, words: int = WORDS, seed: int = SEED) -> int:
-    """The fingerprint of one text."""
+def shingle_hashes(text: str | None, words: int = WORDS, seed: int = SEED) -> np.ndarray:
+    """The hash of every run of ``words`` words of a text, in order; of all its words if there are fewer."""
     parts = (text or "").encode("utf-8", "surrogatepass").lower().split()
     if not parts:
-        return 0
+        return np.zeros(0, np.uint64)
     joined = memoryview(b" ".join(parts))
     ends = np.cumsum(np.fromiter(map(len, parts), np.int64, len(parts)) + 1) - 1
     starts = np.concatenate([[0], ends[:-1] + 1])
     n = max(1, len(parts) - words + 1)
     digest = xxhash.xxh64_intdigest
     pairs = zip(starts[:n].tolist(), ends[len(parts) - n :].tolist(), strict=True)
-    h = np.fromiter((digest(joined[a:b], seed) for a, b in pairs), np.uint64, n)
+    return np.fromiter((digest(joined[a:b], seed) for a, b in pairs), np.uint64, n)
+
+
+def fingerprint(text: str | None, words: int = WORDS, seed: int = SEED) -> int:
+    """The fingerprint of one text."""
+    h = shingle_hashes(text, words, seed)
+    n = len(h)
+    if not n:
+        return 0
     ones = np.zeros(64, np.int64)
     for lo in range(0, n, 1 << 16):
         ones += np.unpackbits(h[lo : lo + (1 << 16)].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)

@@ -498,3 +498,46 @@ def test_lengths_follow_cut_texts(spark):
     df = spark.createDataFrame([(i, "s", f"w{i} " * 10, 40) for i in range(9)] + [(20, "t", "v " * 500, 1000)], "doc_id long, source string, text string, n_chars long")
     assert all(r["n_chars"] in (40, 1000) or r["n_chars"] == len(r["text"]) for r in mixing.mix(df).collect())
     assert mixing.mix(df).where(F.col("text") == "").count() == 0
+
+
+def brute_near_copies(texts, words=5):
+    """The smallest index of each component of texts with at least four fifths of their shingles in common."""
+
+    def shingles(text):
+        ws = WORD.findall(re.sub("[A-Z]", lambda m: m[0].lower(), text or ""))
+        return {tuple(ws[i : i + words]) for i in range(max(1, len(ws) - words + 1))} if ws else set()
+
+    sets, root = [shingles(t) for t in texts], list(range(len(texts)))
+    for i, a in enumerate(sets):
+        for j in range(i):
+            if 5 * len(a & sets[j]) >= 4 * len(a | sets[j]) and root[i] != root[j]:
+                p, q = sorted((root[i], root[j]))
+                root = [p if r == q else r for r in root]
+    return set(root)
+
+
+@pytest.mark.parametrize("common", [100_000, 0])
+def test_pipeline_drops_planted_near_copies(spark, monkeypatch, common):
+    import corpus_pipeline
+    from mapmatch.llm import near_copies
+
+    monkeypatch.setattr(near_copies, "COMMON", common)
+    rng = random.Random(8)
+    line = prose(rng, 30)
+    texts = [None, "", "Two words", "two  WORDS", "two", line]
+    for _ in range(25):
+        base = (prose(rng, rng.randint(6, 200)) + " " + line * rng.randint(0, 1)).split()
+        for edits in (0, 1, 2, 3, 5, 8):
+            copy = list(base)
+            for _ in range(edits):
+                copy[rng.randrange(len(copy))] = f"edit{rng.randrange(10**6)}"
+            texts.append(" ".join(copy))
+    group = prose(rng, 120).split()
+    texts += [" ".join([*group[:i], f"own{i}", *group[i + 1 :]]) for i in range(120)]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(4)
+    want = brute_near_copies(texts)
+    prints = [simhash.fingerprint(t) for t in texts]
+    apart = [i for i in range(6, len(texts)) if i not in want and all((prints[i] ^ p).bit_count() > 4 for j, p in enumerate(prints) if j != i)]
+    assert apart  # near copies that fingerprints four bits apart do not find
+    stage = dict(corpus_pipeline.STAGES)["simhash_near_dedup"]
+    assert {r["doc_id"] for r in stage(spark, df, "").collect()} == want
