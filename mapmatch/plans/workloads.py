@@ -368,7 +368,7 @@ _SIZES = ["family", "pattern", "status", "nfa_states", "dfa_total", "dfa_live",
 
 def _report(spark: SparkSession, sf_dir: str) -> DataFrame:
     patterns = corpora.corpus(spark, sf_dir)
-    return measure.corpus_sizes(patterns, max_maps=100_000).join(patterns.select("pattern_id", "pattern"), "pattern_id")
+    return measure.corpus_sizes(patterns).join(patterns.select("pattern_id", "pattern"), "pattern_id")
 
 
 @query()

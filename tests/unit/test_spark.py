@@ -182,3 +182,23 @@ def test_corpus_reports(spark):
     by = {r["pattern_id"]: r for r in report.collect()}
     assert (by[0]["maps_live"], by[1]["status"], by[3]["over_cube"]) == (5, "unsupported", True)
     assert {r["family"]: r["used"] for r in measure.size_classes(report).collect()} == {"x": 1, "y": 2, None: 3}
+
+
+def test_size_study_has_whole_passages_and_no_low_cap(spark, tmp_path, monkeypatch):
+    from mapmatch.automata.pattern import escape
+    from mapmatch.plans import workloads
+
+    text = "In the winter (of 1902) the river froze as far as the bridge; nobody at the house remembered a longer, harsher season than that."
+    spark.createDataFrame([(1, text)], "item_id long, text string").write.parquet(f"{tmp_path}/benchmark.parquet")
+    spark.createDataFrame([("a b", "T", "B#1")], "p_name string, p_type string, p_brand string").write.parquet(f"{tmp_path}/part.parquet")
+    spark.createDataFrame([("https://a.example.com/b/1",)], "url string").write.parquet(f"{tmp_path}/pages.parquet")
+    patterns = corpora.corpus(spark, str(tmp_path))
+    found = {(r["family"], r["pattern"]) for r in patterns.collect()}
+    assert ("passage", f".*{escape(text)}.*") in found and ("gap4", ".*In.*the.*winte.*of.*") in found
+    assert measure.STUDY_MAPS > 1_001_000
+    whole = measure.corpus_sizes(patterns.where("family = 'passage'")).first()
+    assert whole["status"] == "ok" and whole["over_10k"]
+    caps = []
+    monkeypatch.setattr(measure, "corpus_sizes", lambda rows, max_maps=measure.STUDY_MAPS: caps.append(max_maps) or rows.select("pattern_id"))
+    workloads._report(spark, str(tmp_path))
+    assert caps == [measure.STUDY_MAPS]
