@@ -6,7 +6,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from .distributed import reliable
+from ..sources.shared import reliable
 
 
 def pack_rows(df: DataFrame, key: str | list[str], order: list[str], symbol: Column, out: str = "word") -> DataFrame:

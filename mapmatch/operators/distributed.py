@@ -7,20 +7,11 @@ is not the way for ordinary patterns.
 
 from __future__ import annotations
 
-import tempfile
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..automata.dfa import Dfa, TooLarge
-
-
-def reliable(df: DataFrame) -> DataFrame:
-    """df checkpointed in the session's shared folder (a temporary one only where none is named, as in tests)."""
-    spark = df.sparkSession
-    if not spark.sparkContext.getCheckpointDir():
-        spark.sparkContext.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="mapmatch-"))
-    return df.checkpoint(eager=True)
+from ..sources.shared import reliable
 
 
 def close_distributed(spark: SparkSession, dfa: Dfa, most: int = 1_000_000_000) -> DataFrame:

@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 
 from ..operators import baselines, chunks, distributed, fold, match, measure
 from ..operators.match import Compiled, compiled
+from ..sources.shared import shared_folder
 from ..sources.sinks import map_states
 from ..sources.tables import table
 from ..streaming import stream
@@ -181,8 +182,7 @@ def events_stream_funnel(spark: SparkSession, sf_dir: str) -> DataFrame:
 
     by = Window.partitionBy("user_id")
     events = _funnel(spark, sf_dir).select(F.col("user_id").alias("word_id"), (F.row_number().over(by.orderBy("ts", "event_id")) - 1).cast("int").alias("chunk_ix"), F.count("*").over(by).cast("int").alias("chunks"), F.col("s").alias("payload"), F.col("ts").cast("timestamp").alias("ts"))
-    root = (spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir() or "/tmp").rstrip("/")
-    folder, name = f"{root}/stream-{uuid.uuid4().hex}", f"funnel_{uuid.uuid4().hex}"
+    folder, name = f"{shared_folder(spark)}/stream-{uuid.uuid4().hex}", f"funnel_{uuid.uuid4().hex}"
     events.repartition(4, F.xxhash64("word_id", "chunk_ix")).write.parquet(f"{folder}/in")
     source = spark.readStream.schema(events.schema).option("maxFilesPerTrigger", 2).parquet(f"{folder}/in")
     found = stream.match_stream(source, _of(RULES["funnel"]), "3650 days")
