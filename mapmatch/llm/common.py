@@ -1,51 +1,23 @@
-"""What the text operators share: stored intermediate tables, word splitting, and a fast exact tokenizer."""
+"""What the text operators share: stored intermediate tables, word counts, and what a Python worker keeps."""
 
 from __future__ import annotations
 
-import os
-import re
-import tempfile
-import uuid
-from array import array
+import contextlib
+import ctypes
+import gc
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..sources.shared import drop_folder, drop_stored, shared_folder, stored  # noqa: F401
+
 #: A word is a run of characters outside this class (space and the five ASCII controls 09-0D).
 WORD = r"[^\x20\x09-\x0D]+"
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; a temporary one only where the session names none."""
-    folder = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
-    if not folder:
-        folder = "file://" + tempfile.mkdtemp(prefix="mapmatch-")
-        spark.sparkContext.setCheckpointDir(folder)
-    return folder.rstrip("/")
-
-
-def stored(df: DataFrame, name: str) -> DataFrame:
-    """Write df once to the shared folder and read it back: lineage ends there, and lost executors cost no recomputation."""
-    spark = df.sparkSession
-    path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
-    schema = df.schema
-    df.write.option("compression", "zstd").parquet(path)
-    out = spark.read.schema(schema).parquet(path)
-    out._stored_at = path
-    return out
-
-
-def drop_stored(df: DataFrame) -> None:
-    """Remove a table made by stored() once nothing will read it any more."""
-    context = df.sparkSession.sparkContext
-    folder = context._jvm.org.apache.hadoop.fs.Path(df._stored_at)
-    folder.getFileSystem(context._jsc.hadoopConfiguration()).delete(folder, True)
-
-
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
@@ -59,103 +31,39 @@ def parts_for(rows: int, per_part: int) -> int:
     return max(1, -(-rows // per_part))
 
 
-_PLAIN = re.compile(r"([A-Za-zÀ-ÖØ-öø-ÿ]+)([!-/:-@\[-`{-~]*)").fullmatch
-
-_LETTERS = re.compile(r"[a-zà-öø-ÿ]+").fullmatch
-
+def runs_of(batches: Iterator[pa.RecordBatch], key: str) -> Iterator[dict[str, np.ndarray]]:
+    """The columns of each run of equal keys in a stream that is sorted by them."""
+    held: dict[str, np.ndarray] = {}
+    for batch in batches:
+        now = {n: batch.column(n).to_numpy(zero_copy_only=False) for n in batch.schema.names}
+        held = {n: np.concatenate([held[n], x]) if held else x for n, x in now.items()}
+        cuts = np.flatnonzero(np.diff(held[key])) + 1
+        for lo, hi in zip([0, *cuts[:-1].tolist()], cuts.tolist(), strict=False):
+            yield {n: x[lo:hi] for n, x in held.items()}
+        if len(cuts):
+            held = {n: x[cuts[-1] :] for n, x in held.items()}
+    if held and len(held[key]):
+        yield held
 
-def _byte_letters() -> dict[int, str]:
-    """The visible character for each byte in byte-level vocabularies: printable Latin-1 stands for itself, the rest count on from 256."""
-    shown = [*range(33, 127), *range(161, 173), *range(174, 256)]
-    hidden = [b for b in range(256) if b not in shown]
-    return {b: chr(b) for b in shown} | {b: chr(256 + n) for n, b in enumerate(hidden)}
 
+_SLOT: list = [None, None]
 
-_BYTE_LETTERS = _byte_letters()
 
+def worker_slot(key, make):
+    """What a Python worker keeps from task to task: one thing at a time, so that operators run one after another do not add up.
 
-class WordTokenizer:
-    """Ids of the word-level BPE file, the same as the library's, but each distinct word is encoded once.
-
-    That tokenizer drops white space and never joins characters across it, so a text's ids are those of its
-    white-space separated words in order. Arrow splits the texts and numbers their distinct words; only words not yet
-    known go to the library. Plain words (Latin-1 letters, then ASCII marks) share an entry whatever their
-    case, because the tokenizer lower-cases. About ``keep`` words are remembered.
+    Memory that the former one held is given back to the system.
     """
-
-    _by_path: dict[str, WordTokenizer] = {}
-
-    def __init__(self, path: str, keep: int = 500_000):
-        os.environ["TOKENIZERS_PARALLELISM"] = "false"
-        from tokenizers import Tokenizer
-
-        self._encoder, self._keep = Tokenizer.from_file(path), keep
-        self._clear()
-
-    @classmethod
-    def of(cls, path: str) -> WordTokenizer:
-        if path not in cls._by_path:
-            cls._by_path[path] = cls(path)
-        return cls._by_path[path]
-
-    def _clear(self) -> None:
-        self._index: dict[str, int] = {}
-        self._stems: dict[str, bytes] = {"": b""}
-        self._flat, self._start, self._length = np.zeros(1 << 16, np.uint16), np.zeros(1 << 14, np.int32), np.zeros(1 << 14, np.int32)
-        self._used = 0
-
-    def _library(self, words: list[str]) -> list[bytes]:
-        """Plain lower-case words pass the normaliser and the splitter unchanged, so they go straight to the model."""
-        plain = [bool(_LETTERS(w)) for w in words]
-        rest = iter(self._encoder.encode_batch_fast([w for w, p in zip(words, plain, strict=True) if not p], add_special_tokens=False))
-        model = self._encoder.model
-        return [array("H", [t.id for t in model.tokenize(w.encode().decode("latin-1").translate(_BYTE_LETTERS))] if p else next(rest).ids).tobytes() for w, p in zip(words, plain, strict=True)]
-
-    def _numbers(self, words: list[str]) -> np.ndarray:
-        """The numbers of distinct words, learning those not known."""
-        found = list(map(self._index.get, words))
-        if None in found:
-            missing = [w for w, i in zip(words, found, strict=True) if i is None]
-            if len(self._index) + len(missing) > self._keep:
-                self._clear()
-                missing = words
-            self._learn(missing)
-            found = list(map(self._index.get, words))
-        return np.array(found, np.int64)
-
-    def _learn(self, words: list[str]) -> None:
-        split = [(m[1].lower(), m[2]) if (m := _PLAIN(w)) else (w, "") for w in words]
-        stems = list({part for pair in split for part in pair if part not in self._stems})
-        self._stems.update(zip(stems, self._library(stems), strict=True))
-        ids = [self._stems[a] + self._stems[b] for a, b in split]
-        lengths = np.fromiter(map(len, ids), np.int64, len(ids)) // 2
-        n, total = len(self._index), int(lengths.sum())
-        while self._used + total > len(self._flat):
-            self._flat = np.concatenate([self._flat, np.zeros_like(self._flat)])
-        while n + len(ids) > len(self._start):
-            self._start, self._length = (np.concatenate([x, np.zeros_like(x)]) for x in (self._start, self._length))
-        self._flat[self._used : self._used + total] = np.frombuffer(b"".join(ids), np.uint16)
-        self._length[n : n + len(ids)] = lengths
-        self._start[n : n + len(ids)] = self._used + np.cumsum(lengths) - lengths
-        self._used += total
-        self._index.update(zip(words, range(n, n + len(ids)), strict=True))
-
-    def encode_many(self, texts, slice_chars: int = 4_000_000) -> Iterator[np.ndarray]:
-        """Token ids (uint16) of every text in turn; null counts as empty. Slices bound the memory."""
-        column = pa.array(texts, pa.string())
-        sizes = np.cumsum(pc.fill_null(pc.binary_length(column), 0).to_numpy())
-        lo = 0
-        while lo < len(column):
-            hi = max(lo + 1, int(np.searchsorted(sizes, (sizes[lo - 1] if lo else 0) + slice_chars, "right")))
-            words = pc.ascii_split_whitespace(pc.fill_null(column.slice(lo, hi - lo), ""))
-            flat = pc.dictionary_encode(words.flatten())
-            at = self._numbers(flat.dictionary.to_numpy(zero_copy_only=False).tolist())[flat.indices.to_numpy()] if len(flat) else np.zeros(0, np.int64)
-            lengths = self._length[at]
-            ends = np.concatenate([[0], np.cumsum(lengths)])
-            ids = self._flat[np.arange(ends[-1]) + np.repeat(self._start[at] - ends[:-1], lengths)]
-            edges = ends[words.offsets.to_numpy() - words.offsets[0].as_py()]
-            yield from (ids[a:b] for a, b in zip(edges[:-1].tolist(), edges[1:].tolist(), strict=True))
-            lo = hi
-
-    def encode(self, text: str | None) -> np.ndarray:
-        return next(self.encode_many([text]))
+    if _SLOT[0] != key:
+        _SLOT[:] = [None, None]
+        release()
+        _SLOT[:] = [key, make()]
+    return _SLOT[1]
+
+
+def release() -> None:
+    """Give memory that this process no longer uses back to the system, as far as the platform can."""
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):
+        ctypes.CDLL(None).malloc_trim(0)

@@ -16,22 +16,29 @@ written once each; other columns are ignored.
 
 from __future__ import annotations
 
+import json
 import uuid
+import zlib
 from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from .common import WordTokenizer, parts_for, shared_dir, stored
+from .common import drop_stored, parts_for, shared_folder, stored
+from .tokens import Encoder, word_level
 
 #: The first eight bytes of every shard.
 MAGIC = int.from_bytes(b"MMTOKEN1", "little")
 _DOC = np.dtype([("doc_id", "<i8"), ("null", "<u1"), ("values", "<u8")])
 _CODES = np.arange(256)[:, None] >> (2 * np.arange(4)) & 3
 _LENGTHS = (_CODES + 1).astype(np.uint8)
+_IDS = "doc_id long, ids binary, mark long, counted binary, counts binary"
+_ID_NAMES = [x.split()[0] for x in _IDS.split(", ")]
 
 
 def encode(values: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -84,103 +91,131 @@ def read_shard(folder: str, name: str) -> tuple[np.ndarray, np.ndarray]:
 
 
 def tokenize(documents: DataFrame, tokenizer: str, end_id: int) -> DataFrame:
-    """doc_id and the ids (unsigned 16-bit where the vocabulary allows) of every document, stored."""
+    """doc_id, ids and their crc32 as mark of every document, stored; and a row for each task with the counts of its ids.
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        encoder, end = WordTokenizer.of(tokenizer), np.array([end_id], np.uint16)
+    Ids take 16 bits each where vocabulary and end id allow, else 32. Rows of counts hold ``counted`` (distinct ids) and
+    ``counts`` alone; rows of documents have null there.
+    """
+    kind = kind_of(tokenizer, end_id)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        encoder, total = Encoder.of(tokenizer), np.zeros(1 << 16, np.int64)
         for batch in batches:
-            ids = [np.concatenate([x, end]).astype("<u2").tobytes() for x in encoder.encode_many(batch["text"])]
-            yield pd.DataFrame({"doc_id": batch["doc_id"].astype("Int64"), "ids": ids})
+            for lo, hi, ids, edges in encoder.closed(batch.column("text"), end_id):
+                found = np.bincount(ids, minlength=len(total))
+                found[: len(total)] += total
+                total = found
+                ids = ids.astype(kind)
+                mark = [zlib.crc32(ids[a:b]) for a, b in zip(edges[:-1].tolist(), edges[1:].tolist(), strict=True)]
+                none = pa.nulls(hi - lo, pa.binary())
+                yield pa.RecordBatch.from_arrays([batch.column("doc_id").slice(lo, hi - lo), _binary(ids, edges), pa.array(mark, pa.int64()), none, none], _ID_NAMES)
+        at = np.flatnonzero(total)
+        yield pa.RecordBatch.from_arrays([pa.nulls(1, pa.int64()), pa.nulls(1, pa.binary()), pa.nulls(1, pa.int64()), pa.array([at.astype("<u4").tobytes()]), pa.array([total[at].astype("<u8").tobytes()])], _ID_NAMES)
 
     source = documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    return stored(source.mapInPandas(run, "doc_id long, ids binary"), "ids")
+    return stored(source.mapInArrow(run, _IDS), "ids")
+
+
+def kind_of(tokenizer: str, end_id: int) -> np.dtype:
+    """The width in which ids are kept on the way to the files."""
+    with open(tokenizer, encoding="utf-8") as file:
+        return np.dtype("<u2" if word_level(json.load(file)) and end_id < 1 << 16 else "<u4")
 
 
 def frequencies(ids: DataFrame) -> list[tuple[int, int]]:
-    """(id, count), commonest first: at most one row for each entry of the vocabulary."""
+    """(id, count), commonest first, from the rows of counts: at most one for each entry of the vocabulary."""
 
-    def count(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        total = np.zeros(1 << 16, np.int64)
+    def spread(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for batch in batches:
-            total += np.bincount(np.frombuffer(b"".join(batch["ids"]), "<u2"), minlength=1 << 16)
-        at = np.flatnonzero(total)
-        yield pd.DataFrame({"id": at, "n": total[at]})
+            for counted, counts in zip(batch["counted"], batch["counts"], strict=True):
+                yield pd.DataFrame({"id": np.frombuffer(counted, "<u4").astype(np.int64), "n": np.frombuffer(counts, "<u8").astype(np.int64)})
 
-    rows = ids.select("ids").mapInPandas(count, "id long, n long").groupBy("id").agg(F.sum("n").alias("n")).collect()
+    rows = ids.where("counts IS NOT NULL").select("counted", "counts").mapInPandas(spread, "id long, n long").groupBy("id").agg(F.sum("n").alias("n")).collect()
     return sorted(((r["id"], r["n"]) for r in rows), key=lambda x: (-x[1], x[0]))
 
 
+def _binary(values: np.ndarray, edges: np.ndarray) -> pa.Array:
+    """Runs of values, from edge to edge, as binary."""
+    offsets = (edges * values.itemsize).astype(np.int32)
+    return pa.Array.from_buffers(pa.binary(), len(edges) - 1, [None, pa.py_buffer(offsets), pa.py_buffer(np.ascontiguousarray(values))])
+
+
+def _runs(column: pa.Array, kind: np.dtype) -> tuple[np.ndarray, np.ndarray]:
+    """The values of a binary column, and the edges of its rows in them."""
+    edges = np.frombuffer(column.buffers()[1], np.int32)[column.offset : column.offset + len(column) + 1].astype(np.int64)
+    data = np.frombuffer(column.buffers()[2], np.uint8)[edges[0] : edges[-1]]
+    return data.view(kind), (edges - edges[0]) // kind.itemsize
 
 
 def write(documents: DataFrame, tokenizer: str, folder: str, end_id: int = 2, shard_tokens: int = 2_000_000) -> DataFrame:
     """Write all documents; returns the manifest: shard, part, n_docs, n_tokens and its start (ids before it)."""
-    spark = documents.sparkSession
+    spark, kind = documents.sparkSession, kind_of(tokenizer, end_id)
     ids = tokenize(documents, tokenizer, end_id)
     ranked = frequencies(ids)
-    rank = np.zeros(1 << 16, np.uint32)
+    rank = np.zeros(max([1 << 16, *(i + 1 for i, _ in ranked)]), np.uint32)
     rank[[i for i, _ in ranked]] = np.arange(len(ranked))
     spark.createDataFrame(ranked, "id long, n long").coalesce(1).write.parquet(f"{folder}/vocabulary")
-    sent = spark.sparkContext.broadcast(rank)  # 256 KB, whatever the input
+    sent = spark.sparkContext.broadcast(rank)  # four bytes an entry of the vocabulary, whatever the input
     shards = parts_for(sum(n for _, n in ranked), shard_tokens)
 
-    def save(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def save(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
         part, held, size, serial = TaskContext.get().partitionId(), [], 0, 0
 
-        def flush() -> pd.DataFrame:
-            docs = np.zeros(len(held), _DOC)
-            docs["doc_id"], docs["null"] = [0 if d is None else d for d, _ in held], [d is None for d, _ in held]
-            docs["values"] = [len(b) // 2 for _, b in held]
-            ranks = sent.value[np.frombuffer(b"".join(b for _, b in held), "<u2")]
+        def flush() -> pa.RecordBatch:
+            docs = np.concatenate([d for d, _ in held])
+            ranks = sent.value[np.concatenate([v for _, v in held])]
             name = write_shard(folder, f"part-{part:06d}-{serial:04d}-{uuid.uuid4().hex}.tok", docs, ranks)
-            return pd.DataFrame([(name, part, serial, len(docs), len(ranks))], columns=["shard", "part", "serial", "n_docs", "n_tokens"])
+            row = {"shard": name, "part": part, "serial": serial, "n_docs": len(docs), "n_tokens": len(ranks)}
+            return pa.RecordBatch.from_pylist([row], pa.schema([("shard", pa.string()), ("part", pa.int32()), ("serial", pa.int32()), ("n_docs", pa.int64()), ("n_tokens", pa.int64())]))
 
         for batch in batches:
-            for doc_id, b in zip(batch["doc_id"], batch["ids"], strict=True):
-                held.append((None if pd.isna(doc_id) else int(doc_id), b))
-                size += len(b) // 2
+            values, edges = _runs(batch.column("ids"), kind)
+            docs = np.zeros(len(batch), _DOC)
+            docs["doc_id"], docs["null"] = pc.fill_null(batch.column("doc_id"), 0), batch.column("doc_id").is_null()
+            docs["values"] = np.diff(edges)
+            lo = 0
+            while lo < len(docs):
+                hi = min(len(docs), max(lo + 1, int(np.searchsorted(edges, edges[lo] + shard_tokens - size))))
+                held.append((docs[lo:hi].copy(), values[edges[lo] : edges[hi]].copy()))
+                size += int(edges[hi] - edges[lo])
                 if size >= shard_tokens:
                     yield flush()
                     held, size, serial = [], 0, serial + 1
+                lo = hi
         if held:
             yield flush()
 
-    order = [F.col("doc_id").asc_nulls_first(), F.crc32("ids"), F.xxhash64("ids")]
-    dealt = ids.repartitionByRange(max(shards, spark.sparkContext.defaultParallelism), *order).sortWithinPartitions(*order)
-    manifest = stored(dealt.mapInPandas(save, "shard string, part int, serial int, n_docs long, n_tokens long"), "manifest")
+    rows = ids.where("counts IS NULL").select("doc_id", "ids", "mark")
+    order = [F.col("doc_id").asc_nulls_first(), F.col("mark")]
+    dealt = rows.repartitionByRange(max(shards, spark.sparkContext.defaultParallelism), *order).sortWithinPartitions(*order, "ids")
+    manifest = stored(dealt.mapInArrow(save, "shard string, part int, serial int, n_docs long, n_tokens long"), "manifest")
+    drop_stored(ids)
     before = Window.orderBy("part", "serial").rowsBetween(Window.unboundedPreceding, -1)  # one row for each shard
     return manifest.withColumn("start", F.coalesce(F.sum("n_tokens").over(before), F.lit(0)).cast("long"))
 
 
 def read(manifest: DataFrame, folder: str) -> DataFrame:
-    """doc_id, start, n_tokens, ids (array of the original token ids) of every document, from the files."""
+    """doc_id, start, n_tokens, ids (the original token ids, 32 bits each) of every document, from the files."""
     spark = manifest.sparkSession
     ranked = [r["id"] for r in spark.read.parquet(f"{folder}/vocabulary").orderBy(F.desc("n"), "id").collect()]
     back = spark.sparkContext.broadcast(np.array(ranked, "<u4"))
 
-    def load(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def load(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for name, start in zip(batch["shard"], batch["start"], strict=True):
+            for name, start in zip(batch.column("shard").to_pylist(), batch.column("start").to_pylist(), strict=True):
                 docs, ranks = read_shard(folder, name)
-                ids = back.value[ranks]
-                ends = np.cumsum(docs["values"]).astype(np.int64)
-                for lo in range(0, len(docs), 4096):
-                    rows = range(lo, min(lo + 4096, len(docs)))
-                    begins = [int(ends[i - 1]) if i else 0 for i in rows]
-                    yield pd.DataFrame({
-                        "doc_id": pd.array([None if docs["null"][i] else int(docs["doc_id"][i]) for i in rows], "Int64"),
-                        "start": [int(start) + b for b in begins],
-                        "n_tokens": [int(ends[i]) - b for i, b in zip(rows, begins, strict=True)],
-                        "ids": [ids[b : ends[i]].tobytes() for i, b in zip(rows, begins, strict=True)],
-                    })
+                edges = np.concatenate([[0], np.cumsum(docs["values"], dtype=np.int64)])
+                doc_id = pa.array(docs["doc_id"], mask=docs["null"].astype(bool))
+                yield pa.RecordBatch.from_arrays([doc_id, pa.array(start + edges[:-1]), pa.array(np.diff(edges)), _binary(back.value[ranks], edges)], ["doc_id", "start", "n_tokens", "ids"])
 
     spread = manifest.select("shard", "start").repartition(spark.sparkContext.defaultParallelism * 2)
-    return spread.mapInPandas(load, "doc_id long, start long, n_tokens long, ids binary")
+    return spread.mapInArrow(load, "doc_id long, start long, n_tokens long, ids binary")
 
 
 def round_trip(documents: DataFrame, tokenizer: str, end_id: int = 2) -> DataFrame:
     """Write, read back, and give doc_id, start, n_tokens, ids_crc32 of what the files hold."""
-    folder = f"{shared_dir(documents.sparkSession)}/tokens-{uuid.uuid4().hex}"
+    folder = f"{shared_folder(documents.sparkSession)}/tokens-{uuid.uuid4().hex}"
     manifest = write(documents, tokenizer, folder, end_id)
     return read(manifest, folder).select("doc_id", "start", "n_tokens", F.crc32("ids").alias("ids_crc32"))

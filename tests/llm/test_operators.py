@@ -8,13 +8,14 @@ from collections import Counter, defaultdict
 
 import duckdb
 import numpy as np
+import pyarrow as pa
 import pytest
 import xxhash
 from pyspark.sql import functions as F
 
 from mapmatch.llm import components, language, mixing, packing, pii, queries, simhash, spotsigs, substring, token_files, topk, urls
-from mapmatch.llm.common import WordTokenizer
 from mapmatch.llm.expressions import literal_rows
+from mapmatch.llm.tokens import Encoder
 
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
 VOCAB = "the of and to in house river stone walks under bright morning le la de et dans maison fleuve der und die haus el los casa río".split()
@@ -116,14 +117,24 @@ def test_url_rules_by_brute_force_and_without_broadcast(spark, sf):
 
 
 def test_tokenizer_is_the_librarys():
-    mine = WordTokenizer(queries.TOKENIZER, keep=50)
-    texts = [t for _, t, _, _ in DOCS] + ["don't it's <|endoftext|> x<|endoftext|>y", "Ünï ÅÄ ß ẞ İ ΑΣ.", "日本語 ab12 __ --", "a" * 3000]
-    for text, ids in zip(texts, mine.encode_many(texts, 500), strict=True):
-        assert ids.tolist() == mine._encoder.encode(text or "", add_special_tokens=False).ids
+    mine = Encoder(queries.TOKENIZER, keep=50)
+    assert mine.by_word
+    texts = [t for _, t, _, _ in DOCS] + ["don't it's <|endoftext|> x<|endoftext|>y", "<|ENDOFTEXT|> É<|EndOfText|>", "Ünï ÅÄ ß ẞ İ ΑΣ. × a×b ÷", "日本語 ab12 __ --", "a" * 3000, "ÀÉ... à.b. \x1c x\u2003y", "e\u0301 É"]
+    for size in (500, 10**6):
+        for lo, hi, ids, edges in mine.slices(pa.array(texts, pa.string()), size):
+            for i in range(lo, hi):
+                assert ids[edges[i - lo] : edges[i - lo + 1]].tolist() == mine.library.encode(texts[i] or "", add_special_tokens=False).ids
+
+
+def test_other_tokenizer_files_go_to_the_library():
+    mine = Encoder(queries.public_tokenizers.path("byte_bpe_50k.json"))
+    assert not mine.by_word
+    for text in ("Two  spaces, Ünï and <|endoftext|>", "", "día 😀"):
+        assert mine.encode(text).tolist() == mine.library.encode(text, add_special_tokens=False).ids
 
 
 def token_ids(text, end):
-    return WordTokenizer.of(queries.TOKENIZER)._encoder.encode(text or "", add_special_tokens=False).ids + [end]
+    return Encoder.of(queries.TOKENIZER).library.encode(text or "", add_special_tokens=False).ids + [end]
 
 
 def crc(ids):
