@@ -17,10 +17,12 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import WordTokenizer, parts_for, stored
+from .common import parts_for, stored
+from .tokens import Encoder
 
 #: Sequence numbers of a packing round: round, partition and bin side by side.
 _BIN_BITS, _PART_BITS = 24, 32
@@ -78,20 +80,24 @@ _PIECE_NAMES = [x.split()[0] for x in _PIECES.split(", ")]
 def pieces(documents: DataFrame, tokenizer: str, capacity: int = 4096, end_id: int = 1) -> DataFrame:
     """Token pieces of every document, with a number to deal them by that spreads repeated rows too."""
 
-    def cut(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        encoder, seen = WordTokenizer.of(tokenizer), 0
+    def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        encoder, seen = Encoder.of(tokenizer), 0
         for batch in batches:
-            rows = []
-            for doc_id, found in zip(batch["doc_id"], encoder.encode_many(batch["text"]), strict=True):
-                ids = np.append(found, end_id).astype("<u4")
-                for piece, start in enumerate(range(0, len(ids), capacity)):
-                    part = ids[start : start + capacity]
-                    rows.append((None if doc_id is None or doc_id != doc_id else int(doc_id), piece, start, len(part), zlib.crc32(part.tobytes()), seen))
-                    seen += 1
-            yield pd.DataFrame(rows, columns=["doc_id", "piece", "start", "length", "ids_crc32", "deal"]).astype({"doc_id": "Int64"})
+            for lo, hi, ids, edges in encoder.closed(batch.column("text"), end_id):
+                size = np.diff(edges)
+                n = -(-size // capacity)
+                doc = np.repeat(np.arange(hi - lo), n)
+                piece = np.arange(len(doc)) - np.repeat(np.cumsum(n) - n, n)
+                start = piece * capacity
+                length = np.minimum(size[doc] - start, capacity)
+                at = edges[doc] + start
+                crc = [zlib.crc32(ids[a:b]) for a, b in zip(at.tolist(), (at + length).tolist(), strict=True)]
+                columns = [batch.column("doc_id").slice(lo, hi - lo).take(pa.array(doc)), pa.array(piece, pa.int32()), pa.array(start), pa.array(length), pa.array(crc, pa.int64()), pa.array(seen + np.arange(len(doc)))]
+                seen += len(doc)
+                yield pa.RecordBatch.from_arrays(columns, _PIECE_NAMES)
 
     source = documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    return source.mapInPandas(cut, _PIECES).withColumn("deal", F.xxhash64(F.spark_partition_id(), "deal"))
+    return source.mapInArrow(cut, _PIECES).withColumn("deal", F.xxhash64(F.spark_partition_id(), "deal"))
 
 
 def _packer(capacity: int, round_: int):
