@@ -41,8 +41,8 @@ def end_states(image: tuple[int, ...], initial: int) -> int:
     return out
 
 
-#: Images are kept whole up to this number of cells; beyond it they are rebuilt from parents on demand.
-KEEP_CELLS = 1 << 25
+#: Images are kept whole up to this number of cells (8 MB at most); beyond it they are rebuilt from parents on demand.
+KEEP_CELLS = 1 << 21
 
 
 @dataclass(eq=False)
@@ -101,7 +101,7 @@ class MapAutomaton:
         return bool(self.final[self.run(symbols)])
 
 
-def close_functions(dfa: Dfa, most: int = 1_000_000) -> MapAutomaton:
+def close_functions(dfa: Dfa, most: int = 1_100_000) -> MapAutomaton:
     """All maps reachable over a complete deterministic automaton, level by level.
 
     A level's next maps are one gather for each class. Maps are told apart by 128-bit fingerprints (two sums of random
@@ -142,7 +142,7 @@ def close_functions(dfa: Dfa, most: int = 1_000_000) -> MapAutomaton:
         frontier = np.concatenate(fresh) if fresh else np.zeros((0, d), kind)
         kept = kept and len(parents) * d <= KEEP_CELLS
         images = [*images, frontier] if kept else []
-    return MapAutomaton(dfa, np.concatenate(edges).astype(np.int32), np.array(finals), np.array(parents), np.array(vias), np.concatenate(images) if kept else None)
+    return MapAutomaton(dfa, np.concatenate(edges).astype(np.int32), np.array(finals), np.array(parents, np.int32), np.array(vias, np.uint16), np.concatenate(images) if kept else None)
 
 
 def close_relations(nfa: Nfa, most: int = 100_000) -> MapAutomaton:
@@ -188,22 +188,41 @@ def compose_table(auto: MapAutomaton, most_cells: int = 16_000_000) -> np.ndarra
 
 
 class LazyMaps:
-    """Function maps made only as words meet them, remembered within one task; numbers mean nothing outside it."""
+    """Maps made only as words meet them, remembered within one worker; numbers mean nothing outside it.
 
-    def __init__(self, dfa: Dfa, keep: int = 65_536):
-        self.dfa, self.keep, self.made, self.flushes = dfa, keep, 0, 0
-        self._start([np.arange(dfa.size, dtype=np.int32)])
+    Over a deterministic automaton an image is a vector of states. Over a nondeterministic one it is a boolean matrix,
+    so that no deterministic automaton is ever made: what is never met costs nothing, however many maps or subsets
+    there are.
+    """
+
+    def __init__(self, base: Dfa | Nfa, keep: int = 65_536):
+        self.base, self.keep, self.made, self.flushes = base, keep, 0, 0
+        if isinstance(base, Dfa):
+            self._first = np.arange(base.size, dtype=np.int32)
+            self._advance = lambda image, c: base.delta[image, c]
+        else:
+            self._first = np.eye(base.size, dtype=bool)
+            rows = np.zeros((base.classes.k, base.size, base.size), np.float32)
+            for q, c, to in base.edges():
+                rows[c, q, to] = 1
+            self._advance = lambda image, c: image.astype(np.float32) @ rows[c] > 0
+        self._start([self._first])
 
     def _start(self, images: list[np.ndarray]) -> None:
         self.images, self.ids = images, {x.tobytes(): i for i, x in enumerate(images)}
-        self.delta = np.full((max(64, 2 * len(images)), self.dfa.classes.k), -1, np.int32)
+        self.delta = np.full((max(64, 2 * len(images)), self.base.classes.k), -1, np.int32)
         self.made += len(images)
 
     def identity(self) -> int:
-        image = np.arange(self.dfa.size, dtype=np.int32)
-        if image.tobytes() not in self.ids:
-            self._add(image)
-        return self.ids[image.tobytes()]
+        known = self.ids.get(self._first.tobytes())
+        return self._add(self._first) if known is None else known
+
+    def listed(self, m: int) -> list[int]:
+        """An image as a list of states, or of bit masks."""
+        image = self.images[m]
+        if image.ndim == 1:
+            return image.tolist()
+        return [int.from_bytes(row.tobytes(), "little") for row in np.packbits(image, axis=1, bitorder="little")]
 
     def _add(self, image: np.ndarray) -> int:
         self.ids[image.tobytes()] = len(self.images)
@@ -220,7 +239,7 @@ class LazyMaps:
         used, renamed = np.unique(maps, return_inverse=True)
         self._start([self.images[m] for m in used])
         self.flushes += 1
-        return renamed.astype(np.int32)
+        return renamed.ravel().astype(np.int32)
 
     def step(self, maps: np.ndarray, classes: np.ndarray) -> np.ndarray:
         """Next maps of many lanes at once."""
@@ -228,7 +247,7 @@ class LazyMaps:
         missing = np.flatnonzero(out < 0)
         if len(missing):
             for m, c in np.unique(np.stack([maps[missing], classes[missing]]), axis=1).T.tolist():
-                image = self.dfa.delta[self.images[m], c]
+                image = self._advance(self.images[m], c)
                 known = self.ids.get(image.tobytes())
                 self.delta[m, c] = self._add(image) if known is None else known
             out = self.delta[maps, classes]

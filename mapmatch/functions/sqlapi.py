@@ -73,7 +73,7 @@ class MatchEnds:
 
         d = Compiled(p).dfa
         lanes = lanes_of(pa.array([text or ""]), d.classes.table, "codepoint")
-        for pos in match_ends(lanes, d, np.zeros(1, np.int32))[0].tolist():
+        for pos in match_ends(lanes, d, np.zeros(1, np.int32))[1].tolist():
             yield (pos,)
 
 

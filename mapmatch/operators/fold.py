@@ -16,8 +16,9 @@ from pyspark.sql.window import Window
 
 from ..automata.maps import MapAutomaton
 
-#: Segments of a word that one row may gather before the tree is used; how many segments a round of the tree joins.
-IN_ORDER_LIMIT, FANOUT = 100_000, 1024
+#: Neighbouring segments that a round joins in one row, and rounds: with two, a row gathers at most CELL segments, then
+#: at most 2**31 / CELL cells.
+CELL, ROUNDS = 1 << 15, 2
 
 
 def compose(f: Column, g: Column) -> Column:
@@ -36,52 +37,64 @@ def _adjacent(parts: Column) -> Column:
     return F.forall(pairs, lambda p: p["a"]["hi"] + 1 == p["b"]["lo"])
 
 
-def _collected(segments: DataFrame, *keys: str) -> DataFrame:
-    parts = segments.groupBy(*keys).agg(F.array_sort(F.collect_list(F.struct("lo", "hi", "image"))).alias("parts"))
+def _collected(segments: DataFrame, *keys: str, gaps: bool = False) -> DataFrame:
+    """keys, parts (sorted segments) and whether any image is null; unless gaps may be, parts not adjacent are an error."""
+    parts = segments.groupBy(*keys).agg(F.array_sort(F.collect_list(F.struct("lo", "hi", "image"))).alias("parts"), F.bool_or(F.col("image").isNull()).alias("none"))
+    if gaps:
+        return parts
     checked = F.when(_adjacent(F.col("parts")), F.col("parts")).otherwise(F.raise_error(F.lit("chunk gap or overlap")))
     return parts.withColumn("parts", checked)
 
 
-def fold_in_order(segments: DataFrame, start: int = 0) -> DataFrame:
-    """word_id, end_state: the start state carried through all segments in order; a lookup a segment."""
-    parts = _collected(segments, "word_id")
+def _joined(segments: DataFrame, both, *keys: str, gaps: bool = False) -> DataFrame:
+    """keys, lo, hi, image: each group's images composed in order; null if one is null."""
+    parts = _collected(segments, *keys, gaps=gaps)
+    first = F.get("parts", F.lit(0))
+    image = F.aggregate(F.slice("parts", 2, F.size("parts")), first["image"], lambda f, p: both(f, p["image"]))
+    return parts.select(*keys, first["lo"].alias("lo"), F.element_at("parts", -1)["hi"].alias("hi"), F.when(~F.col("none"), image).alias("image"))
+
+
+def _cells(segments: DataFrame, both, width: int, gaps: bool = False) -> DataFrame:
+    """Segments of each cell of ``width`` chunks joined; a segment belongs to the cell in which it begins."""
+    return _joined(segments.withColumn("cell", F.floor(F.col("lo") / width)), both, "word_id", "cell", gaps=gaps).drop("cell")
+
+
+def _rounds(segments: DataFrame, both, fanout: int, rounds: int, gaps: bool = False) -> DataFrame:
+    """All rounds but the last: no row gathers more than ``fanout`` neighbours of the round before."""
+    for i in range(1, rounds):
+        segments = _cells(segments, both, fanout**i, gaps)
+    return segments
+
+
+def fold_tree(segments: DataFrame, fanout: int = CELL, rounds: int = ROUNDS) -> DataFrame:
+    """word_id, lo, hi, image: composition in rounds of neighbours; the last round joins what is left of a word."""
+    return _joined(_rounds(segments, compose, fanout, rounds), compose, "word_id")
+
+
+def fold_relations_tree(segments: DataFrame, fanout: int = CELL, rounds: int = ROUNDS) -> DataFrame:
+    """The same for relation images (arrays of state arrays): boolean matrix products, round by round."""
+    return _joined(_rounds(segments, compose_relations, fanout, rounds), compose_relations, "word_id")
+
+
+def fold_in_order(segments: DataFrame, start: int = 0, fanout: int = CELL, rounds: int = ROUNDS, gaps: bool = False) -> DataFrame:
+    """word_id, end_state: the start state carried through all cells of a word in order, a lookup each; null for a null word."""
+    parts = _collected(_rounds(segments, compose, fanout, rounds, gaps), "word_id", gaps=gaps)
     end = F.aggregate("parts", F.lit(start), lambda q, p: F.element_at(p["image"], q + 1))
-    return parts.select("word_id", end.alias("end_state"))
-
-
-def fold_tree(segments: DataFrame, fanout: int = FANOUT, most_chunks: int | None = None) -> DataFrame:
-    """word_id, lo, hi, image: composition in rounds of up to ``fanout`` neighbours, so no row gathers a whole word."""
-    if most_chunks is None:
-        most_chunks = (segments.agg(F.max("hi")).first()[0] or 0) + 1
-    width, now = fanout, segments
-    while True:
-        parts = _collected(now.withColumn("cell", F.floor(F.col("lo") / width)), "word_id", "cell")
-        image = F.aggregate(F.slice("parts", 2, F.size("parts")), F.get("parts", F.lit(0))["image"], lambda f, p: compose(f, p["image"]))
-        now = parts.select("word_id", F.get("parts", F.lit(0))["lo"].alias("lo"), F.element_at("parts", -1)["hi"].alias("hi"), image.alias("image"))
-        if width >= most_chunks:
-            return now
-        width *= fanout
-
-
-def fold_relations(segments: DataFrame, initial: list[int], in_order: bool = True) -> DataFrame:
-    """word_id, end_states: relation images (arrays of state arrays) applied to the initial states."""
-    parts = _collected(segments, "word_id")
-    through = lambda states, image: F.array_sort(F.array_distinct(F.flatten(F.transform(states, lambda q: F.element_at(image, q + 1)))))
-    start = F.array(*[F.lit(q) for q in initial]).cast("array<int>")
-    if in_order:
-        end = F.aggregate("parts", start, lambda states, p: through(states, p["image"]))
-    else:
-        whole = F.aggregate(F.slice("parts", 2, F.size("parts")), F.get("parts", F.lit(0))["image"], lambda f, p: compose_relations(f, p["image"]))
-        end = through(start, whole)
-    return parts.select("word_id", end.alias("end_states"))
+    return parts.select("word_id", F.when(~F.col("none"), end).alias("end_state"))
+
 
+def _through(states: Column, image: Column) -> Column:
+    return F.array_sort(F.array_distinct(F.flatten(F.transform(states, lambda q: F.element_at(image, q + 1)))))
 
-def fold(segments: DataFrame, start: int = 0, limit: int = IN_ORDER_LIMIT) -> DataFrame:
-    """fold_in_order, or the tree where a word has more segments than one row should gather."""
-    most = segments.groupBy("word_id").count().agg(F.max("count")).first()[0] or 0
-    if most <= limit:
-        return fold_in_order(segments, start)
-    return fold_tree(segments).select("word_id", F.element_at("image", start + 1).alias("end_state"))
+
+def fold_relations(segments: DataFrame, initial: list[int], in_order: bool = True, fanout: int = CELL, rounds: int = ROUNDS) -> DataFrame:
+    """word_id, end_states: the initial states carried through all cells, or sent once through the tree's product."""
+    start = F.array(*[F.lit(q) for q in initial]).cast("array<int>")
+    if not in_order:
+        return fold_relations_tree(segments, fanout, rounds).select("word_id", F.when(F.col("image").isNotNull(), _through(start, F.col("image"))).alias("end_states"))
+    parts = _collected(_rounds(segments, compose_relations, fanout, rounds), "word_id")
+    end = F.aggregate("parts", start, lambda states, p: _through(states, p["image"]))
+    return parts.select("word_id", F.when(~F.col("none"), end).alias("end_states"))
 
 
 def check_gaps(chunks: DataFrame) -> DataFrame:
@@ -90,13 +103,26 @@ def check_gaps(chunks: DataFrame) -> DataFrame:
     return chunks.withColumn("_before", F.coalesce(before, F.lit(-1))).where("chunk_ix <> _before + 1").select("word_id", "chunk_ix")
 
 
-def carry_in(segments: DataFrame, start: int = 0) -> DataFrame:
-    """word_id, lo, entry: the state in which each segment is entered, by an exclusive prefix fold."""
-    parts = _collected(segments, "word_id")
+def carry_in(segments: DataFrame, start: int = 0, cell: int = CELL) -> DataFrame:
+    """word_id, lo, entry: the state in which each segment is entered, by an exclusive prefix fold in two passes.
+
+    Cells of ``cell`` chunks are composed, the state is carried over the cells of a word, and then through each cell's own
+    segments. ``segments`` is read twice, so it should be written down.
+    """
     empty = F.array().cast("array<struct<lo:int,entry:int>>")
-    step = lambda acc, p: F.struct(F.element_at(p["image"], acc["q"] + 1).alias("q"), F.concat(acc["out"], F.array(F.struct(p["lo"].cast("int").alias("lo"), acc["q"].alias("entry")))).alias("out"))
-    placed = F.aggregate("parts", F.struct(F.lit(start).alias("q"), empty.alias("out")), step, lambda acc: acc["out"])
-    return parts.select("word_id", F.explode(placed).alias("x")).select("word_id", "x.lo", "x.entry")
+
+    def entries(parts: str, first: Column) -> Column:
+        def step(acc: Column, p: Column) -> Column:
+            one = F.struct(p["lo"].cast("int").alias("lo"), acc["q"].alias("entry"))
+            return F.struct(F.element_at(p["image"], acc["q"] + 1).alias("q"), F.concat(acc["out"], F.array(one)).alias("out"))
+
+        return F.explode(F.aggregate(parts, F.struct(first.cast("int").alias("q"), empty.alias("out")), step, lambda acc: acc["out"]))
+
+    placed = segments.withColumn("cell", F.floor(F.col("lo") / cell))
+    whole = _joined(placed, compose, "word_id", "cell")
+    entered = _collected(whole, "word_id").select("word_id", entries("parts", F.lit(start)).alias("x")).select("word_id", F.floor(F.col("x.lo") / cell).alias("cell"), F.col("x.entry").alias("first"))
+    parts = _collected(placed, "word_id", "cell").join(entered, ["word_id", "cell"])
+    return parts.select("word_id", entries("parts", F.col("first")).alias("x")).select("word_id", "x.lo", "x.entry")
 
 
 def map_images(spark, auto: MapAutomaton) -> DataFrame:

@@ -11,7 +11,7 @@ from dataclasses import dataclass, field
 import numpy as np
 import pyarrow as pa
 
-from ..automata.dfa import Dfa
+from ..automata.dfa import Dfa, LazySubset
 from ..automata.maps import LazyMaps, MapAutomaton
 from ..automata.nfa import Nfa
 
@@ -74,62 +74,127 @@ def _lockstep(lanes: Lanes, state: np.ndarray, step) -> np.ndarray:
     return back
 
 
+#: Cells of a table that steps over several symbols at once; symbols of a block.
+WIDE_CELLS, _BLOCK = 1 << 18, 256
+
+
+class Steps:
+    """A transition table over runs of ``m`` symbols, m as large as keeps the table small: one lookup takes m symbols.
+
+    Entries are the row offsets of the next state, so a step is a sum and a gather.
+    """
+
+    def __init__(self, delta: np.ndarray, cells: int = WIDE_CELLS):
+        n, k = delta.shape
+        self.k, self.m, wide = k, 1, np.asarray(delta, np.int64)
+        while self.m < 8 and n * wide.shape[1] * k <= cells and wide.shape[1] * k <= 1 << 16:
+            wide = wide[delta].reshape(n, -1)  # first one symbol, then a run
+            self.m += 1
+        self.columns = wide.shape[1]
+        self.flat = np.ascontiguousarray(wide * self.columns, np.intp).ravel()
+        self.single = None if self.m == 1 else np.asarray(delta, np.intp).ravel()
+        self.done = (delta == np.arange(n)[:, None]).all(axis=1)
+
+    def runs(self, symbols: np.ndarray) -> np.ndarray:
+        """Numbers of runs of m symbols; symbols by time, then lane, a multiple of m rows."""
+        if self.m == 1:
+            return symbols
+        kind = np.uint8 if self.columns <= 256 else np.uint16
+        out = symbols[:: self.m].astype(kind)
+        for i in range(1, self.m):
+            np.multiply(out, kind(self.k), out=out)
+            np.add(out, symbols[i :: self.m], out=out, casting="unsafe")
+        return out
+
+
+_STEPS: dict[int, tuple[np.ndarray, Steps]] = {}
+
+
+def steps_of(delta: np.ndarray) -> Steps:
+    """The prepared table of a transition table; the last few are kept."""
+    held = _STEPS.get(id(delta))
+    if held is None:
+        while len(_STEPS) >= 4:
+            _STEPS.pop(next(iter(_STEPS)))
+        held = _STEPS[id(delta)] = (delta, Steps(delta))
+    return held[1]
+
+
 def walk_table(lanes: Lanes, delta: np.ndarray, start: int | np.ndarray = 0) -> np.ndarray:
-    """End states of all lanes: one lookup a symbol, over a deterministic automaton or a map automaton.
+    """End states of all lanes: one lookup a symbol or less, over a deterministic automaton or a map automaton.
 
-    The table holds row offsets instead of states, so a step is two gathers and a sum, written in place.
+    Symbols are laid out by time in blocks, so that a step reads one contiguous row of them.
     """
-    n, k = delta.shape
-    flat = np.multiply(delta, k, dtype=np.intp).ravel()
-    done = (delta == np.arange(n)[:, None]).all(axis=1)
+    table = steps_of(delta)
+    m, width = table.m, table.columns
     order = np.argsort(-lanes.length, kind="stable")
     length, at = lanes.length[order], lanes.start[order].astype(np.intp)
-    state = (np.full(len(lanes), start, np.intp) if np.isscalar(start) else np.asarray(start, np.intp)[order]) * k
+    state = np.full(len(lanes), start, np.intp) if np.isscalar(start) else np.asarray(start, np.intp)[order]
     out, name = np.empty(len(lanes), np.int32), order
-    symbol, cell = np.empty(len(lanes), lanes.classes.dtype), np.empty(len(lanes), np.intp)
     t = 0
     while active := int(np.searchsorted(-length, -t)):
-        s, p, c, x = state[:active], at[:active], symbol[:active], cell[:active]
-        steps = min(int(length[active - 1]) - t, 256)
-        for _ in range(steps):
-            np.take(lanes.classes, p, out=c, mode="clip")
-            np.add(s, c, out=x)
-            np.take(flat, x, out=s, mode="clip")
-            p += 1
+        steps = min(int(length[active - 1]) - t, _BLOCK)
+        rows = np.lib.stride_tricks.sliding_window_view(lanes.classes, steps)[at[:active]]
+        symbols = np.ascontiguousarray(rows.T)
+        s, whole = state[:active] * width, steps - steps % m
+        cell = np.empty(active, np.intp)
+        if whole:
+            for run in table.runs(symbols[:whole]):
+                np.add(s, run, out=cell)
+                np.take(table.flat, cell, out=s, mode="clip")
+        s //= width
+        for row in symbols[whole:]:
+            np.take(table.single, s * table.k + row, out=s, mode="clip")
+        state[:active] = s
+        at[:active] += steps
         t += steps
-        stay = done[s // k]
+        stay = table.done[s]
         if stay.mean() > 0.25:
             gone = np.concatenate([np.flatnonzero(stay), np.arange(active, len(state))])
-            out[name[gone]] = state[gone] // k
+            out[name[gone]] = state[gone]
             keep = np.flatnonzero(~stay)
             state, length, at, name = state[keep], length[keep], at[keep], name[keep]
-    out[name] = state // k
+    out[name] = state
     return out
 
 
 def walk_all_states(lanes: Lanes, dfa: Dfa) -> np.ndarray:
     """Speculation: every lane carries the destination of each state, so D lookups a symbol. Returns images."""
-    state = np.broadcast_to(np.arange(dfa.size, dtype=np.int32), (len(lanes), dfa.size)).copy()
-    return _lockstep(lanes, state, lambda s, c: dfa.delta[s, c[:, None]])
+    k, d = dfa.classes.k, dfa.size
+    by_class = np.ascontiguousarray(dfa.delta.T, np.intp)
+    flat = (by_class).ravel()
+    state = np.broadcast_to(np.arange(d, dtype=np.intp), (len(lanes), d)).copy()
+    offset = np.arange(k, dtype=np.intp) * d
 
+    def step(s: np.ndarray, c: np.ndarray) -> np.ndarray:
+        return np.take(flat, s + offset[c][:, None], mode="clip")
 
-def walk_merged_states(lanes: Lanes, dfa: Dfa) -> tuple[np.ndarray, int]:
-    """Speculation that advances only distinct destinations. Returns images and the lookups made."""
-    images, lookups = np.empty((len(lanes), dfa.size), np.int32), 0
-    for i in range(len(lanes)):
-        labels, where = np.arange(dfa.size), np.arange(dfa.size)
-        for t, c in enumerate(lanes.classes[lanes.start[i] : lanes.start[i] + lanes.length[i]].tolist()):
-            labels = dfa.delta[labels, c]
-            lookups += len(labels)
-            if len(labels) > 1 and t % 8 == 0:
-                labels, back = np.unique(labels, return_inverse=True)
-                where = back[where]
-        images[i] = labels[where]
-    return images, lookups
+    return _lockstep(lanes, state, step).astype(np.int32)
+
+
+def walk_merged_states(lanes: Lanes, dfa: Dfa, every: int = 8) -> tuple[np.ndarray, int]:
+    """Speculation that advances only distinct destinations. Returns images and the lookups made.
+
+    All lanes' destinations lie in one array; every few symbols those that have met within a lane become one.
+    """
+    d, k = dfa.size, dfa.classes.k
+    flat, n = np.asarray(dfa.delta, np.int64).ravel(), len(lanes)
+    lane, label = np.repeat(np.arange(n), d), np.tile(np.arange(d, dtype=np.int64), n)
+    where, lookups = np.arange(n * d), 0
+    left = lanes.length.copy()
+    for t in range(int(lanes.length.max(initial=0))):
+        live = np.flatnonzero(t < left[lane])
+        of = lane[live]
+        label[live] = flat[label[live] * k + lanes.classes[lanes.start[of] + t]]
+        lookups += len(live)
+        if t % every == every - 1:
+            pairs, back = np.unique(lane * d + label, return_inverse=True)
+            where, lane, label = back.ravel()[where], pairs // d, pairs % d
+    return label[where].reshape(n, d).astype(np.int32), lookups
 
 
 def walk_lazy(lanes: Lanes, lazy: LazyMaps) -> np.ndarray:
-    """Images of all lanes by maps made on demand."""
+    """The numbers, in ``lazy``, of all lanes' maps, made on demand."""
     order = np.argsort(-lanes.length, kind="stable")
     start, length = lanes.start[order], lanes.length[order]
     state = np.full(len(order), lazy.identity(), np.int32)
@@ -137,83 +202,148 @@ def walk_lazy(lanes: Lanes, lazy: LazyMaps) -> np.ndarray:
         active = int(np.searchsorted(-length, -t))
         state = lazy.make_room(state, active)
         state[:active] = lazy.step(state[:active], lanes.classes[start[:active] + t])
-    images = np.stack(lazy.images)[state] if len(state) else np.zeros((0, lazy.dfa.size), np.int32)
-    back = np.empty_like(images)
-    back[order] = images
+    back = np.empty_like(state)
+    back[order] = state
     return back
 
 
-def walk_state_sets(lanes: Lanes, nfa: Nfa) -> list[int]:
-    """Reached state sets (bit masks) of all lanes, by simulation."""
-    out = []
-    for s, n in zip(lanes.start.tolist(), lanes.length.tolist(), strict=True):
-        states = nfa.initial
-        for c in lanes.classes[s : s + n].tolist():
-            states = nfa.move(states, c)
-        out.append(states)
+def walk_lazy_subsets(lanes: Lanes, lazy: LazySubset, keep: int = 1 << 18) -> np.ndarray:
+    """Whether each lane is accepted, by subsets made on demand; beyond ``keep`` of them they are forgotten and made anew."""
+
+    def step(state: np.ndarray, classes: np.ndarray) -> np.ndarray:
+        pairs, back = np.unique(state * lazy.nfa.classes.k + classes, return_inverse=True)
+        return np.array([lazy.step(*divmod(x, lazy.nfa.classes.k)) for x in pairs.tolist()], np.int64)[back.ravel()]
+
+    out = np.zeros(len(lanes), bool)
+    for lo in range(0, len(lanes), 1024):  # subsets are forgotten between groups of lanes
+        some = Lanes(lanes.classes, lanes.start[lo : lo + 1024], lanes.length[lo : lo + 1024], lanes.valid[lo : lo + 1024])
+        if len(lazy.sets) > keep:
+            lazy.__init__(lazy.nfa)
+        ends = _lockstep(some, np.zeros(len(some), np.int64), step)
+        out[lo : lo + 1024] = [bool(lazy.sets[q] & lazy.nfa.final) for q in ends.tolist()]
     return out
 
 
-def halve(classes: np.ndarray, delta: np.ndarray, table: np.ndarray) -> int:
-    """The map of one lane by combining neighbours: logarithmically many rounds over the composition table."""
-    maps = delta[0, classes]
-    while len(maps) > 1:
-        if len(maps) % 2:
-            maps = np.append(maps, 0)
-        maps = table[maps[::2], maps[1::2]]
-    return int(maps[0]) if len(maps) else 0
+class SetSteps:
+    """Moves of sets of NFA states in words of 64 bits: a lookup for each eight states, for all lanes at once."""
+
+    def __init__(self, nfa: Nfa):
+        self.words = -(-nfa.size // 64)
+        k, groups = nfa.classes.k, -(-nfa.size // 8)
+        self.table = np.zeros((k, groups, 256, self.words), np.uint64)
+        for g in range(groups):
+            for bit in range(min(8, nfa.size - 8 * g)):
+                for c in range(k):
+                    to = self.pack(nfa.step[8 * g + bit][c])
+                    self.table[c, g, np.arange(256) >> bit & 1 == 1] |= to
+        self.initial, self.final = self.pack(nfa.initial), self.pack(nfa.final)
+
+    def pack(self, states: int) -> np.ndarray:
+        return np.frombuffer(states.to_bytes(8 * self.words, "little"), np.uint64)
 
+    def move(self, sets: np.ndarray, classes: np.ndarray) -> np.ndarray:
+        eights = sets.view(np.uint8).reshape(len(sets), -1)
+        out = self.table[classes, 0, eights[:, 0]]
+        for g in range(1, self.table.shape[1]):
+            out |= self.table[classes, g, eights[:, g]]
+        return out
 
-def match_ends(lanes: Lanes, dfa: Dfa, start: np.ndarray) -> list[np.ndarray]:
-    """For each lane, entered in the given state, the positions (symbols read) after which the state is final."""
-    out: list[list[int]] = [[] for _ in range(len(lanes))]
+
+def walk_state_sets(lanes: Lanes, sets: SetSteps) -> np.ndarray:
+    """Whether each lane is accepted, by simulation with state sets."""
+    state = np.broadcast_to(sets.initial, (len(lanes), sets.words)).copy()
+    ends = _lockstep(lanes, state, sets.move)
+    return (ends & sets.final).any(axis=1)
+
+
+def halve(lanes: Lanes, delta: np.ndarray, table: np.ndarray, cells: int = 1 << 22) -> np.ndarray:
+    """The maps of all lanes by combining neighbours: logarithmically many rounds over the composition table."""
+    out = np.zeros(len(lanes), np.int64)
     order = np.argsort(-lanes.length, kind="stable")
-    state, length, begin = start[order].copy(), lanes.length[order], lanes.start[order]
+    lo = 0
+    while lo < len(order) and lanes.length[order[lo]]:
+        width = 1 << (int(lanes.length[order[lo]]) - 1).bit_length()
+        some = order[lo : lo + max(1, cells // width)]
+        column = np.arange(width)
+        there = column < lanes.length[some][:, None]
+        maps = np.where(there, delta[0, lanes.classes[np.minimum(lanes.start[some][:, None] + column, len(lanes.classes) - 1)]], 0)  # the identity beyond the end
+        while maps.shape[1] > 1:
+            maps = table[maps[:, ::2], maps[:, 1::2]]
+        out[some] = maps[:, 0]
+        lo += len(some)
+    return out
+
+
+def match_ends(lanes: Lanes, dfa: Dfa, start: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Lane and position (symbols read) of every prefix after which the state is final, each lane entered in its state."""
+    order = np.argsort(-lanes.length, kind="stable")
+    state, length, begin = np.asarray(start, np.int64)[order], lanes.length[order], lanes.start[order]
+    flat, k = dfa.delta.ravel(), dfa.classes.k
+    found: list[tuple[np.ndarray, np.ndarray]] = []
     for t in range(int(length.max(initial=0))):
         active = int(np.searchsorted(-length, -t))
-        state[:active] = dfa.delta[state[:active], lanes.classes[begin[:active] + t]]
-        for i in order[:active][dfa.final[state[:active]]].tolist():
-            out[i].append(t + 1)
-    return [np.array(x, np.int64) for x in out]
+        state[:active] = flat[state[:active] * k + lanes.classes[begin[:active] + t]]
+        hit = np.flatnonzero(dfa.final[state[:active]])
+        if len(hit):
+            found.append((order[hit], np.full(len(hit), t + 1)))
+    lane, pos = (np.concatenate([f[i] for f in found]) if found else np.zeros(0, np.int64) for i in (0, 1))
+    by = np.lexsort((pos, lane))
+    return lane[by], pos[by]
 
 
 @dataclass
 class Scanner:
-    """One way to turn chunks into images. kind: maps, lazy, speculate, merge, halve or relations."""
+    """One way to turn chunks into images. kind: maps, relations, halve, lazy, lazy_relations, speculate or merge.
+
+    Maps made on demand are kept from batch to batch and, in a reused worker, from task to task.
+    """
 
     kind: str
     auto: MapAutomaton | None = None
     dfa: Dfa | None = None
     nfa: Nfa | None = None
     table: np.ndarray | None = None
-    counts: dict = field(default_factory=lambda: {"symbols": 0, "lookups": 0})
+    keep: int = 65_536
+    counts: dict = field(default_factory=lambda: {"symbols": 0, "lookups": 0, "maps": 0})
+    lazy: LazyMaps | None = None
+
+    @property
+    def relational(self) -> bool:
+        return self.kind in ("relations", "lazy_relations")
 
     @property
     def classes(self):
         base = self.dfa if self.dfa is not None else self.nfa if self.nfa is not None else self.auto.base
         return base.classes
 
-    def images(self, column: pa.Array) -> list:
-        """The image of every chunk: a list of states, or of bit masks as whole numbers."""
-        lanes = lanes_of(column, self.classes.table, self.classes.unit)
+    def numbered(self, lanes: Lanes) -> tuple[np.ndarray, list]:
+        """A number for each lane, and the images of these numbers: lists of states, or of bit masks."""
         n = lanes.symbols()
         self.counts["symbols"] += n
-        if self.kind in ("maps", "relations"):
+        if self.kind in ("maps", "relations", "halve"):
             self.counts["lookups"] += n
-            ends = walk_table(lanes, self.auto.delta)
-            seen = {m: list(map(int, self.auto.image(m))) for m in np.unique(ends).tolist()}
-            return [seen[m] for m in ends.tolist()]
-        if self.kind == "halve":
+            ends = halve(lanes, self.auto.delta, self.table) if self.kind == "halve" else walk_table(lanes, self.auto.delta)
+            used, at = np.unique(ends, return_inverse=True)
+            self.counts["maps"] += len(used)
+            return at.ravel(), [list(map(int, self.auto.image(m))) for m in used.tolist()]
+        if self.kind in ("lazy", "lazy_relations"):
+            if self.lazy is None:
+                self.lazy = LazyMaps(self.dfa if self.kind == "lazy" else self.nfa, self.keep)
             self.counts["lookups"] += n
-            ends = [halve(lanes.classes[s : s + k], self.auto.delta, self.table) for s, k in zip(lanes.start.tolist(), lanes.length.tolist(), strict=True)]
-            return [list(map(int, self.auto.image(m))) for m in ends]
-        if self.kind == "lazy":
-            lazy = LazyMaps(self.dfa)
-            self.counts["lookups"] += n
-            return walk_lazy(lanes, lazy).tolist()
+            ends = walk_lazy(lanes, self.lazy)
+            self.counts["maps"] = self.lazy.made
+            used, at = np.unique(ends, return_inverse=True)
+            return at.ravel(), [self.lazy.listed(m) for m in used.tolist()]
         if self.kind == "merge":
             found, lookups = walk_merged_states(lanes, self.dfa)
             self.counts["lookups"] += lookups
-            return found.tolist()
-        self.counts["lookups"] += n * self.dfa.size
-        return walk_all_states(lanes, self.dfa).tolist()
+        else:
+            found = walk_all_states(lanes, self.dfa)
+            self.counts["lookups"] += n * self.dfa.size
+        used, at = np.unique(found, axis=0, return_inverse=True)
+        return at.ravel(), used.tolist()
+
+    def images(self, column: pa.Array) -> list:
+        """The image of every chunk: a list of states, or of bit masks as whole numbers."""
+        at, images = self.numbered(lanes_of(column, self.classes.table, self.classes.unit))
+        return [images[i] for i in at.tolist()]

@@ -21,6 +21,7 @@ from ..automata import maps, nfa, pattern
 from ..automata.dfa import Dfa
 from ..automata.maps import MapAutomaton
 from ..automata.nfa import Nfa
+from ..sources.shared import drop_stored, stored
 from . import chunks, fold, kernels
 from .kernels import Scanner, lanes_of, walk_table
 
@@ -34,7 +35,7 @@ class Compiled:
     mode: str = "full"
     dotall: bool = True
     max_dfa: int = 100_000
-    max_maps: int = 1_000_000
+    max_maps: int = 1_100_000
 
     @cached_property
     def nfa(self) -> Nfa:
@@ -52,6 +53,14 @@ class Compiled:
     def maps(self) -> MapAutomaton:
         return maps.close_functions(self.dfa, self.max_maps)
 
+    def maps_up_to(self, most: int) -> MapAutomaton:
+        """The maps, if there are at most so many; else TooLarge, at the cost of making that many."""
+        if "maps" not in self.__dict__:
+            self.__dict__["maps"] = maps.close_functions(self.dfa, min(most, self.max_maps))
+        if self.maps.size > most:
+            raise dfas.TooLarge(f"more than {most} maps")
+        return self.maps
+
     @cached_property
     def relations(self) -> MapAutomaton:
         return maps.close_relations(self.nfa)
@@ -67,6 +76,8 @@ class Compiled:
             return Scanner(kind, auto=self.maps, table=self.products)
         if kind == "relations":
             return Scanner(kind, auto=self.relations)
+        if kind == "lazy_relations":
+            return Scanner(kind, nfa=self.nfa)
         return Scanner(kind, dfa=self.dfa)
 
 
@@ -121,38 +132,55 @@ def where_accepts(df: DataFrame, column: str, p: str | Compiled, negate: bool =
     return rows.where(~accepted if negate else accepted)
 
 
-def scan_chunks(pieces: DataFrame, scanner: Scanner) -> DataFrame:
+def _lists(images: list) -> pa.Array:
+    """Images, or None, as an Arrow list column."""
+    return pa.array(images, pa.list_(pa.int32()))
+
+
+def scan_chunks(pieces: DataFrame, scanner: Scanner, fold_runs: bool = True) -> DataFrame:
     """word_id, lo, hi, image for runs of neighbouring chunks: scanned alone, then folded inside the task.
 
-    A null payload gives a null image. Relation images come as arrays of sorted state arrays.
+    A null payload gives a null image. Relation images come as arrays of sorted state arrays. Without ``fold_runs``
+    every chunk keeps a row of its own.
     """
     sent = pieces.sparkSession.sparkContext.broadcast(scanner)
-    relational = scanner.kind == "relations"
+    relational = scanner.relational
     kind = "array<array<int>>" if relational else "array<int>"
 
-    def join(f: list, g: list) -> list:
-        return list(maps.compose_rel(tuple(f), tuple(g))) if relational else [g[q] for q in f]
+    def composed(images: list, numbers: list[int]):
+        if relational:
+            out = tuple(images[numbers[0]])
+            for m in numbers[1:]:
+                out = maps.compose_rel(out, tuple(images[m]))
+            return [list(nfa.bits(row)) for row in out]
+        out = images[numbers[0]]
+        for m in numbers[1:]:
+            out = images[m][out]
+        return out
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        scan = sent.value
         for batch in batches:
-            words, ix, payload = batch.column("word_id").to_pylist(), batch.column("chunk_ix").to_pylist(), batch.column("payload")
-            images = sent.value.images(payload)
-            rows: list[list] = []
-            for w, i, image, there in sorted(zip(words, ix, images, payload.is_valid().to_pylist(), strict=True), key=lambda r: (r[0] is None, r[0], r[1])):
-                image = image if there else None
-                last = rows[-1] if rows else None
-                if last and last[0] == w and last[2] + 1 == i and last[3] is not None and image is not None:
-                    last[2], last[3] = i, join(last[3], image)
-                else:
-                    rows.append([w, i, i, image])
-            if relational:
-                for r in rows:
-                    r[3] = r[3] and [list(nfa.bits(m)) for m in r[3]]
-            image_type = pa.list_(pa.list_(pa.int32())) if relational else pa.list_(pa.int32())
-            yield pa.RecordBatch.from_arrays([pa.array([r[0] for r in rows], batch.schema.field("word_id").type), pa.array([r[1] for r in rows], pa.int32()), pa.array([r[2] for r in rows], pa.int32()), pa.array([r[3] for r in rows], image_type)], ["word_id", "lo", "hi", "image"])
-
-    word_type = pieces.schema["word_id"].dataType.simpleString()
-    return pieces.select("word_id", F.col("chunk_ix").cast("int").alias("chunk_ix"), "payload").mapInArrow(run, f"word_id {word_type}, lo int, hi int, image {kind}")
+            if not len(batch):
+                continue
+            payload = batch.column("payload")
+            at, images = scan.numbered(lanes_of(payload, scan.classes.table, scan.classes.unit))
+            images = images if relational else [np.array(i, np.int32) for i in images]
+            there = np.asarray(payload.is_valid())
+            word = pc.dictionary_encode(batch.column("word_id"), null_encoding="encode").indices.to_numpy()
+            ix = batch.column("chunk_ix").to_numpy()
+            order = np.lexsort((ix, word))
+            at, there, word, ix = at[order], there[order], word[order], ix[order]
+            follows = (word[1:] == word[:-1]) & (ix[1:] == ix[:-1] + 1) & there[1:] & there[:-1] & fold_runs
+            lo = np.flatnonzero(np.concatenate([[True], ~follows]))
+            hi = np.append(lo[1:], len(order))
+            alone = [composed(images, [m]) for m in range(len(images))]
+            rows = [(alone[at[a]] if b - a == 1 else composed(images, at[a:b].tolist())) if there[a] else None for a, b in zip(lo.tolist(), hi.tolist(), strict=True)]
+            found = pa.array(rows, pa.list_(pa.list_(pa.int32()))) if relational else _lists(rows)
+            yield pa.RecordBatch.from_arrays([batch.column("word_id").take(pa.array(order[lo])), batch.column("chunk_ix").take(pa.array(order[lo])), batch.column("chunk_ix").take(pa.array(order[hi - 1])), found], ["word_id", "lo", "hi", "image"])
+
+    word_type, ix_type = (pieces.schema[c].dataType.simpleString() for c in ("word_id", "chunk_ix"))
+    return pieces.select("word_id", "chunk_ix", "payload").mapInArrow(run, f"word_id {word_type}, lo {ix_type}, hi {ix_type}, image {kind}")
 
 
 def scan_map_ids(pieces: DataFrame, auto: MapAutomaton) -> DataFrame:
@@ -168,48 +196,166 @@ def scan_map_ids(pieces: DataFrame, auto: MapAutomaton) -> DataFrame:
     return pieces.select("word_id", "chunk_ix", walk("payload").alias("map_id"))
 
 
-def accepts_segments(segments: DataFrame, c: Compiled, how: str = "in_order", relational: bool = False, fanout: int = fold.FANOUT) -> DataFrame:
-    """word_id, accepted from scanned segments. how: in_order or tree."""
-    broken = segments.groupBy("word_id").agg(F.bool_or(F.col("image").isNull()).alias("null"))
-    whole = segments.where("image IS NOT NULL")
+def accepts_segments(segments: DataFrame, c: Compiled, how: str = "in_order", relational: bool = False, fanout: int = fold.CELL, rounds: int = fold.ROUNDS) -> DataFrame:
+    """word_id, accepted (null for a word with a null payload) from scanned segments, which are read once. how: in_order or tree."""
     if relational:
         finals = F.array(*[F.lit(q) for q in nfa.bits(c.nfa.final)]).cast("array<int>")
-        ends = fold.fold_relations(whole, list(nfa.bits(c.nfa.initial)), how == "in_order").select("word_id", F.arrays_overlap("end_states", finals).alias("accepted"))
+        ends = fold.fold_relations(segments, list(nfa.bits(c.nfa.initial)), how == "in_order", fanout, rounds)
+        return ends.select("word_id", F.when(F.col("end_states").isNotNull(), F.arrays_overlap("end_states", finals)).alias("accepted"))
+    if how == "in_order":
+        state = fold.fold_in_order(segments, 0, fanout, rounds)
     else:
-        final = F.array(*[F.lit(bool(x)) for x in c.dfa.final]) if c.dfa.size <= 4096 else None
-        if how == "in_order":
-            state = fold.fold_in_order(whole)
-        else:
-            state = fold.fold_tree(whole, fanout).select("word_id", F.element_at("image", 1).alias("end_state"))
-        if final is not None:
-            ends = state.select("word_id", F.element_at(final, F.col("end_state") + 1).alias("accepted"))
-        else:
-            names = state.sparkSession.createDataFrame([(int(q),) for q in np.flatnonzero(c.dfa.final)], "end_state int")
-            ends = state.join(F.broadcast(names.withColumn("accepted", F.lit(True))), "end_state", "left").select("word_id", F.coalesce("accepted", F.lit(False)).alias("accepted"))
-    return broken.join(ends, "word_id", "left").select("word_id", F.when(~F.col("null"), F.col("accepted")).alias("accepted"))
-
-
-def accepts_chunked(df: DataFrame, word_id: str, text: str, p: str | Compiled, size: int = 4096, how: str = "in_order", kind: str = "maps", fanout: int = fold.FANOUT) -> DataFrame:
+        state = fold.fold_tree(segments, fanout, rounds).select("word_id", F.element_at("image", 1).alias("end_state"))
+    if c.dfa.size <= 4096:
+        final = F.array(*[F.lit(bool(x)) for x in c.dfa.final])
+        return state.select("word_id", F.when(F.col("end_state").isNotNull(), F.element_at(final, F.col("end_state") + 1)).alias("accepted"))
+    names = state.sparkSession.createDataFrame([(int(q),) for q in np.flatnonzero(c.dfa.final)], "end_state int")
+    found = state.join(F.broadcast(names.withColumn("is_final", F.lit(True))), "end_state", "left")  # a row a state at most
+    return found.select("word_id", F.when(F.col("end_state").isNotNull(), F.coalesce("is_final", F.lit(False))).alias("accepted"))
+
+
+def accepts_chunked(df: DataFrame, word_id: str, text: str, p: str | Compiled, size: int = 65_536, how: str = "in_order", kind: str = "auto", fanout: int = fold.CELL, rounds: int = fold.ROUNDS, longest: int | None = None) -> DataFrame:
     """word_id, accepted for every word, cut into chunks that are scanned independently.
 
-    kind: maps, lazy, speculate, merge, halve, relations. The answer is the same for all kinds, folds and sizes.
+    kind: auto, maps, lazy, speculate, merge, halve, relations, lazy_relations. The answer is the same for all kinds, folds
+    and sizes. ``auto`` lets the planner choose by the sizes of the automata and, if given, of the longest word.
     """
+    from ..plans.planner import choose
+
+    c = compiled(p)
+    if kind == "auto":
+        kind = choose(c, longest).plan
+        if kind == "rows":
+            return with_verdict(df.select(F.col(word_id).alias("word_id"), F.col(text).alias("_w")), "_w", c).select("word_id", "accepted")
+    scanner = c.scanner(kind)
+    segments = scan_chunks(chunks.chunk_words(df, word_id, text, size), scanner)
+    return accepts_segments(segments, c, how, scanner.relational, fanout, rounds)
+
+
+#: Tasks whose pieces of one word are composed in one row before the last round (a word of rows).
+_TASKS = 1 << 10
+
+
+def accepts_rows(df: DataFrame, key: str, order: list[str], symbol: Column, p: str | Compiled) -> DataFrame:
+    """key, accepted for the word that each key's rows make, in a total order. Rows move once; no task joins a whole word."""
+    from ..plans.planner import choose
+
     c = compiled(p)
-    segments = scan_chunks(chunks.chunk_words(df, word_id, text, size), c.scanner(kind))
-    return accepts_segments(segments, c, how, kind == "relations", fanout)
+    segments = scan_chunks(chunks.row_runs(df, key, order, symbol), c.scanner(choose(c, deterministic=True).plan))
+    state = fold.fold_in_order(segments, 0, _TASKS << 32, gaps=True)
+    final = F.array(*[F.lit(bool(x)) for x in c.dfa.final])
+    return state.select(F.col("word_id").alias(key), F.element_at(final, F.col("end_state") + 1).alias("accepted"))
+
+
+#: Symbols by which the shared automaton of a set of texts knows each of them; the rest of a text is compared directly.
+DEPTH = 24
+
+
+class TextSet:
+    """One automaton for many texts: a table over their beginnings in which a failed match goes on with the longest one left.
+
+    States in which a text's beginning has just been read have the highest numbers, so a step looks for them with one
+    comparison. What is met is compared with the whole text.
+    """
+
+    def __init__(self, texts: list[tuple[int, str]], depth: int = DEPTH):
+        self.codes = [np.frombuffer(t.encode("utf-32-le", "surrogatepass"), np.uint32) for _, t in texts]
+        self.names = [i for i, _ in texts]
+        self.longest = max(map(len, self.codes), default=0)
+        self.used = np.unique(np.concatenate([np.zeros(0, np.uint32), *(c[:depth] for c in self.codes)]))
+        k = len(self.used) + 1  # the last class is for symbols in no beginning
+        children: list[dict[int, int]] = [{}]
+        own: list[list[int]] = [[]]
+        for n, codes in enumerate(self.codes):
+            at = 0
+            for c in np.searchsorted(self.used, codes[:depth]).tolist():
+                if c not in children[at]:
+                    children[at][c] = len(children)
+                    children.append({})
+                    own.append([])
+                at = children[at][c]
+            own[at].append(n)
+        delta, fail, ends, order = np.zeros((len(children), k), np.int32), [0] * len(children), [list(x) for x in own], [0]
+        for q in order:
+            delta[q] = delta[fail[q]] if q else 0
+            for c, to in children[q].items():
+                fail[to] = int(delta[q, c]) if q else 0
+                ends[to] = ends[to] + ends[fail[to]]
+                order.append(to)
+                delta[q, c] = to
+        rank = np.empty(len(children), np.int32)
+        by = sorted(range(len(children)), key=lambda q: bool(ends[q]))
+        rank[by] = np.arange(len(by))
+        self.delta, self.first = rank[delta][by], sum(not e for e in ends)
+        self.start, self.ends = int(rank[0]), [ends[q] for q in by[self.first :]]
+        self.depth = depth
+
+    def find(self, column: pa.Array, size: int = 4096) -> list[list[int]]:
+        """The names of the texts that each word holds."""
+        at, data = kernels._buffers(column)
+        data = data[at[0] : at[-1]]
+        heads = np.concatenate([[0], np.cumsum((data & 0xC0) != 0x80)])
+        at = heads[at - at[0]]
+        codes = np.frombuffer(data.tobytes().decode("utf-8", "surrogatepass").encode("utf-32-le", "surrogatepass"), np.uint32)
+        place = np.minimum(np.searchsorted(self.used, codes), len(self.used) - 1)
+        classes = np.where(self.used[place] == codes, place, len(self.used)).astype(np.uint16) if len(self.used) else np.zeros(len(codes), np.uint16)
+        length = np.where(np.asarray(column.is_valid()), np.diff(at), 0)
+        pieces = np.maximum(-(-length // size), 1)
+        word = np.repeat(np.arange(len(column)), pieces)
+        offset = (np.arange(len(word)) - np.repeat(np.cumsum(pieces) - pieces, pieces)) * size
+        begin = at[:-1][word] + offset
+        reach = np.minimum(length[word] - offset, size + self.depth - 1)
+        order = np.argsort(-reach, kind="stable")
+        word, begin, reach = word[order], begin[order], reach[order]
+        k, flat = self.delta.shape[1], (self.delta * self.delta.shape[1]).ravel().astype(np.intp)
+        state, found = np.full(len(order), self.start * k, np.intp), set()
+        low = self.first * k
+        if not low:  # the empty text
+            found.update((int(w), n) for w in range(len(column)) for n in self.ends[self.start - self.first])
+        t = 0
+        while active := int(np.searchsorted(-reach, -t)):
+            steps = min(int(reach[active - 1]) - t, 256)
+            rows = np.lib.stride_tricks.sliding_window_view(classes, steps)[begin[:active] + t]
+            s, cell = state[:active], np.empty(active, np.intp)
+            for i, symbols in enumerate(np.ascontiguousarray(rows.T)):
+                np.add(s, symbols, out=cell)
+                np.take(flat, cell, out=s, mode="clip")
+                if s.max() >= low:
+                    for lane in np.flatnonzero(s >= low).tolist():
+                        w, stop = int(word[lane]), int(begin[lane]) + t + i + 1
+                        for n in self.ends[s[lane] // k - self.first]:
+                            if (w, n) not in found and self._is_at(codes, stop, int(at[w + 1]), n):
+                                found.add((w, n))
+            t += steps
+        out: list[list[int]] = [[] for _ in range(len(column))]
+        for w, n in sorted(found):
+            if column[w].is_valid:
+                out[w].append(self.names[n])
+        return out
+
+    def _is_at(self, codes: np.ndarray, stop: int, end: int, n: int) -> bool:
+        text = self.codes[n]
+        begin = stop - min(len(text), self.depth)
+        return begin + len(text) <= end and bool((codes[begin : begin + len(text)] == text).all())
 
 
 def match_corpus(df: DataFrame, word_id: str, text: str, patterns: list[tuple[int, str]], mode: str = "full", cells: int = 8_000_000) -> DataFrame:
     """word_id, pattern_id of every hit: all patterns in one pass over the words.
 
-    The tables of the patterns are stacked over shared symbol classes; every word is a lane for each pattern. Sets whose
-    stacked table would pass ``cells`` are split over several passes inside the same task. Words that lack a text which
-    the pattern requires are ruled out before the walk.
+    Patterns that look for a text anywhere share one automaton (or several, of at most ``cells`` cells each, walked one
+    after another in the same task). The tables of all others are stacked over shared symbol classes and a word is a lane
+    for each of them; words that lack a text which the pattern requires are ruled out before the walk.
     """
-    from ..plans.planner import required_literal
     from ..automata.alphabet import from_sets, sets_of
+    from ..plans.planner import contained_text, required_literal
 
     trees = [(i, pattern.parse(p, mode=mode)) for i, p in patterns]
+    texts = [(i, t) for i, tree in trees if (t := contained_text(tree)) is not None]
+    named = {i for i, _ in texts}
+    trees = [(i, tree) for i, tree in trees if i not in named]
+    alphabet = len({c for _, t in texts for c in t[:DEPTH]}) + 1
+    each = max(1, cells // (DEPTH * alphabet))
+    sets = [TextSet(texts[at : at + each]) for at in range(0, len(texts), each)]
     classes = from_sets(set().union(*(sets_of(t) for _, t in trees)))
     stacks, now, size = [], [], 0
     for i, tree in trees:
@@ -223,13 +369,16 @@ def match_corpus(df: DataFrame, word_id: str, text: str, patterns: list[tuple[in
         size += len(delta)
     stacks.append(now)
     packed = [(np.concatenate([t + at for _, t, _, at, _ in s]).astype(np.int32), np.concatenate([x[2] for x in s]), [(x[0], x[3], x[4]) for x in s]) for s in stacks if s]
-    sent = df.sparkSession.sparkContext.broadcast((classes.table, packed))
+    sent = df.sparkSession.sparkContext.broadcast((classes.table, packed, sets))
 
     @F.arrow_udf("array<int>")
     def hits(word: pa.Array) -> pa.Array:
-        table, tables = sent.value
-        lanes = lanes_of(word, table, "codepoint")
-        found: list[list[int]] = [[] for _ in range(len(lanes))]
+        table, tables, shared = sent.value
+        found: list[list[int]] = [[] for _ in range(len(word))]
+        for one in shared:
+            for row, names in enumerate(one.find(word)):
+                found[row] += names
+        lanes = lanes_of(word, table, "codepoint") if tables else None
         for delta, final, members in tables:
             for name, start, literal in members:
                 maybe = np.flatnonzero(pc.fill_null(pc.match_substring(word, literal), False).to_numpy(zero_copy_only=False)) if literal else np.flatnonzero(lanes.valid)
@@ -241,6 +390,26 @@ def match_corpus(df: DataFrame, word_id: str, text: str, patterns: list[tuple[in
     return df.select(F.col(word_id).alias("word_id"), F.explode(hits(F.col(text))).alias("pattern_id"))
 
 
+def match_texts(df: DataFrame, word_id: str, text: str, texts: DataFrame, name: str, needle: str, block: int = 5000) -> DataFrame:
+    """word_id and name of every text of a table that a word holds. Texts come to the driver a block at a time; each block is one pass."""
+    from ..plans.corpora import contains_all
+
+    out, held = None, []
+
+    def passed(some: list[tuple[int, str]]) -> DataFrame:
+        hits = match_corpus(df, word_id, text, contains_all([(i, t) for i, (_, t) in enumerate(some)]))
+        names = df.sparkSession.createDataFrame([(i, n) for i, (n, _) in enumerate(some)], f"pattern_id int, {name} {texts.schema[name].dataType.simpleString()}")
+        return hits.join(F.broadcast(names), "pattern_id").select("word_id", name)  # ``block`` rows at most
+
+    for row in texts.where(F.col(needle).isNotNull()).select(name, needle).toLocalIterator():
+        held.append((row[0], row[1]))
+        if len(held) == block:
+            out, held = passed(held) if out is None else out.unionByName(passed(held)), []
+    if held or out is None:
+        out = passed(held) if out is None else out.unionByName(passed(held))
+    return out
+
+
 def any_hit(df: DataFrame, word_id: str, hits: DataFrame) -> DataFrame:
     return df.join(hits.select(F.col("word_id").alias(word_id)).distinct(), word_id, "left_semi")
 
@@ -254,29 +423,39 @@ def combine(a: DataFrame, b: DataFrame, op: str) -> DataFrame:
     return {"union": lambda: a.unionByName(b).distinct(), "intersect": lambda: a.intersect(b), "except": lambda: a.exceptAll(b).distinct()}[op]()
 
 
-def ends(df: DataFrame, word_id: str, text: str, p: str | Compiled, size: int = 4096) -> DataFrame:
+#: Chunks whose entry states are broadcast to the second scan (some 30 bytes each); beyond it the chunks are shuffled to them.
+BROADCAST_ENTRIES = 1_000_000
+
+
+def ends(df: DataFrame, word_id: str, text: str, p: str | Compiled, size: int = 65_536, kind: str = "auto") -> DataFrame:
     """word_id, pos: how many symbols were read at each accepting prefix, from two scans of the chunks.
 
-    The first scan gives every chunk's entry state by an exclusive fold; the second walks each chunk from there.
+    The first scan gives every chunk's entry state by an exclusive fold; the second walks each chunk from there. With
+    chunks large enough that their number stays below BROADCAST_ENTRIES, no text is shuffled.
     """
+    from ..plans.planner import choose
+
     c = compiled(p)
     pieces = chunks.chunk_words(df, word_id, text, size).where("payload IS NOT NULL")
-    maps_of = scan_map_ids(pieces, c.maps)
-    images = fold.attach_images(maps_of, c.maps)
-    entry = fold.carry_in(images.select("word_id", F.col("chunk_ix").alias("lo"), F.col("chunk_ix").alias("hi"), "image"))
+    scanner = c.scanner(choose(c, deterministic=True).plan if kind == "auto" else kind)
+    segments = stored(scan_chunks(pieces, scanner, fold_runs=False), "segments")
+    entry = stored(fold.carry_in(segments), "entries")
+    drop_stored(segments)
+    few = entry.count() <= BROADCAST_ENTRIES
     sent = df.sparkSession.sparkContext.broadcast(c.dfa)
 
     @F.arrow_udf("array<long>")
     def walk(payload: pa.Array, state: pa.Array) -> pa.Array:
         d = sent.value
-        found = kernels.match_ends(lanes_of(payload, d.classes.table, d.classes.unit), d, state.to_numpy(zero_copy_only=False).astype(np.int32))
-        return pa.array([x.tolist() for x in found], pa.list_(pa.int64()))
+        lane, pos = kernels.match_ends(lanes_of(payload, d.classes.table, d.classes.unit), d, state.to_numpy(zero_copy_only=False))
+        return pa.ListArray.from_arrays(pa.array(np.searchsorted(lane, np.arange(len(payload) + 1)), pa.int32()), pa.array(pos, pa.int64()))
 
-    entered = pieces.join(entry.withColumnRenamed("lo", "chunk_ix"), ["word_id", "chunk_ix"])
+    entry = entry.withColumnRenamed("lo", "chunk_ix")
+    entered = pieces.join(F.broadcast(entry) if few else entry, ["word_id", "chunk_ix"])
     return entered.select("word_id", F.col("offset").alias("_o"), F.explode(walk("payload", "entry")).alias("_p")).select("word_id", (F.col("_o") + F.col("_p")).alias("pos"))
 
 
-def count_ends(df: DataFrame, word_id: str, text: str, p: str | Compiled, size: int = 4096) -> DataFrame:
+def count_ends(df: DataFrame, word_id: str, text: str, p: str | Compiled, size: int = 65_536) -> DataFrame:
     """word_id, n_ends for every word, none included."""
     n = ends(df, word_id, text, p, size).groupBy("word_id").agg(F.count("*").alias("n"))
     return df.select(F.col(word_id).alias("word_id")).join(n, "word_id", "left").select("word_id", F.coalesce("n", F.lit(0)).cast("long").alias("n_ends"))

@@ -2,19 +2,22 @@
 
 from __future__ import annotations
 
+import dataclasses
+import itertools
 import math
 import time
 from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import Column, DataFrame
+import pyarrow as pa
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..automata import alphabet, maps, nfa, pattern
 from ..automata import dfa as dfas
-from ..automata import maps, nfa, pattern
 from ..automata.dfa import TooLarge
-from .kernels import Lanes, walk_table
+from .kernels import Lanes, lanes_of, walk_table
 from .match import Compiled, compiled
 
 #: The size study's caps: deterministic states as published, and maps, above the largest published case (1 001 000).
@@ -106,21 +109,123 @@ def complexity_terms(c: Compiled, n: int, p: int) -> list[tuple[str, float]]:
     ]
 
 
-def maps_touched(c: Compiled, classes: np.ndarray) -> int:
-    """Distinct map states that one lane visits: the working set, however large the table."""
+def _touched(delta: np.ndarray, classes: np.ndarray) -> int:
     seen, m = set(), 0
-    delta = c.maps.delta
     for k in classes.tolist():
         m = int(delta[m, k])
         seen.add(m)
     return len(seen)
 
 
+def maps_touched(c: Compiled, classes: np.ndarray) -> int:
+    """Distinct map states that one lane visits: the working set, however large the table."""
+    return _touched(c.maps.delta, classes)
+
+
+def states_touched(c: Compiled, classes: np.ndarray) -> int:
+    """The same for the deterministic automaton."""
+    return _touched(c.dfa.delta, classes)
+
+
 def fold_work(c: Compiled, p: int, how: str) -> tuple[int, int]:
     """Steps and cells of a fold of p chunks."""
     return (p, p) if how == "in_order" else (p - 1, (p - 1) * c.dfa.size)
 
 
+def counted(spark: SparkSession, c: Compiled, word: str, size: int, kinds: tuple[str, ...]) -> DataFrame:
+    """method, symbols, lookups, chunks, fold_steps, fold_cells: counted while tasks scan and compose one word, not predicted.
+
+    Every method scans the chunks in one task, counts its lookups there, and composes the images pair by pair.
+    """
+    pieces = [word[i : i + size] for i in range(0, len(word), size)]
+    scanners = spark.sparkContext.broadcast({kind: c.scanner(kind) for kind in kinds})
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for batch in batches:
+            for method, texts in zip(batch["method"], batch["pieces"], strict=True):
+                scan = scanners.value[method]
+                scan.counts.update(symbols=0, lookups=0)
+                images = [np.array(i) for i in scan.images(pa.array(list(texts), pa.string()))]
+                steps = cells = 0
+                while len(images) > 1:
+                    pairs = [(images[i], images[i + 1]) for i in range(0, len(images) - 1, 2)]
+                    steps, cells = steps + len(pairs), cells + sum(len(f) for f, _ in pairs)
+                    images = [g[f] for f, g in pairs] + images[2 * len(pairs) :]
+                yield pd.DataFrame([(method, scan.counts["symbols"], scan.counts["lookups"], len(texts), steps, cells)], columns=["method", "symbols", "lookups", "chunks", "fold_steps", "fold_cells"])
+
+    rows = spark.createDataFrame([(kind, pieces) for kind in kinds], "method string, pieces array<string>")
+    return rows.mapInPandas(run, "method string, symbols long, lookups long, chunks long, fold_steps long, fold_cells long")
+
+
+def relation_reach(spark: SparkSession, states: int, most: int) -> DataFrame:
+    """symbols, most_maps: the most relation maps that 1 to ``most`` symbols reach over so many states, of all choices of symbols."""
+    every = range(1 << states * states)
+    choices = spark.createDataFrame([(n, list(some)) for n in range(1, most + 1) for some in itertools.combinations(every, n)], "symbols int, choice array<int>")
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        low = (1 << states) - 1
+        for batch in batches:
+            sizes = []
+            for choice in batch["choice"]:
+                classes = alphabet.from_sets({((97 + i, 97 + i),) for i in range(len(choice))})
+                step = tuple(tuple(int(m) >> states * q & low for m in choice) + (0,) * (classes.k - len(choice)) for q in range(states))
+                machine = nfa.Nfa(tuple(row[: len(choice)] for row in step), 1, 1, dataclasses.replace(classes, ids=tuple(min(i, len(choice) - 1) for i in classes.ids)))
+                sizes.append(maps.close_relations(machine).size)
+            yield pd.DataFrame({"symbols": batch["symbols"], "n": sizes})
+
+    return choices.mapInPandas(run, "symbols int, n int").groupBy("symbols").agg(F.max("n").alias("most_maps"))
+
+
+def equivalences(pairs: DataFrame) -> DataFrame:
+    """a, b, same, witness: whether two patterns have one language; if not, a shortest word in which they differ."""
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for batch in batches:
+            rows = []
+            for a, b in zip(batch["a"], batch["b"], strict=True):
+                same, word = dfas.equivalent(compiled(a).dfa, compiled(b).dfa)
+                rows.append((a, b, same, None if word is None else "".join(map(chr, word))))
+            yield pd.DataFrame(rows, columns=["a", "b", "same", "witness"])
+
+    return pairs.select("a", "b").mapInPandas(run, "a string, b string, same boolean, witness string")
+
+
+BOUNDS = "pattern string, nfa_states int, dfa_total int, maps_total int, dfa_bound_log2 double, functions_bound_log2 double, relations_bound_log2 double, within boolean"
+
+
+def bounds(patterns: DataFrame) -> DataFrame:
+    """Sizes beside the logarithms of their worst cases: 2**N subsets, D**D function maps, 2**(N*N) relation maps."""
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for batch in batches:
+            rows = []
+            for p in batch["pattern"]:
+                c = compiled(p)
+                n, d, s = c.nfa.size, c.dfa.size, c.maps.size
+                most = [bound_log2("dfa", n), bound_log2("functions", d), bound_log2("relations", n)]
+                rows.append((p, n, d, s, *(round(x, 6) for x in most), math.log2(c.raw_dfa.size) <= most[0] and math.log2(s) <= min(most[1:]) + 1e-9))
+            yield pd.DataFrame(rows, columns=[x.split()[0] for x in BOUNDS.split(", ")])
+
+    return patterns.select("pattern").mapInPandas(run, BOUNDS)
+
+
+def run_mismatches(df: DataFrame, column: str, p: str | Compiled) -> DataFrame:
+    """docs, run_mismatches: words on which the symbol-by-symbol runs of the machines and the table kernel do not all agree."""
+    c = compiled(p)
+    _ = c.maps
+    sent = df.sparkSession.sparkContext.broadcast(c)
+
+    @F.arrow_udf("boolean")
+    def differ(word: pa.Array) -> pa.Array:
+        one = sent.value
+        lanes = lanes_of(word, one.dfa.classes.table, one.unit)
+        want = one.dfa.final[walk_table(lanes, one.dfa.delta)]
+        cut = [lanes.classes[s : s + n].tolist() for s, n in zip(lanes.start.tolist(), lanes.length.tolist(), strict=True)]
+        return pa.array([{one.nfa.accepts(w), one.dfa.accepts(w), one.maps.accepts(w)} != {bool(v)} for w, v in zip(cut, want, strict=True)], pa.bool_(), mask=~lanes.valid)
+
+    return df.select(differ(F.col(column)).alias("bad")).agg(F.count("*").alias("docs"), F.coalesce(F.sum(F.col("bad").cast("long")), F.lit(0)).alias("run_mismatches"))
+
+
 def scan_rate(c: Compiled, classes: np.ndarray, lanes: int, kind: str = "maps", repeat: int = 3) -> float:
     """Symbols a second of one core over class ids already in memory, cut into equal lanes (median; compiling excluded)."""
     size = len(classes) // lanes

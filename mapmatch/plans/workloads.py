@@ -75,25 +75,47 @@ def _documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return table(spark, sf_dir, "documents").select("doc_id", "text")
 
 
-def _chunked(name: str, kind: str, how: str, fanout: int = fold.FANOUT) -> None:
+def _chunked(name: str, kind: str, how: str, **options) -> None:
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        found = match.accepts_chunked(_documents(spark, sf_dir), "doc_id", "text", _of(RULES["email"]), SIZE, how, kind, fanout)
+        found = match.accepts_chunked(_documents(spark, sf_dir), "doc_id", "text", _of(RULES["email"]), SIZE, how, kind, **options)
         return found.select(F.col("word_id").alias("doc_id"), "accepted")
 
     query(_EMAIL, name)(run)
 
 
-for _name, _kind, _how in (
-    ("doc_email_chunked_inorder", "maps", "in_order"),
-    ("doc_email_chunked_tree", "maps", "tree"),
-    ("doc_email_lazy", "lazy", "tree"),
-    ("doc_email_nfa_maps", "relations", "in_order"),
-    ("doc_email_nfa_maps_tree", "relations", "tree"),
-    ("doc_email_speculative", "speculate", "tree"),
-    ("doc_email_speculative_inorder", "speculate", "in_order"),
-    ("doc_email_halving", "halve", "in_order"),
+_ROUNDS = {"fanout": 4, "rounds": 3}  # narrow, so that the trees have several levels here
+for _name, _kind, _how, _options in (
+    ("doc_email_chunked_inorder", "maps", "in_order", {}),
+    ("doc_email_chunked_tree", "maps", "tree", _ROUNDS),
+    ("doc_email_chunked_auto", "auto", "in_order", {}),
+    ("doc_email_rows_auto", "auto", "in_order", {"longest": 1 << 20}),
+    ("doc_email_lazy", "lazy", "tree", _ROUNDS),
+    ("doc_email_nfa_maps", "relations", "in_order", {}),
+    ("doc_email_nfa_maps_tree", "relations", "tree", _ROUNDS),
+    ("doc_email_nfa_lazy", "lazy_relations", "tree", _ROUNDS),
+    ("doc_email_speculative", "speculate", "tree", _ROUNDS),
+    ("doc_email_speculative_inorder", "speculate", "in_order", {}),
+    ("doc_email_speculative_merged", "merge", "in_order", {}),
+    ("doc_email_halving", "halve", "in_order", {}),
 ):
-    _chunked(_name, _kind, _how, 4 if _how == "tree" else fold.FANOUT)
+    _chunked(_name, _kind, _how, **_options)
+
+
+#: The deterministic automaton of this pattern has 2**18 states, above the cap, and its relation maps are more yet.
+TAIL = ".*[aeiou].{17}"
+
+
+@query(f"SELECT page_id, {_full('url', TAIL)} AS accepted FROM pages")
+def page_url_tail_lazy_nfa(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The planner goes to maps made on demand over the nondeterministic automaton; no subset automaton is made."""
+    found = match.accepts_chunked(table(spark, sf_dir, "pages"), "page_id", "url", _of(TAIL), 32)
+    return found.select(F.col("word_id").alias("page_id"), "accepted")
+
+
+@query(f"SELECT page_id, {_full('url', TAIL)} AS accepted FROM pages")
+def page_url_tail_lazy_subsets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same by subsets made on demand, a word a row."""
+    return baselines.lazy_subset_rows(table(spark, sf_dir, "pages"), "url", _of(TAIL)).select("page_id", "accepted")
 
 
 @query(_EMAIL)
@@ -132,18 +154,18 @@ def _accepted(words: DataFrame, key: str, rule: str) -> DataFrame:
     return match.with_verdict(words, "word", _of(RULES[rule])).select(key, "accepted")
 
 
-def _roles(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return chunks.pack_rows(table(spark, sf_dir, "conversations"), "conv_id", ["turn"], F.substr("role", F.lit(1), F.lit(1)))
+def _turns(spark: SparkSession, sf_dir: str, rule: str) -> DataFrame:
+    return match.accepts_rows(table(spark, sf_dir, "conversations"), "conv_id", ["turn"], F.substr("role", F.lit(1), F.lit(1)), _of(RULES[rule]))
 
 
 @query(_word_sql("conversations", "conv_id", "substr(role, 1, 1)", "turn", RULES["turns"]))
 def chat_turn_protocol(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _accepted(_roles(spark, sf_dir), "conv_id", "turns")
+    return _turns(spark, sf_dir, "turns")
 
 
 @query(_word_sql("conversations", "conv_id", "substr(role, 1, 1)", "turn", RULES["strict_turns"]))
 def chat_strict_turns(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _accepted(_roles(spark, sf_dir), "conv_id", "strict_turns")
+    return _turns(spark, sf_dir, "strict_turns")
 
 
 def _funnel(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -155,6 +177,12 @@ _FUNNEL = _word_sql("events", "user_id", "substr(event_type, 1, 1)", "ts, event_
 
 @query(_FUNNEL)
 def user_funnel(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return match.accepts_rows(_funnel(spark, sf_dir), "user_id", ["ts", "event_id"], F.col("s"), _of(RULES["funnel"]))
+
+
+@query(_FUNNEL)
+def user_funnel_packed(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same with every user's word in one row: for keys of bounded size."""
     return _accepted(chunks.pack_rows(_funnel(spark, sf_dir), "user_id", ["ts", "event_id"], F.col("s")), "user_id", "funnel")
 
 
@@ -196,15 +224,14 @@ _FLAGS = "l_linenumber, l_partkey, l_suppkey, l_extendedprice, l_shipdate"
 
 @query(_word_sql("lineitem", "l_orderkey", "l_returnflag", _FLAGS, RULES["flag_parity"]))
 def order_flag_parity(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _accepted(chunks.pack_rows(table(spark, sf_dir, "lineitem"), "l_orderkey", _FLAGS.split(", "), F.col("l_returnflag")), "l_orderkey", "flag_parity")
+    return match.accepts_rows(table(spark, sf_dir, "lineitem"), "l_orderkey", _FLAGS.split(", "), F.col("l_returnflag"), _of(RULES["flag_parity"]))
 
 
 @query(f"""WITH w AS (SELECT o_custkey, {_full("string_agg(o_orderstatus, '' ORDER BY o_orderdate, o_orderkey)", RULES['status'])} AS a FROM orders GROUP BY o_custkey)
 SELECT r_name, n_name, count(*) AS customers, sum(a::INT)::BIGINT AS accepted FROM w JOIN customer ON c_custkey = o_custkey JOIN nation ON n_nationkey = c_nationkey JOIN region ON r_regionkey = n_regionkey
 GROUP BY ROLLUP (r_name, n_name)""")
 def customer_status_runs(spark: SparkSession, sf_dir: str) -> DataFrame:
-    words = chunks.pack_rows(table(spark, sf_dir, "orders"), "o_custkey", ["o_orderdate", "o_orderkey"], F.col("o_orderstatus"))
-    hits = _accepted(words, "o_custkey", "status")
+    hits = match.accepts_rows(table(spark, sf_dir, "orders"), "o_custkey", ["o_orderdate", "o_orderkey"], F.col("o_orderstatus"), _of(RULES["status"]))
     named = hits.join(table(spark, sf_dir, "customer"), F.col("c_custkey") == F.col("o_custkey")).join(table(spark, sf_dir, "nation"), F.col("n_nationkey") == F.col("c_nationkey")).join(table(spark, sf_dir, "region"), F.col("r_regionkey") == F.col("n_regionkey"))
     return named.rollup("r_name", "n_name").agg(F.count("*").alias("customers"), F.sum(F.col("accepted").cast("long")).alias("accepted"))
 
@@ -221,14 +248,14 @@ _ORDER = ["l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_extendedpri
 
 
 def digit_chunks(spark: SparkSession, sf_dir: str, n: int, size: int = SIZE) -> DataFrame:
-    rows = chunks.index_rows(table(spark, sf_dir, "lineitem").select(*_ORDER, "l_quantity"), _ORDER)
+    rows = chunks.index_rows(table(spark, sf_dir, "lineitem").select(*_ORDER, "l_quantity"), _ORDER, size=size)
     digit = F.pmod(F.col("l_quantity").cast("long"), F.lit(5)) + F.when(F.col("i") % (2 * n) >= n, 5).otherwise(0)
-    return chunks.pack_one(rows, "i", digit.cast("string"), size)
+    return chunks.pack_one(rows, digit.cast("string"))
 
 
 def parity_chunks(spark: SparkSession, sf_dir: str, size: int = SIZE) -> DataFrame:
-    rows = chunks.index_rows(table(spark, sf_dir, "lineitem").select(*_ORDER, "l_quantity"), _ORDER)
-    return chunks.pack_one(rows, "i", (2 * F.pmod(F.col("l_quantity").cast("long"), F.lit(5)) + F.col("i") % 2).cast("string"), size)
+    rows = chunks.index_rows(table(spark, sf_dir, "lineitem").select(*_ORDER, "l_quantity"), _ORDER, size=size)
+    return chunks.pack_one(rows, (2 * F.pmod(F.col("l_quantity").cast("long"), F.lit(5)) + F.col("i") % 2).cast("string"))
 
 
 def _giant_sql(symbol: str, p: str) -> str:
@@ -249,7 +276,7 @@ def digit_word_r5(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query(_digit_sql(50))
 def digit_word_r50(spark: SparkSession, sf_dir: str) -> DataFrame:
     c = _of(corpora.loop(50))
-    return match.accepts_segments(match.scan_chunks(digit_chunks(spark, sf_dir, 50), c.scanner("maps")), c, "tree", fanout=8)
+    return match.accepts_segments(match.scan_chunks(digit_chunks(spark, sf_dir, 50), c.scanner("maps")), c, "tree", fanout=8, rounds=3)
 
 
 @query(_digit_sql(50), "digit_word_r50_lazy")
@@ -265,13 +292,25 @@ def digit_word_r500_dfa(spark: SparkSession, sf_dir: str) -> DataFrame:
     return match.accepts_segments(match.scan_chunks(digit_chunks(spark, sf_dir, 500), c.scanner("lazy")), c)
 
 
-@query(f"SELECT 0::BIGINT AS word_id, {_full("repeat('a', count(*)::INT)", corpora.loop_or_run(50))} AS accepted FROM lineitem")
-def digit_word_ra(spark: SparkSession, sf_dir: str) -> DataFrame:
-    c = _of(corpora.loop_or_run(50))
-    n = table(spark, sf_dir, "lineitem").count()
-    ids = spark.range(-(-n // SIZE))
-    pieces = ids.select(F.lit(0).cast("long").alias("word_id"), F.col("id").cast("int").alias("chunk_ix"), F.repeat(F.lit("a"), F.least(F.lit(SIZE), F.lit(n) - F.col("id") * SIZE).cast("int")).alias("payload"))
-    return match.accepts_segments(match.scan_chunks(pieces, c.scanner("maps")), c)
+def run_chunks(spark: SparkSession, n: int, size: int = SIZE) -> DataFrame:
+    """One word of n letters a."""
+    pieces = spark.range(-(-n // size))
+    return pieces.select(F.lit(0).cast("long").alias("word_id"), F.col("id").cast("int").alias("chunk_ix"), F.repeat(F.lit("a"), F.least(F.lit(size), F.lit(n) - F.col("id") * size).cast("int")).alias("payload"))
+
+
+def _run_query(name: str, n: int, kind: str) -> None:
+    p = corpora.loop_or_run(n)
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        c = _of(p)
+        return match.accepts_segments(match.scan_chunks(run_chunks(spark, table(spark, sf_dir, "lineitem").count()), c.scanner(kind)), c)
+
+    # the language holds every run of a, whatever n; RE2 does not take repetitions as large as 1000 positions many times over
+    query(f"SELECT 0::BIGINT AS word_id, {_full("repeat('a', count(*)::INT)", corpora.loop_or_run(min(n, 50)))} AS accepted FROM lineitem", name)(run)
+
+
+_run_query("digit_word_ra", 50, "maps")
+_run_query("digit_word_ra500", 500, "lazy")
 
 
 @query(_giant_sql("2 * (q % 5) + i % 2", corpora.alternating()))
@@ -307,6 +346,13 @@ def map_table_ab_distributed(spark: SparkSession, sf_dir: str) -> DataFrame:
     return distributed.close_distributed(spark, _of("(ab)*").dfa).select(F.array_join("image", ",").alias("image"), "final")
 
 
+@query(_closure_sql(_of(corpora.map_blowup(5))) + " SELECT count(*) AS maps, count(*) FILTER (f[1] = 0) AS finals FROM m")
+def closure_distributed(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Thousands of maps by joins alone: a round for each level of the search."""
+    found = distributed.close_distributed(spark, _of(corpora.map_blowup(5)).dfa)
+    return found.agg(F.count("*").alias("maps"), F.sum(F.col("final").cast("long")).alias("finals"))
+
+
 def _size_query(name: str, p: str) -> None:
     c = _of(p)
 
@@ -336,9 +382,13 @@ def map_blowup_sizes(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame([(n, _of(corpora.map_blowup(n)).maps.live) for n in range(2, 6)], "n int, maps_live int")
 
 
-@query("SELECT * FROM (VALUES (5, 10, 109), (50, 100, 10099)) t(n, dfa_live, maps_live)")
+@query("SELECT * FROM (VALUES ('loop', 5, 10, 109), ('loop', 50, 100, 10099), ('loop', 500, 1000, 1000999), ('loop_or_run', 500, 1002, 1001000)) t(family, n, dfa_live, maps_live)")
 def loop_sizes(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return spark.createDataFrame([(n, _of(corpora.loop(n)).dfa.live, _of(corpora.loop(n)).maps.live) for n in (5, 50)], "n int, dfa_live int, maps_live int")
+    """The published sizes; every pattern is compiled in a task of its own."""
+    made = [("loop", n, corpora.loop(n)) for n in (5, 50, 500)] + [("loop_or_run", 500, corpora.loop_or_run(500))]
+    patterns = spark.createDataFrame([(i, f"{f} {n}", p, "full") for i, (f, n, p) in enumerate(made)], "pattern_id int, family string, pattern string, mode string")
+    name = F.split("family", " ")
+    return measure.corpus_sizes(patterns).select(name[0].alias("family"), name[1].cast("int").alias("n"), "dfa_live", "maps_live")
 
 
 @query("SELECT 11 AS dfa_total, 15564 AS maps_total, true AS over_cube, true AS over_fourth")
@@ -360,7 +410,7 @@ def chunk_maps_ab(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query("SELECT 0 AS end_state, '0,2,2' AS image")
 def fold_ab(spark: SparkSession, sf_dir: str) -> DataFrame:
     segments = match.scan_chunks(_split_word(spark), _of("(ab)*").scanner("maps"))
-    return fold.fold_in_order(segments).join(fold.fold_tree(segments, 2), "word_id").select("end_state", F.array_join("image", ",").alias("image"))
+    return fold.fold_in_order(segments).join(fold.fold_tree(segments, 2, 3), "word_id").select("end_state", F.array_join("image", ",").alias("image"))
 
 
 _SIZES = ["family", "pattern", "status", "nfa_states", "dfa_total", "dfa_live", "maps_total", "maps_live", "over_square", "over_cube", "over_fourth", "over_10k", "table_bytes_dense256", "table_bytes_classed"]
@@ -391,26 +441,69 @@ def syntactic_complexities(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame([(p, measure.syntactic_complexity(p)) for p in ("(ab)*", "(ab)*(ab)*", "a*", corpora.loop(5))], "pattern string, complexity int")
 
 
-@query()
+_TERMS = """WITH n AS (SELECT count(*)::DOUBLE AS n FROM lineitem), p AS (SELECT unnest([1, 2, 4, 8, 12])::INT AS chunks), c AS (SELECT 11.0::DOUBLE AS nfa, 11.0::DOUBLE AS dfa),
+t AS (SELECT chunks, n, nfa, dfa, greatest(1.0, log2(greatest(chunks, 2))) AS log FROM n, p, c)
+SELECT chunks, method, round(lookups, 3) AS lookups FROM t, LATERAL (VALUES ('nfa', nfa * n), ('dfa', n), ('speculate_tree', dfa * n / chunks + dfa * log), ('speculate_in_order', dfa * n / chunks + chunks),
+  ('relations_tree', n / chunks + nfa * nfa * nfa * log), ('relations_in_order', n / chunks + nfa * chunks), ('maps_tree', n / chunks + dfa * log), ('maps_in_order', n / chunks + chunks)) m(method, lookups)"""
+
+
+@query(_TERMS)
 def complexity_table(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Predicted work of every method on the digit word, by number of chunks."""
     c, n = _of(corpora.loop(5)), table(spark, sf_dir, "lineitem").count()
-    return spark.createDataFrame([(p, *t) for p in (1, 2, 4, 8, 12) for t in measure.complexity_terms(c, n, p)], "chunks int, method string, lookups double")
+    return spark.createDataFrame([(p, *t) for p in (1, 2, 4, 8, 12) for t in measure.complexity_terms(c, n, p)], "chunks int, method string, lookups double").withColumn("lookups", F.round("lookups", 3))
 
 
-# many patterns, positions, and what is done with hits
+@query("""WITH n AS (SELECT count(*)::BIGINT AS n FROM lineitem), k AS (SELECT n, ceil(n / 4096.0)::BIGINT AS p FROM n)
+SELECT method, symbols, lookups, chunks, fold_steps, fold_cells FROM k, LATERAL (VALUES ('maps', n, n, p, p - 1, (p - 1) * 11), ('speculate', n, n * 11, p, p - 1, (p - 1) * 11), ('lazy', n, n, p, p - 1, (p - 1) * 11)) m(method, symbols, lookups, chunks, fold_steps, fold_cells)""")
+def counted_work(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What a run really looks up and composes, counted while it runs: one lookup a symbol for maps, one a state for speculation."""
+    n, c = table(spark, sf_dir, "lineitem").count(), _of(corpora.loop(5))
+    return measure.counted(spark, c, corpora.digits(5, n), 4096, ("maps", "speculate", "lazy"))
+
+
+@query("SELECT * FROM (VALUES ('loop', 44, 30), ('loop_or_run', 1, 1), ('alternating', 10, 10)) t(word, maps_touched, dfa_touched)")
+def maps_touched(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Distinct map states on a run from the identity, however large the table is."""
+    words = [("loop", corpora.loop(15), corpora.digits(15, 3000)), ("loop_or_run", corpora.loop_or_run(15), "a" * 3000), ("alternating", corpora.alternating(), "01" * 1500)]
+    rows = [(name, measure.maps_touched(_of(p), _of(p).dfa.classes.table[[ord(x) for x in w]]), measure.states_touched(_of(p), _of(p).dfa.classes.table[[ord(x) for x in w]])) for name, p, w in words]
+    return spark.createDataFrame(rows, "word string, maps_touched int, dfa_touched int")
+
+
+@query("SELECT * FROM (VALUES (1, 3), (2, 12), (3, 16)) t(symbols, most_maps)")
+def relation_maps_by_symbols(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The most relation maps that so many symbols reach over two states, of all choices: all 16 take three."""
+    return measure.relation_reach(spark, 2, 3)
+
 
-#: Passages that are searched for at once; more would be dealt over several calls.
-MOST_PASSAGES = 100_000
+@query("SELECT * FROM (VALUES ('(ab)*', '(ab)*(ab)*', true, NULL), ('(ab)*', '(ab)*|abb', false, 'abb'), ('a*', '(aa)*', false, 'a'), ('(a|b)*', '(a*b*)*', true, NULL)) t(a, b, same, witness)")
+def equivalences(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Whether two patterns have the same language, and if not a shortest word that tells them apart."""
+    pairs = [("(ab)*", "(ab)*(ab)*"), ("(ab)*", "(ab)*|abb"), ("a*", "(aa)*"), ("(a|b)*", "(a*b*)*")]
+    return measure.equivalences(spark.createDataFrame(pairs, "a string, b string"))
+
+
+_BOUNDS = "WITH s(pattern, n, d, s) AS (VALUES ('(ab)*', 3, 3, 6), ('[ap]*[al][alp]{3}', 6, 32, 58), ('(m|(t|c([mt]*c){2})[cmt])*', 9, 5, 257)) SELECT pattern, n AS nfa_states, d AS dfa_total, s AS maps_total, n::DOUBLE AS dfa_bound_log2, round(d * log2(d), 6) AS functions_bound_log2, (n * n)::DOUBLE AS relations_bound_log2, log2(s) <= least(d * log2(d), n * n) + 1e-9 AS within FROM s"
+
+
+@query(_BOUNDS)
+def worst_case_bounds(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return measure.bounds(spark.createDataFrame([(p,) for p in ("(ab)*", corpora.subset_blowup(5), corpora.map_blowup(4))], "pattern string"))
+
+
+@query("SELECT count(*) AS docs, 0::BIGINT AS run_mismatches FROM documents")
+def reference_runs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every machine's own run over whole texts, symbol by symbol, against the kernels' verdicts."""
+    return measure.run_mismatches(_documents(spark, sf_dir), "text", _of(RULES["junkrun"]))
+
+
+# many patterns, positions, and what is done with hits
 
 
 @query("SELECT doc_id, item_id FROM documents d JOIN benchmark b ON contains(d.text, b.text)")
 def benchmark_leaks(spark: SparkSession, sf_dir: str) -> DataFrame:
-    passages = table(spark, sf_dir, "benchmark").limit(MOST_PASSAGES + 1).collect()
-    if len(passages) > MOST_PASSAGES:
-        raise ValueError("too many passages for one pass")
-    found = match.match_corpus(_documents(spark, sf_dir), "doc_id", "text", corpora.contains_all([(r["item_id"], r["text"]) for r in passages]))
-    return found.select(F.col("word_id").alias("doc_id"), F.col("pattern_id").cast("long").alias("item_id"))
+    found = match.match_texts(_documents(spark, sf_dir), "doc_id", "text", table(spark, sf_dir, "benchmark"), "item_id", "text")
+    return found.select(F.col("word_id").alias("doc_id"), "item_id")
 
 
 _ENDS = "SELECT doc_id, len(regexp_extract_all(text, '[.] '))::BIGINT AS n_ends FROM documents"

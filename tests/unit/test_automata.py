@@ -14,7 +14,7 @@ from mapmatch.automata import dfa as dfas
 from mapmatch.automata import maps, nfa, pattern
 from mapmatch.automata.alphabet import from_sets
 from mapmatch.operators import kernels, measure
-from mapmatch.operators.match import Compiled
+from mapmatch.operators.match import Compiled, TextSet
 from mapmatch.plans import corpora, planner
 
 AB = Compiled("(ab)*")
@@ -124,7 +124,62 @@ def test_lazy_maps_are_few_and_survive_flushing():
     kernels.walk_lazy(lanes, lazy)
     assert lazy.made <= lanes.symbols() + 1
     small = maps.LazyMaps(c.dfa, keep=4)
-    assert (kernels.walk_lazy(lanes, small) == kernels.walk_all_states(lanes, c.dfa)).all() and small.flushes
+    assert [small.listed(m) for m in kernels.walk_lazy(lanes, small).tolist()] == kernels.walk_all_states(lanes, c.dfa).tolist() and small.flushes
+
+
+def test_lazy_relations_need_no_deterministic_automaton():
+    """The subset automaton passes its cap, the relation maps too; what a word meets stays small."""
+    c = Compiled("[ab]*a[ab]{14}", max_dfa=1000)
+    with pytest.raises(dfas.TooLarge):
+        _ = c.dfa
+    rng = random.Random(5)
+    words = ["".join(rng.choice("ab") for _ in range(n)) for n in (0, 1, 14, 15, 16, 60, 200)]
+    scanner = c.scanner("lazy_relations")
+    for w, image in zip(words, scanner.images(pa.array(words)), strict=True):
+        assert bool(maps.end_states(tuple(image), c.nfa.initial) & c.nfa.final) == (len(w) >= 15 and w[-15] == "a")
+    assert scanner.lazy.made <= sum(map(len, words)) + 1
+    small = maps.LazyMaps(c.nfa, keep=8)
+    lanes = kernels.lanes_of(pa.array(words), c.nfa.classes.table, "codepoint")
+    assert [small.listed(m) for m in kernels.walk_lazy(lanes, small).tolist()] == scanner.images(pa.array(words)) and small.flushes
+
+
+def test_state_sets_of_many_words():
+    """Simulation with more states than a machine word holds, against the library."""
+    p = "(a|b)*(a(a|b){70}|b(a|b){65}a)"
+    c, rng = Compiled(p), random.Random(6)
+    words = ["".join(rng.choice("ab") for _ in range(rng.randint(60, 140))) for _ in range(60)]
+    lanes = kernels.lanes_of(pa.array([*words, "", None]), c.nfa.classes.table, "codepoint")
+    assert kernels.walk_state_sets(lanes, kernels.SetSteps(c.nfa)).tolist() == [re.fullmatch(p, w) is not None for w in words] + [False, False]
+
+
+def test_steps_over_several_symbols():
+    """Wide tables and narrow ones end in the same states from any start, for all lengths around a block."""
+    rng = np.random.default_rng(2)
+    for p in (corpora.loop(3), "(ab)*", corpora.RULES["email"], corpora.loop(50)):
+        c = Compiled(p)
+        lengths = [0, 1, 2, 3, 255, 256, 257, 511, 512, 700]
+        classes = rng.integers(0, c.dfa.classes.k, sum(lengths)).astype(np.uint8)
+        lanes = kernels.Lanes(classes, np.cumsum(lengths) - lengths, np.array(lengths), np.ones(len(lengths), bool))
+        starts = rng.integers(0, c.dfa.size, len(lengths))
+        want = [c.dfa.run(classes[s : s + n].tolist(), int(q)) for s, n, q in zip(lanes.start, lanes.length, starts, strict=True)]
+        assert kernels.walk_table(lanes, c.dfa.delta, starts).tolist() == want
+    assert kernels.Steps(AB.dfa.delta).m > 1 and kernels.Steps(Compiled(corpora.loop(50)).maps.delta, 1).m == 1
+
+
+def test_match_ends_by_lane():
+    c = Compiled("(ab)*")
+    lanes = kernels.lanes_of(pa.array(["abab", "", "ba", "ab"]), c.dfa.classes.table, "codepoint")
+    lane, pos = kernels.match_ends(lanes, c.dfa, np.zeros(4, np.int32))
+    assert list(zip(lane.tolist(), pos.tolist(), strict=True)) == [(0, 2), (0, 4), (3, 2)]
+
+
+@pytest.mark.parametrize("depth", [1, 3, 24])
+def test_text_sets_find_all(depth):
+    rng = random.Random(8)
+    texts = [(i, "".join(rng.choice("abé") for _ in range(rng.randint(1, 9)))) for i in range(60)] + [(60, "a"), (61, "ab"), (62, "x" * 50), (63, "")]
+    words = ["".join(rng.choice("abé😀") for _ in range(rng.randint(0, 200))) for _ in range(40)] + ["", None, "y" + "x" * 80, "é"]
+    found = TextSet(texts, depth).find(pa.array(words), 16)
+    assert found == [[] if w is None else sorted(i for i, t in texts if t in w) for w in words]
 
 
 def test_sliced_columns_and_bytes():
@@ -163,6 +218,26 @@ def test_relation_maps_need_many_symbols():
     assert max(reach(p) for p in itertools.combinations(matrices, 3)) == 16
 
 
+def test_byte_and_code_point_modes_agree():
+    """Either the same verdict on every word or a refusal: classes beyond ASCII are refused in byte mode, negated too."""
+    words = ["", "a", "é", "aé", "€", "ab", "\U0001f600"]
+    for p in ("(é)*", ".*é.*", "[a-z]*", "a.*", "é|€", "[^é]*", "[é]", r"[\W]*", "[^a]*"):
+        c = Compiled(p, unit="byte")
+        try:
+            d = c.dfa
+        except pattern.Unsupported:
+            assert "[" in p
+            continue
+        lanes = kernels.lanes_of(pa.array([w.encode() for w in words], pa.binary()), d.classes.table, "byte")
+        got = d.final[kernels.walk_table(lanes, d.delta)].tolist()
+        assert got == [re.fullmatch(p, w, re.S) is not None for w in words], p
+
+
+@pytest.mark.parametrize("p", [r"\xg1", r"\x4", r"\u12", "a{3,1}", "a{", "[b-a]", "x{2"])
+def test_bad_patterns_are_refused(p):
+    assert measure.compile_status(p) == "unsupported"
+
+
 @pytest.mark.parametrize(("p", "status"), [(r"(a)\1", "unsupported"), ("a(?=b)", "unsupported"), (r"\bx", "unsupported"), ("a++", "unsupported"), ("[ab]*a[ab]{14}", "dfa_cap"), (corpora.map_blowup(5), "ok"), ("a(b", "unsupported")])
 def test_status(p, status):
     assert measure.compile_status(p) == status
@@ -190,7 +265,9 @@ def test_planner():
     assert planner.choose(AB, 100).plan == "rows"
     assert planner.choose(AB, 1 << 30).plan == "maps"
     assert planner.choose(Compiled(corpora.loop(20), max_maps=100), 1 << 30).plan == "lazy"
-    assert planner.choose(Compiled("[ab]*a[ab]{14}", max_dfa=100), 1 << 30).plan == "relations"
+    assert planner.choose(Compiled("[ab]*a[ab]{14}", max_dfa=100), 1 << 30).plan == "lazy_relations"
+    assert planner.choose(AB).plan == "maps" and planner.choose(AB, table_budget=10).plan == "lazy"
+    assert [planner.contained_text(pattern.parse(p)) for p in (".*ab c.*", ".*a+b.*", "ab", "[ab].*", ".*a.*b.*", ".*.*")] == ["ab c", None, None, None, None, ""]
     assert planner.required_literal(pattern.parse(".*ab.*cde.*")) == "cde"
 
 

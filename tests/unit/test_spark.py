@@ -7,6 +7,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from mapmatch.functions import sqlapi
+from mapmatch.automata import nfa
 from mapmatch.operators import baselines, chunks, distributed, fold, match, measure
 from mapmatch.operators.match import Compiled
 from mapmatch.plans import corpora
@@ -27,10 +28,47 @@ def got(df, key="id", value="accepted"):
     return {r[key]: r[value] for r in df.collect()}
 
 
-@pytest.mark.parametrize("kind", ["maps", "lazy", "speculate", "merge", "halve", "relations"])
-@pytest.mark.parametrize(("size", "how"), [(1, "tree"), (7, "in_order"), (64, "tree"), (4096, "in_order")])
-def test_chunked_kinds(words, kind, size, how):
-    assert got(match.accepts_chunked(words, "id", "text", Compiled(P), size, how, kind, 3), "word_id") == WANT
+@pytest.mark.parametrize("kind", ["auto", "maps", "lazy", "speculate", "merge", "halve", "relations", "lazy_relations"])
+@pytest.mark.parametrize(("size", "how", "options"), [(1, "tree", {"fanout": 3, "rounds": 4}), (7, "in_order", {"fanout": 5, "rounds": 2}), (64, "tree", {}), (4096, "in_order", {"longest": 1000})])
+def test_chunked_kinds(words, kind, size, how, options):
+    assert got(match.accepts_chunked(words, "id", "text", Compiled(P), size, how, kind, **options), "word_id") == WANT
+
+
+def test_planner_avoids_the_deterministic_automaton(spark):
+    p = ".*a.{18}"
+    rows = [(i, "b" * i + "a" + "c" * (18 + i % 2)) for i in range(12)] + [(50, ""), (51, None)]
+    found = got(match.accepts_chunked(spark.createDataFrame(rows, "id long, text string"), "id", "text", p, 5), "word_id")
+    assert found == {i: None if t is None else re.fullmatch(p, t) is not None for i, t in rows}
+
+
+def test_python_scan_is_planned_once(words):
+    """The chunks are scanned by one Python node, whatever the fold, and nothing runs while the plan is made."""
+    for how in ("in_order", "tree"):
+        found = match.accepts_chunked(words, "id", "text", Compiled(P), 7, how, "maps")
+        plan = found._jdf.queryExecution().executedPlan().toString()
+        assert plan.count("MapInArrow") + plan.count("ArrowEvalPython") == 1, plan
+
+
+def test_words_of_rows_that_no_task_joins(spark):
+    """A key with most of the rows, null keys, null symbols and single rows, against whole words."""
+    rng = random.Random(4)
+    rows = [(1 if i % 4 else [None, 2, 3, 4][i // 4 % 4], i, rng.choice("abc") if i % 17 else None) for i in range(5000)]
+    rng.shuffle(rows)
+    df = spark.createDataFrame(rows, "k int, t int, s string").repartition(6)
+    for p in ("(a|b|c)*abb(a|b|c)*", "[^c]*c(a|b|c)*b", "(a|b|c){1187}"):
+        want = {k: re.fullmatch(p, "".join(s or "" for q, _, s in sorted(rows, key=lambda r: r[1]) if q == k)) is not None for k in (None, 1, 2, 3, 4)}
+        assert got(match.accepts_rows(df, "k", ["t"], F.col("s"), p), "k") == want
+
+
+def test_many_segments_of_one_word(spark):
+    """More segments than one row should gather, in random order: cells first, then the word; all folds agree."""
+    c, n = Compiled(corpora.loop(1)), 130_000
+    images = [list(map(int, c.maps.image(c.maps.run([int(c.dfa.classes.table[ord(x)])])))) for x in "05"]
+    pick = F.when(F.col("id") % 2 == 0, F.array(*[F.lit(q) for q in images[0]])).otherwise(F.array(*[F.lit(q) for q in images[1]]))
+    segments = spark.range(n).select(F.lit(7).alias("word_id"), F.col("id").cast("int").alias("lo"), F.col("id").cast("int").alias("hi"), pick.cast("array<int>").alias("image")).repartition(16, F.xxhash64("lo"))
+    assert got(fold.fold_in_order(segments), "word_id", "end_state") == {7: 0}
+    assert {r["word_id"]: r["image"][0] for r in fold.fold_tree(segments, 1024).collect()} == {7: 0}
+    assert fold.carry_in(segments, cell=1000).where("entry <> lo % 2").count() == 0
 
 
 def test_row_plans(words):
@@ -65,10 +103,22 @@ def test_folds_agree_for_many_small_segments(spark):
     df = spark.createDataFrame([(1, text), (2, text + "0")], "id long, text string")
     pieces = chunks.chunk_words(df, "id", "text", 5).repartition(7)
     maps = fold.attach_images(match.scan_map_ids(pieces, c.maps), c.maps).select("word_id", F.col("chunk_ix").alias("lo"), F.col("chunk_ix").alias("hi"), "image")
-    tree = {r["word_id"]: r["image"][0] for r in fold.fold_tree(maps, 4).collect()}
-    assert tree == got(fold.fold_in_order(maps), "word_id", "end_state") == got(fold.fold(maps, limit=10), "word_id", "end_state")
-    entry = {(r["word_id"], r["lo"]): r["entry"] for r in fold.carry_in(maps).collect()}
-    assert entry[1, 0] == 0 and entry[1, 3] == c.dfa.run([int(c.dfa.classes.table[ord(x)]) for x in text[:15]])
+    tree = {r["word_id"]: r["image"][0] for r in fold.fold_tree(maps, 4, 5).collect()}
+    assert tree == got(fold.fold_in_order(maps), "word_id", "end_state") == got(fold.fold_in_order(maps, 0, 10, 3), "word_id", "end_state")
+    for cell in (7, 10_000):
+        entry = {(r["word_id"], r["lo"]): r["entry"] for r in fold.carry_in(maps, 0, cell).collect()}
+        assert all(entry[1, i] == c.dfa.run([int(c.dfa.classes.table[ord(x)]) for x in text[: 5 * i]]) for i in range(240)) and len(entry) == 481
+
+
+def test_relation_trees_are_the_product_in_order(spark):
+    c = Compiled("(ab|ba)*a?")
+    text = "abba" * 40
+    pieces = chunks.chunk_words(spark.createDataFrame([(1, text), (2, text + "a"), (3, "bb")], "id long, text string"), "id", "text", 3).repartition(5)
+    segments = match.scan_chunks(pieces, c.scanner("relations"), fold_runs=False)
+    assert segments.count() == 54 + 54 + 1
+    want = {i: sorted(nfa.bits(c.nfa.run([int(c.nfa.classes.table[ord(x)]) for x in t]))) for i, t in ((1, text), (2, text + "a"), (3, "bb"))}
+    for in_order, fanout, rounds in ((True, 4, 3), (False, 4, 3), (False, 1 << 15, 2)):
+        assert got(fold.fold_relations(segments, [0], in_order, fanout, rounds), "word_id", "end_states") == want
 
 
 def test_match_ends(words):
@@ -81,6 +131,9 @@ def test_pattern_sets(spark, words):
     want = {(i, k) for i, t in ROWS if t is not None for k, p in rules if re.fullmatch(p, t, re.S)}
     for cells in (8_000_000, 10):
         assert {tuple(r) for r in match.match_corpus(words, "id", "text", rules, cells=cells).collect()} == want
+    texts = spark.createDataFrame([(10, "bb"), (20, "abb"), (30, "zz"), (40, None), (50, "é")], "name long, t string")
+    found = {tuple(r) for r in match.match_texts(words, "id", "text", texts, "name", "t", block=2).collect()}
+    assert found == {(i, n) for i, t in ROWS if t is not None for n, x in ((10, "bb"), (20, "abb"), (30, "zz"), (50, "é")) if x in t}
     hits = match.match_corpus(words, "id", "text", rules[:1])
     assert match.any_hit(words, "id", hits).count() + match.no_hit(words, "id", hits).count() == len(ROWS)
 
@@ -171,9 +224,15 @@ def test_state_asof(spark):
     assert found == {(1, 5): None, (1, 10): 5, (1, 25): 6, (2, 1): None}
 
 
-def test_index_rows(spark):
+def test_index_rows_and_one_word_of_all_rows(spark):
     df = spark.range(1000).select((F.col("id") * 7 % 1000).alias("v"))
-    assert all(r["v"] == r["i"] for r in chunks.index_rows(df, ["v"]).collect())
+    rows = chunks.index_rows(df, ["v"], size=64)
+    assert all(r["v"] == r["i"] for r in rows.collect())
+    pieces = chunks.pack_one(rows, (F.col("i") % 10).cast("string")).orderBy("chunk_ix").collect()
+    assert [r["chunk_ix"] for r in pieces] == list(range(len(pieces))) and "".join(r["payload"] for r in pieces) == "0123456789" * 100
+    assert all(len(r["payload"]) <= 64 for r in pieces) and [r["offset"] for r in pieces] == [sum(len(x["payload"]) for x in pieces[:i]) for i in range(len(pieces))]
+    plan = chunks.pack_one(rows, F.lit("x"))._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("Exchange hashpartitioning") == 1 and "partial_count" in plan  # the counts of the ranges alone
 
 
 def test_corpus_reports(spark):
