@@ -101,48 +101,74 @@ class MapAutomaton:
         return bool(self.final[self.run(symbols)])
 
 
-def close_functions(dfa: Dfa, most: int = 1_100_000) -> MapAutomaton:
+def _images(delta: np.ndarray, parents: np.ndarray, vias: np.ndarray, levels: list[int]) -> np.ndarray:
+    """All images, level by level: a map's image is its parent's, moved by one symbol."""
+    out = np.empty((len(parents), len(delta)), np.uint16 if len(delta) < 1 << 16 else np.int32)
+    out[0] = np.arange(len(delta))
+    for lo, hi in zip(levels[1:], levels[2:], strict=False):
+        out[lo:hi] = delta[out[parents[lo:hi]], vias[lo:hi, None]]
+    return out
+
+
+def close_functions(dfa: Dfa, most: int = 1_100_000, cells: int = 1 << 20) -> MapAutomaton:
     """All maps reachable over a complete deterministic automaton, level by level.
 
-    A level's next maps are one gather for each class. Maps are told apart by 128-bit fingerprints (two sums of random
-    words, one for each state and successor), so only the frontier's images need be held.
+    A map is held as its distinct states, each with the summed random weights of the states that lead there, so what has
+    merged is moved once. The fingerprint of a map (128 bits) is the sum of these weights times random words of the
+    states: it tells maps apart, and that of every next map follows from the same entries, without making its image.
+    Only the frontier's entries are held.
     """
     d, k = dfa.size, dfa.classes.k
-    kind = np.uint16 if d < 1 << 16 else np.int32
-    delta = dfa.delta.astype(kind)
-    words = np.random.default_rng(1).integers(0, 1 << 64, (2, d * d), dtype=np.uint64)
-    base = np.arange(d, dtype=np.int64) * d
-    frontier, ids = np.arange(d, dtype=kind)[None, :], {}
-    marks = lambda x: [w[base + x].sum(axis=1, dtype=np.uint64) for w in words]
-    ids[tuple(int(m[0]) for m in marks(frontier))] = 0
-    edges, parents, vias, finals, images = [], [0], [0], [bool(dfa.final[0])], [frontier]
-    first, kept = 0, True
-    while len(frontier):
-        row = np.empty((len(frontier), k), np.int64)
-        fresh = []
-        for c in range(k):
-            nxt = delta[frontier, c]
-            low, high = marks(nxt)
-            at = []
-            for i, mark in enumerate(zip(low.tolist(), high.tolist(), strict=True)):
+    delta = dfa.delta
+    rng = np.random.default_rng(1)
+    words, own = rng.integers(0, 1 << 64, d, dtype=np.uint64) | np.uint64(1), rng.integers(0, 1 << 64, (2, d), dtype=np.uint64)
+    moved = np.ascontiguousarray(words[delta.T])  # the word of each state's successor, by class
+    begin, state, weight, first = np.zeros(1, np.int64), np.arange(d), own, np.zeros(1, np.int64)
+    ids = {tuple(int((w * words).sum(dtype=np.uint64)) for w in own): 0}
+    edges, parents, vias, starts, levels = [], [0], [0], [first], [0, 1]
+    while len(begin):
+        ends = np.append(begin[1:], len(state))
+        each = max(1, cells // (k * max(1, int((ends - begin).max()))))
+        base, row, fresh = levels[-2], np.empty((len(begin), k), np.int64), []
+        for lo in range(0, len(begin), each):
+            hi = min(lo + each, len(begin))
+            part = slice(begin[lo], ends[hi - 1])
+            next_words = moved[:, state[part]]
+            low, high = (np.add.reduceat(next_words * w[part], begin[lo:hi] - begin[lo], axis=1).T.ravel() for w in weight)
+            _, at, back = np.unique(low, return_index=True, return_inverse=True)
+            if (high[at][back] != high).any():
+                _, at, back = np.unique(np.stack([low, high]), axis=1, return_index=True, return_inverse=True)
+            numbers, order = np.empty(len(at), np.int64), np.argsort(at)
+            where = at[order]
+            for j, i, mark in zip(order.tolist(), where.tolist(), zip(low[where].tolist(), high[where].tolist(), strict=True), strict=True):
                 m = ids.get(mark)
                 if m is None:
                     m = ids[mark] = len(parents)
-                    parents.append(first + i)
-                    vias.append(c)
-                    at.append(i)
-                row[i, c] = m
-            if at:
-                fresh.append(nxt[at])
-                finals.extend(dfa.final[nxt[at, 0]].tolist())
+                    fresh.append(lo * k + i)
+                    parents.append(base + lo + i // k)
+                    vias.append(i % k)
+                numbers[j] = m
+            row[lo:hi] = numbers[back.ravel()].reshape(-1, k)
             if len(parents) > most:
                 raise TooLarge(f"more than {most} maps")
         edges.append(row)
-        first += len(frontier)
-        frontier = np.concatenate(fresh) if fresh else np.zeros((0, d), kind)
-        kept = kept and len(parents) * d <= KEEP_CELLS
-        images = [*images, frontier] if kept else []
-    return MapAutomaton(dfa, np.concatenate(edges).astype(np.int32), np.array(finals), np.array(parents, np.int32), np.array(vias, np.uint16), np.concatenate(images) if kept else None)
+        levels.append(len(parents))
+        at, by = np.divmod(np.array(fresh, np.int64), k)
+        first = delta[first[at], by].astype(np.int64)
+        starts.append(first)
+        size = (ends - begin)[at]
+        name = np.repeat(np.arange(len(at)), size)
+        entry = np.arange(len(name)) - np.repeat(np.cumsum(size) - size, size) + begin[at][name]
+        key = name * d + delta[state[entry], by[name]]
+        order = np.argsort(key, kind="stable")
+        key = key[order]
+        cut = np.flatnonzero(np.concatenate([np.ones(min(1, len(key)), bool), key[1:] != key[:-1]]))
+        weight = np.add.reduceat(weight[:, entry[order]], cut, axis=1) if len(cut) else weight[:, :0]
+        state = key[cut] % d
+        begin = np.flatnonzero(np.concatenate([np.ones(min(1, len(cut)), bool), np.diff(key[cut] // d) > 0]))
+    parents, vias = np.array(parents, np.int32), np.array(vias, np.uint16)
+    kept = len(parents) * d <= KEEP_CELLS
+    return MapAutomaton(dfa, np.concatenate(edges).astype(np.int32), dfa.final[np.concatenate(starts)], parents, vias, _images(delta, parents, vias, levels) if kept else None)
 
 
 def close_relations(nfa: Nfa, most: int = 100_000) -> MapAutomaton:

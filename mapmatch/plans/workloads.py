@@ -388,7 +388,7 @@ def loop_sizes(spark: SparkSession, sf_dir: str) -> DataFrame:
     made = [("loop", n, corpora.loop(n)) for n in (5, 50, 500)] + [("loop_or_run", 500, corpora.loop_or_run(500))]
     patterns = spark.createDataFrame([(i, f"{f} {n}", p, "full") for i, (f, n, p) in enumerate(made)], "pattern_id int, family string, pattern string, mode string")
     name = F.split("family", " ")
-    return measure.corpus_sizes(patterns).select(name[0].alias("family"), name[1].cast("int").alias("n"), "dfa_live", "maps_live")
+    return measure.corpus_sizes(patterns, max_dfa=2000).select(name[0].alias("family"), name[1].cast("int").alias("n"), "dfa_live", "maps_live")
 
 
 @query("SELECT 11 AS dfa_total, 15564 AS maps_total, true AS over_cube, true AS over_fourth")
