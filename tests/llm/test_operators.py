@@ -10,6 +10,7 @@ import duckdb
 import numpy as np
 import pyarrow as pa
 import pytest
+import regex
 import xxhash
 from pyspark.sql import functions as F
 
@@ -233,10 +234,11 @@ def test_personal_data_added_and_redacted(spark):
     assert all(found[i]["n_chars"] == len(want) for i, (_, want) in texts.items()) and found[9]["text"] is None
 
 
-def test_top_k_blocks_and_coordinates(spark, sf):
+@pytest.mark.parametrize("lengths", [1, 4, 1024])
+def test_top_k_blocks_and_coordinates(spark, sf, lengths):
     vectors = topk.integer_vectors(spark.read.parquet(f"{sf}/embeddings.parquet"))
     data = {r["vec_id"]: np.array(r["v"]) for r in vectors.collect()}
-    found = topk.top_k(vectors, vectors.where("vec_id % 9 = 0"), 7, block=37, query_block=11).collect()
+    found = topk.top_k(vectors, vectors.where("vec_id % 9 = 0"), 7, block=37, query_block=11, lengths=lengths).collect()
     want = set()
     for q, x in data.items():
         if q % 9 == 0:
@@ -245,6 +247,25 @@ def test_top_k_blocks_and_coordinates(spark, sf):
     assert {(r["query_id"], r["rank"], r["vec_id"], r["score"]) for r in found} == want
 
 
+def test_top_k_leaves_out_what_length_rules_out(spark, monkeypatch):
+    """Blocks of short vectors are not sent to queries that longer ones already answer, and nothing is lost."""
+    rng = np.random.default_rng(9)
+    rows = [(i, np.floor(rng.normal(size=6) * (100_000 if i < 600 else 10)).tolist()) for i in range(6000)]
+    df = spark.createDataFrame(rows, "vec_id long, v array<double>")
+    met = []
+    original = topk.stored
+    monkeypatch.setattr(topk, "stored", lambda some, name: met.append((name, out := original(some, name))) or out)
+    found = topk.top_k(df, df.where("vec_id % 50 = 0 AND vec_id < 600"), 5, block=500)
+    by = defaultdict(list)
+    for r in found.collect():
+        by[r["query_id"]].append((r["rank"], r["vec_id"]))
+    for q, ranks in by.items():
+        best = sorted(((-np.dot(rows[q][1], v), i) for i, v in rows if i != q))[:5]
+        assert [i for _, i in sorted(ranks)] == [i for _, i in best]
+    pairs = [df for name, df in met if name == "pairs"][0]
+    assert pairs.count() <= 3 and len(by) == 12
+
+
 def test_top_k_beyond_doubles_and_fewer_than_k(spark):
     big = 2**30
     df = spark.createDataFrame([(0, [float(big), 1.0]), (1, [1.0, float(big)]), (2, [1.0, float(big) - 1])], "vec_id long, v array<double>")
@@ -271,9 +292,13 @@ def test_mixed_documents_hold_the_words_taken(spark, sf):
     taken = sum(r["taken"] for r in mixing.plan(docs).collect())
     mixed = mixing.mix(docs)
     assert mixed.columns == docs.columns
-    assert sum(len(WORD.findall(r["text"])) for r in mixed.collect()) == taken
+    longest = Counter()  # each source comes within half of one document of what the plan takes
+    for _, t, _, source in DOCS:
+        longest[source] = max(longest[source], len(WORD.findall(t or "")))
+    assert abs(sum(len(WORD.findall(r["text"])) for r in mixed.collect()) - taken) <= sum(longest.values()) / 2
     twice = docs.unionByName(docs)
-    assert sum(len(WORD.findall(r["text"])) for r in mixing.mix(twice).collect()) == sum(r["taken"] for r in mixing.plan(twice).collect())
+    again = sum(r["taken"] for r in mixing.plan(twice).collect())
+    assert abs(sum(len(WORD.findall(r["text"])) for r in mixing.mix(twice).collect()) - again) <= sum(longest.values()) / 2
 
 
 def brute_signatures(text):
@@ -427,15 +452,16 @@ def test_simhash_nulls_and_repeated_ids(spark):
     assert Counter(r["doc_id"] for r in simhash.representatives(df).collect()) == Counter({4: 1, None: 1, 2: 1})
 
 
-@pytest.mark.parametrize("budget", [substring.INDEX_BYTES, 0])
-def test_substring_with_and_without_index(spark, sf, budget):
+@pytest.mark.parametrize(("segment_blocks", "bucket_bytes"), [(substring.SEGMENT_BLOCKS, substring.BUCKET_BYTES), (3, 5000)])
+def test_substring_with_one_segment_and_many(spark, sf, segment_blocks, bucket_bytes):
     docs = spark.read.parquet(f"{sf}/documents.parquet")
     words = {i: WORD.findall(t or "") for i, t, _, _ in DOCS}
     first = {}
     for i in sorted(words):
         for s in range(len(words[i]) - 49):
             first.setdefault(tuple(words[i][s : s + 50]), i)
-    found = {r["doc_id"]: r for r in substring.remove_repeats(docs, index_bytes=budget).collect()}
+    found = {r["doc_id"]: r for r in substring.remove_repeats(docs, segment_blocks=segment_blocks, bucket_bytes=bucket_bytes).collect()}
+    assert not [t for t in spark.catalog.listTables() if t.name.startswith("mapmatch_")]
     gone = 0
     for i, w in words.items():
         cover = set()
@@ -469,13 +495,101 @@ def test_language_of_awkward_texts(spark, sf):
         letters = any(c.isalpha() for c in t or "")
         assert (found[i]["lang_pred"] != "und") == letters and 0 <= found[i]["score"] <= 1
         assert found[i]["held_out"] == (zlib.crc32(str(i).encode()) % 4 == 2)
-    kept = language.keep_identified(spark.read.parquet(f"{sf}/documents.parquet"), language.Model({}))
+    kept = language.keep_identified(spark.read.parquet(f"{sf}/documents.parquet"), language.Model(counted({})))
     assert kept.count() == 0
 
 
+def counted(words):
+    """{language: {word: n}} as a table of counts."""
+    rows = [(lang, w, n) for lang, found in words.items() for w, n in found.items()]
+    return pa.table({c: pa.array([r[i] for r in rows], kind) for i, (c, kind) in enumerate((("lang", pa.string()), ("word", pa.string()), ("n", pa.int64())))})
+
+
 def test_language_backs_off():
-    model = language.Model({"en": {"there": 5, "the": 9}, "de": {"schnee": 5, "der": 9}})
-    assert model.predict("thereof")[0] == "en" and model.predict("schneeig")[0] == "de" and model.predict("42 !")[0] == "und"
+    scorer = language.Scorer(language.Model(counted({"en": {"there": 5, "the": 9}, "de": {"schnee": 5, "der": 9}})))
+    found, score = scorer.predict(pa.array(["thereof", "schneeig", "42 !", "中文", None]))
+    assert found == ["en", "de", "und", "de", "und"] and score.tolist()[2:] == [0, 0.5, 0]
+
+
+class BruteLanguage:
+    """The definition, word by word: known words, then the longest n-grams of which any is known."""
+
+    def __init__(self, rows):
+        self.languages = sorted({lang for _, lang in rows})
+        counts = {lang: Counter() for lang in self.languages}
+        for text, lang in rows:
+            counts[lang].update(regex.findall(r"\p{L}+", text.lower()))
+        grams = [{lang: Counter() for lang in self.languages} for _ in range(5)]
+        for lang, found in counts.items():
+            for w, n in found.items():
+                for size in range(1, 5):
+                    for g in self.grams(w, size):
+                        grams[size][lang][g] += n
+        self.words, self.tables = self.logs(counts), [None, *(self.logs(g) for g in grams[1:])]
+
+    @staticmethod
+    def grams(word, size):
+        padded = f" {word} " if size > 1 else word
+        return [padded[i : i + size] for i in range(len(padded) - size + 1)]
+
+    def logs(self, counts):
+        entries = set().union(*counts.values())
+        totals = {lang: sum(c.values()) + 0.5 * max(1, len(entries)) for lang, c in counts.items()}
+        raw = {e: np.array([np.log(counts[lang][e] + 0.5) - np.log(totals[lang]) for lang in self.languages]) for e in entries}
+        return {e: x - x.mean() for e, x in raw.items()}
+
+    def score(self, word):
+        if word in self.words:
+            return self.words[word]
+        for size in range(4, 0, -1):
+            hits = [self.tables[size][g] for g in self.grams(word, size) if g in self.tables[size]]
+            if hits:
+                return np.mean(hits, axis=0)
+        return None
+
+    def predict(self, text):
+        words = regex.findall(r"\p{L}+", (text or "").lower())
+        if not words:
+            return "und", 0.0
+        scores = [x for w in words if (x := self.score(w)) is not None]
+        mean = np.mean(scores, axis=0) if scores else np.zeros(len(self.languages))
+        best = int(np.argmax(mean))
+        return self.languages[best], 1 / np.exp(4 * (mean - mean[best])).sum()
+
+
+@pytest.mark.parametrize("keep", [language.KEEP, 3])
+def test_language_by_brute_force(spark, sf, monkeypatch, keep):
+    """Every prediction and score, with repeated rows, ties and words outside the training alphabet; a tiny memory of unseen words changes nothing."""
+    monkeypatch.setattr(language, "SLICE_CHARS", 2000)
+    docs = spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text", "lang")
+    more = [(1000 + i, t, None) for i, t in enumerate(["thereof housed", "Flüsse größer", "中文 ok", "Ωμέγα", "casas ríos", "x1y2", "the der le el", "a b c"] * 2)]
+    docs = docs.unionByName(spark.createDataFrame(more, docs.schema)).unionByName(docs.limit(10))
+    brute = BruteLanguage([(r["text"], r["lang"]) for r in docs.collect() if r["text"] is not None and r["lang"] is not None and zlib.crc32(str(r["doc_id"]).encode()) % 4 != 2])
+    scorer = language.Scorer(language.train(language.learnable(docs)), keep)
+    rows = docs.collect()
+    found, score = scorer.predict(pa.array([r["text"] for r in rows], pa.string()))
+    for r, lang, s in zip(rows, found, score.tolist(), strict=True):
+        want = brute.predict(r["text"])
+        assert lang == want[0] and abs(s - want[1]) < 1e-9, r
+    if keep == language.KEEP:
+        by = Counter((r["doc_id"], r["lang_pred"], round(r["score"], 9)) for r in language.identify(docs).collect())
+        assert by == Counter((r["doc_id"], lang, round(s, 9)) for r, lang, s in zip(rows, found, score.tolist(), strict=True))
+
+
+def test_language_sample_is_bounded_and_has_rare_languages(spark):
+    """One text with a third of the rows and a language with few: at most ``sample`` documents each, the rare one whole."""
+    rows = [(i, "the same old text", "en") for i in range(400)] + [(1000 + i, f"wort{'abcdefghij'[i % 10]} haus", "de") for i in range(400)] + [(5000, "maison", "fr"), (None, "nada", "es")]
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    model = language.train(language.learnable(df), sample=30)
+    assert model.languages == ["de", "en", "fr"]
+    monkeyed = []
+    original, language.word_counts = language.word_counts, lambda some, most: monkeyed.append(some.groupBy("lang").count().collect()) or original(some, most)
+    try:
+        language.train(language.learnable(df), sample=30)
+    finally:
+        language.word_counts = original
+    assert {r["lang"]: r["count"] for r in monkeyed[0]} == {"de": 30, "en": 30, "fr": 1}
+    assert len(language.train(language.learnable(df), most=2).words) <= 2
 
 
 def test_components_of_a_long_chain(spark):
@@ -505,10 +619,14 @@ def test_pipeline_stages(spark, sf):
     check_sequences(docs.collect(), 4096)
 
 
-def test_lengths_follow_cut_texts(spark):
-    df = spark.createDataFrame([(i, "s", f"w{i} " * 10, 40) for i in range(9)] + [(20, "t", "v " * 500, 1000)], "doc_id long, source string, text string, n_chars long")
-    assert all(r["n_chars"] in (40, 1000) or r["n_chars"] == len(r["text"]) for r in mixing.mix(df).collect())
-    assert mixing.mix(df).where(F.col("text") == "").count() == 0
+def test_mix_keeps_documents_whole(spark):
+    df = spark.createDataFrame([(i, "s", f"w{i} " * 10, 40) for i in range(9)] + [(20, "t", "v " * 500, 1000), (21, "t", None, 0), (20, "t", "v " * 500, 1000)], "doc_id long, source string, text string, n_chars long")
+    rows = rows_of(mixing.mix(df))
+    whole = set(rows_of(df))
+    assert rows and set(rows) <= whole and not any(t is None for _, _, t, _ in rows)
+    taken = {r["source"]: r["target"] for r in mixing.plan(df).collect()}
+    for source, largest in (("s", 10), ("t", 500)):
+        assert abs(sum(len(t.split()) for _, x, t, _ in rows if x == source) - taken[source]) <= largest
 
 
 def brute_near_copies(texts, words=5):
