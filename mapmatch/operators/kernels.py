@@ -12,7 +12,7 @@ import numpy as np
 import pyarrow as pa
 
 from ..automata.dfa import Dfa, LazySubset
-from ..automata.maps import LazyMaps, MapAutomaton
+from ..automata.maps import LazyMaps, MapAutomaton, compose_rel
 from ..automata.nfa import Nfa
 
 
@@ -50,7 +50,7 @@ def lanes_of(column: pa.Array, table: np.ndarray, unit: str) -> Lanes:
     at, data = _buffers(column)
     data = data[at[0] : at[-1]]
     at = at - at[0]
-    if unit == "codepoint":
+    if unit == "codepoint" and len(data) and data.max() > 0x7F:
         heads = np.concatenate([[0], np.cumsum((data & 0xC0) != 0x80)])
         at = heads[at]
         codes = np.frombuffer(data.tobytes().decode("utf-8", "surrogatepass").encode("utf-32-le", "surrogatepass"), np.uint32)
@@ -291,6 +291,42 @@ def match_ends(lanes: Lanes, dfa: Dfa, start: np.ndarray) -> tuple[np.ndarray, n
     return lane[by], pos[by]
 
 
+#: Symbols of a lane: longer chunks are walked as several lanes side by side, and their maps composed.
+LANE = 4096
+
+
+def chopped(lanes: Lanes, size: int = LANE) -> tuple[Lanes, np.ndarray]:
+    """Lanes of at most ``size`` symbols, in the order of the words, and how many each word has."""
+    count = np.maximum(-(-lanes.length // size), 1)
+    word = np.repeat(np.arange(len(lanes)), count)
+    offset = (np.arange(len(word)) - np.repeat(np.cumsum(count) - count, count)) * size
+    return Lanes(lanes.classes, lanes.start[word] + offset, np.minimum(lanes.length[word] - offset, size), lanes.valid[word]), count
+
+
+def composed(at: np.ndarray, images: list, count: np.ndarray, relational: bool) -> tuple[np.ndarray, list]:
+    """The maps of words from those of their lanes, in order: a number for each word, and the images of these numbers."""
+    pool = [tuple(i) for i in images]
+    known: dict = {}
+    for m, image in enumerate(pool):
+        known.setdefault(image, m)
+    products: dict[tuple[int, int], int] = {}
+    out, begin, numbers = np.empty(len(count), np.int64), np.cumsum(count) - count, at.tolist()
+    for w, (a, n) in enumerate(zip(begin.tolist(), count.tolist(), strict=True)):
+        f = numbers[a]
+        for g in numbers[a + 1 : a + n]:
+            if (f, g) not in products:
+                one, two = pool[f], pool[g]
+                image = compose_rel(one, two) if relational else tuple(two[q] for q in one)
+                if image not in known:
+                    known[image] = len(pool)
+                    pool.append(image)
+                products[f, g] = known[image]
+            f = products[f, g]
+        out[w] = f
+    used, back = np.unique(out, return_inverse=True)
+    return back.ravel(), [list(pool[m]) for m in used.tolist()]
+
+
 @dataclass
 class Scanner:
     """One way to turn chunks into images. kind: maps, relations, halve, lazy, lazy_relations, speculate or merge.
@@ -317,7 +353,13 @@ class Scanner:
         return base.classes
 
     def numbered(self, lanes: Lanes) -> tuple[np.ndarray, list]:
-        """A number for each lane, and the images of these numbers: lists of states, or of bit masks."""
+        """A number for each word, and the images of these numbers: lists of states, or of bit masks."""
+        if self.kind == "halve" or int(lanes.length.max(initial=0)) <= LANE:
+            return self._walked(lanes)
+        pieces, count = chopped(lanes)
+        return composed(*self._walked(pieces), count, self.relational)
+
+    def _walked(self, lanes: Lanes) -> tuple[np.ndarray, list]:
         n = lanes.symbols()
         self.counts["symbols"] += n
         if self.kind in ("maps", "relations", "halve"):

@@ -18,7 +18,7 @@ from ..automata import alphabet, maps, nfa, pattern
 from ..automata import dfa as dfas
 from ..automata.dfa import TooLarge
 from .kernels import Lanes, lanes_of, walk_table
-from .match import Compiled, compiled
+from .match import Compiled, accepts_segments, compiled, scan_chunks, with_verdict
 
 #: The size study's caps: deterministic states as published, and maps, above the largest published case (1 001 000).
 STUDY_DFA, STUDY_MAPS = 1000, 1_100_000
@@ -242,6 +242,55 @@ def scan_rate(c: Compiled, classes: np.ndarray, lanes: int, kind: str = "maps",
     return lanes * size / sorted(times)[len(times) // 2]
 
 
+def repeated_word(spark: SparkSession, period: str, size: int, chunk: int = 1 << 16) -> DataFrame:
+    """One word of about ``size`` symbols as a table of chunks: a period, over and over."""
+    times = max(1, chunk // len(period))
+    pieces = spark.range(max(1, size // (times * len(period))))
+    return pieces.select(F.lit(0).cast("long").alias("word_id"), F.col("id").cast("int").alias("chunk_ix"), F.repeat(F.lit(period), F.lit(times)).alias("payload"))
+
+
+def _seconds(run, repeat: int) -> float:
+    times = []
+    for _ in range(repeat):
+        t = time.perf_counter()
+        run()
+        times.append(time.perf_counter() - t)
+    return min(times)
+
+
+def parallel_seconds(pieces: DataFrame, c: Compiled, kind: str, workers: int, repeat: int = 2) -> float:
+    """A chunk-parallel run by so many tasks at once, start of the job and fold included, compiling excluded."""
+    scanner = c.scanner(kind)
+    return _seconds(lambda: accepts_segments(scan_chunks(pieces.coalesce(workers), scanner), c).collect(), repeat)
+
+
+def sequential_seconds(pieces: DataFrame, c: Compiled, repeat: int = 2) -> float:
+    """One task that makes one lookup in the deterministic table for every symbol: what the speed-up is measured against."""
+    _ = c.dfa
+    return _seconds(lambda: with_verdict(pieces.coalesce(1), "payload", c).agg(F.count_if("accepted")).collect(), repeat)
+
+
+def scaling(pieces: DataFrame, c: Compiled, workers: list[int], kind: str = "maps") -> list[tuple[int, float, float]]:
+    """(workers, seconds, speed-up over the sequential run); the first row, with 0 workers, is the sequential run itself."""
+    base = sequential_seconds(pieces, c)
+    rows = [(w, parallel_seconds(pieces, c, kind, w)) for w in workers]
+    return [(0, base, 1.0), *((w, s, base / s) for w, s in rows)]
+
+
+def small_inputs(spark: SparkSession, c: Compiled, period: str, sizes: list[int], workers: int = 2) -> tuple[list[tuple[int, float, float]], int | None]:
+    """(symbols, sequential seconds, parallel seconds) for growing words, and the least size from which parallel stays ahead."""
+    rows = []
+    for size in sizes:
+        pieces = repeated_word(spark, period, size, min(1 << 16, size // (4 * workers))).cache()
+        pieces.count()
+        rows.append((size, sequential_seconds(pieces, c, 3), parallel_seconds(pieces, c, "maps", workers, 3)))
+        pieces.unpersist()
+    ahead = [size for size, a, b in rows if b < a]
+    late = [size for size, a, b in rows if b >= a]
+    even = [size for size in ahead if not late or size > max(late)]
+    return rows, min(even) if even else None
+
+
 def mismatches(a: DataFrame, b: DataFrame, key: str, column: str = "accepted") -> int:
     """Rows on which two ways of matching differ; 0 is the only right answer."""
     return a.join(b.select(key, F.col(column).alias("_other")), key).where(~F.col(column).eqNullSafe(F.col("_other"))).count()

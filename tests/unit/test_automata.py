@@ -117,6 +117,12 @@ def test_kernels_agree():
         assert [i for i in c.scanner("relations").images(column)][0] == list(c.relations.image(c.relations.run(word(c, words[0]))))
 
 
+def test_long_words_are_walked_as_several_lanes(monkeypatch):
+    monkeypatch.setattr(kernels, "LANE", 7)
+    monkeypatch.setattr(kernels.chopped, "__defaults__", (7,))
+    test_kernels_agree()
+
+
 def test_lazy_maps_are_few_and_survive_flushing():
     c = Compiled(corpora.loop(20))
     lanes = kernels.lanes_of(pa.array(["0" * 20 + "9" * 20, "1" * 7]), c.dfa.classes.table, "codepoint")
