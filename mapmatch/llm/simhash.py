@@ -21,11 +21,12 @@ from itertools import combinations
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import stored
+from .common import runs_of, stored, tidied
 from .components import connected
 
 SEED, WORDS, BITS = 42, 4, 4
@@ -33,6 +34,8 @@ SEED, WORDS, BITS = 42, 4, 4
 PIVOTS = 24
 #: More fingerprints than this under one key are dealt as a grid.
 GROUP = 8192
+#: Pairs of a cell up to which no pivot table is made; differing bits beyond which it would rule out nothing; pairs of a slice.
+DIRECT, FAR, SLICE = 1024, 12, 2_000_000
 
 
 def _pivots(n: int = PIVOTS) -> np.ndarray:
@@ -56,21 +59,26 @@ def shingle_hashes(text: str | None, words: int = WORDS, seed: int = SEED) -> np
     return np.fromiter((digest(joined[a:b], seed) for a, b in pairs), np.uint64, n)
 
 
-def fingerprint(text: str | None, words: int = WORDS, seed: int = SEED) -> int:
-    """The fingerprint of one text."""
-    h = shingle_hashes(text, words, seed)
-    n = len(h)
+def bits_of(hashes: np.ndarray) -> int:
+    """The fingerprint of shingle hashes: the bits that more than half of them set."""
+    n = len(hashes)
     if not n:
         return 0
     ones = np.zeros(64, np.int64)
     for lo in range(0, n, 1 << 16):
-        ones += np.unpackbits(h[lo : lo + (1 << 16)].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
+        ones += np.unpackbits(hashes[lo : lo + (1 << 16)].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
     return int(np.packbits(2 * ones > n, bitorder="little").view("<u8")[0])
 
 
+def fingerprint(text: str | None, words: int = WORDS, seed: int = SEED) -> int:
+    """The fingerprint of one text."""
+    return bits_of(shingle_hashes(text, words, seed))
+
+
 def fingerprints(documents: DataFrame, keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
     """The kept columns and fp, the fingerprint as a signed long."""
 
+    @tidied
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for batch in batches:
             found = np.array([fingerprint(t) for t in batch["text"]], np.uint64).view(np.int64)
@@ -82,7 +90,15 @@ def fingerprints(documents: DataFrame, keep: tuple[str, ...] = ("doc_id",)) -> D
 
 
 def links_within(a: np.ndarray, b: np.ndarray, bits: int) -> tuple[np.ndarray, np.ndarray]:
-    """Index pairs (into a and b) of fingerprints at most ``bits`` apart. Both sides are cut by their pivot tables."""
+    """Index pairs (into a and b) of fingerprints at most ``bits`` apart. Both sides are cut by their pivot tables.
+
+    Distances to a pivot have a deviation of four bits, so beyond FAR bits a table rules out nothing; then, and for so few
+    pairs that a table would cost more than it saves, all are compared on the bits, slice by slice.
+    """
+    if bits > FAR or len(a) * len(b) <= DIRECT:
+        each = max(1, SLICE // max(1, len(b)))
+        found = [np.nonzero(np.bitwise_count(a[lo : lo + each, None] ^ b) <= bits) for lo in range(0, len(a), each)]
+        return np.concatenate([i + lo for (i, _), lo in zip(found, range(0, len(a), each), strict=True)] or [np.zeros(0, np.int64)]), np.concatenate([j for _, j in found] or [np.zeros(0, np.int64)])
     pivots = _pivots()
     table_a, table_b = (np.bitwise_count(x[:, None] ^ pivots).astype(np.int8) for x in (a, b))
     order = np.argsort(table_b[:, 0], kind="stable")
@@ -92,15 +108,13 @@ def links_within(a: np.ndarray, b: np.ndarray, bits: int) -> tuple[np.ndarray, n
     width = hi - lo
     done = 0
     while done < len(a):  # slices of at most a few million pairs
-        upto = max(done + 1, int(np.searchsorted(np.cumsum(width[done:]), 2_000_000, "right")) + done)
+        upto = max(done + 1, int(np.searchsorted(np.cumsum(width[done:]), SLICE, "right")) + done)
         w = width[done:upto]
         i = np.repeat(np.arange(done, upto), w)
         j = order[np.arange(int(w.sum())) - np.repeat(np.cumsum(w) - w, w) + np.repeat(lo[done:upto], w)]
         for p in range(1, len(pivots)):
             near = np.abs(table_a[i, p] - table_b[j, p]) <= bits
             i, j = i[near], j[near]
-            if len(i) < 1000:
-                break
         near = np.bitwise_count(a[i] ^ b[j]) <= bits
         out_a.append(i[near])
         out_b.append(j[near])
@@ -152,31 +166,24 @@ def links(distinct: DataFrame, bits: int = BITS, group: int = GROUP) -> DataFram
     dealt = dealt.select("fp", "own", F.xxhash64("t", "k", "c.i", "c.j").alias("cell"), F.col("c.i").alias("i"), F.col("c.j").alias("j"))
     dealt = dealt.repartition("cell").sortWithinPartitions("cell", "own", "fp")
 
-    def compare(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        def cell(rows: pd.DataFrame) -> list[tuple[int, int]]:
-            fp, own = rows["fp"].to_numpy().view(np.uint64), rows["own"].to_numpy()
-            i, j = rows["i"].iloc[0], rows["j"].iloc[0]
-            left, right = np.flatnonzero(own == i), np.flatnonzero(own == j)
-            a, b = links_within(fp[left], fp[right], bits)
-            signed = fp.view(np.int64)
-            return [(int(signed[x]), int(signed[y])) for x, y in _spanning(len(fp), left[a], right[b])]
+    def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        out: list[tuple[int, int]] = []
+        for rows in runs_of(batches, "cell"):
+            if len(rows["fp"]) > 1:
+                fp = rows["fp"].view(np.uint64)
+                left, right = (np.flatnonzero(rows["own"] == rows[c][0]) for c in "ij")
+                a, b = links_within(fp[left], fp[right], bits)
+                out += [(int(rows["fp"][x]), int(rows["fp"][y])) for x, y in _spanning(len(fp), left[a], right[b])]
+            if len(out) > 100_000:
+                yield _pairs(out)
+                out = []
+        yield _pairs(out)
 
-        held: list[pd.DataFrame] = []
-        for batch in batches:
-            held.append(batch)
-            whole = pd.concat(held, ignore_index=True) if len(held) > 1 else batch.reset_index(drop=True)
-            marks = whole["cell"].to_numpy()
-            cuts = np.flatnonzero(np.diff(marks)) + 1
-            out: list[tuple[int, int]] = []
-            for lo, hi in zip([0, *cuts[:-1]], cuts, strict=False):
-                if hi - lo > 1:
-                    out += cell(whole.iloc[lo:hi])
-            held = [whole.iloc[cuts[-1] :] if len(cuts) else whole]
-            yield pd.DataFrame(out, columns=["a", "b"], dtype="int64")
-        if held and len(held[0]) > 1:
-            yield pd.DataFrame(cell(held[0]), columns=["a", "b"], dtype="int64")
-
-    return dealt.mapInPandas(compare, "a long, b long").where("a <> b").distinct()
+    return dealt.mapInArrow(compare, "a long, b long").where("a <> b").distinct()
+
+
+def _pairs(rows: list[tuple[int, int]]) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], pa.int64()) for i in (0, 1)], ["a", "b"])
 
 
 def _placed(docs: DataFrame, bits: int) -> DataFrame:
@@ -201,5 +208,5 @@ def representatives(documents: DataFrame, bits: int = BITS) -> DataFrame:
     docs = stored(fingerprints(documents.select("doc_id", "text", mark.alias("mark")), ("doc_id", "mark")), "fingerprints")
     placed = _placed(docs, bits).select("fp", "root")
     first = docs.join(placed, "fp").groupBy("root").agg(F.min(F.struct(F.isnull("doc_id").alias("none"), "doc_id", "mark")).alias("x")).select(F.col("x.mark").alias("_mark"))
-    marked = documents.withColumn("_mark", mark).dropDuplicates(["_mark"])
-    return marked.join(first.distinct(), "_mark", "left_semi").select(*documents.columns)
+    kept = documents.withColumn("_mark", mark).join(first.distinct(), "_mark", "left_semi")
+    return kept.dropDuplicates(["_mark", "doc_id", "text"]).select(*documents.columns)
