@@ -4,7 +4,7 @@ Wherever one of the commonest words of a language stands (an anchor), the next c
 hashes of anchor and chain are the document's set of signatures. Boilerplate has few such words, prose many. Sets are
 compared by Jaccard likeness, after the bound by their lengths (the shorter over the longer); the search for near
 documents deals sets into ranges of length so that only neighbouring ranges can hold partners, looks for a shared
-signature among each set's first few in hash order (enough for the wanted likeness), and verifies what it meets.
+signature among each set's rarest few (enough for the wanted likeness), and verifies what it meets.
 
 Neighbours in descending doc_id are found without a global sort in one task: ids are dealt into ranges by their
 quantiles, and the first row of each range also closes the range before it.
@@ -22,6 +22,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from .common import stored
 from .expressions import let
 
 #: Anchors, common words of English, German, French and Spanish.
@@ -132,12 +133,18 @@ def near_pairs(documents: DataFrame, least: float = 0.8) -> tuple[DataFrame, Dat
     sets = documents.select("doc_id", signatures(F.coalesce(F.col("text").cast("string"), F.lit(""))).alias("sigs"))
     classes = sets.groupBy("sigs").agg(F.min("doc_id").alias("class_id"))
     members = sets.join(classes, "sigs").select("doc_id", "class_id")
-    size = F.size("sigs")
+    # rare signatures first: what very many sets share is met only by sets that have nothing rarer to be met by
+    each = stored(classes.select("class_id", F.explode("sigs").alias("sig")), "signatures")
+    times = stored(each.groupBy("sig").agg(F.count("*").alias("n")), "times")  # written down, so that the join can split a common signature
+    ranked = each.join(times, "sig").groupBy("class_id").agg(F.array_sort(F.collect_list(F.struct("n", "sig"))).alias("ranked"))
+    size = F.size("ranked")
     width = -math.log(least)
-    spread = classes.withColumn("range", F.floor(F.log(size.cast("double")) / width).cast("int"))
-    prefix = F.explode(F.slice("sigs", 1, (size - F.ceil(size * least) + 1).cast("int")))
-    left = spread.select("class_id", "sigs", "range", prefix.alias("sig"))
-    right = left.select(F.col("class_id").alias("other"), F.col("sigs").alias("other_sigs"), F.explode(F.array(F.col("range"), F.col("range") - 1)).alias("range"), "sig")
-    met = left.join(right, ["sig", "range"]).where("class_id <> other")
-    pairs = met.select(F.least("class_id", "other").alias("a"), F.greatest("class_id", "other").alias("b"), jaccard(F.col("sigs"), F.col("other_sigs"), least).alias("likeness"))
-    return pairs.where(F.col("likeness") >= least).distinct(), members
+    spread = ranked.withColumn("size", size).withColumn("range", F.floor(F.log(size.cast("double")) / width).cast("int"))
+    prefix = F.explode(F.slice("ranked.sig", 1, (size - F.ceil(size * least) + 1).cast("int")))
+    left = stored(spread.select("class_id", "size", "range", prefix.alias("sig")), "prefixes")
+    right = left.select(F.col("class_id").alias("other"), F.col("size").alias("other_size"), F.explode(F.array(F.col("range"), F.col("range") - 1)).alias("range"), "sig")
+    near = (F.col("class_id") != F.col("other")) & (F.least("size", "other_size") >= least * F.greatest("size", "other_size"))
+    pairs = left.join(right, ["sig", "range"]).where(near).select(F.least("class_id", "other").alias("a"), F.greatest("class_id", "other").alias("b")).distinct()
+    sets_of = lambda x: classes.select(F.col("class_id").alias(x), F.col("sigs").alias(f"sigs_{x}"))
+    verified = pairs.join(sets_of("a"), "a").join(sets_of("b"), "b").select("a", "b", jaccard(F.col("sigs_a"), F.col("sigs_b"), least).alias("likeness"))
+    return verified.where(F.col("likeness") >= least), members

@@ -619,6 +619,27 @@ def test_pipeline_stages(spark, sf):
     check_sequences(docs.collect(), 4096)
 
 
+def test_pipeline_of_an_empty_table(spark, empty):
+    import corpus_pipeline
+
+    found = corpus_pipeline.run(spark, empty)
+    assert found.collect() == [] and "sequence_id" in found.columns
+
+
+def test_pipeline_run_is_its_stages(spark, sf, tmp_path):
+    """run() gives what the stages give one after another on a table with nulls, repeated rows and extra columns."""
+    import corpus_pipeline
+
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    docs.unionByName(docs.limit(7)).write.parquet(f"{tmp_path}/documents.parquet")
+    now = spark.read.parquet(f"{tmp_path}/documents.parquet")
+    for _, stage in corpus_pipeline.STAGES:
+        now = stage(spark, now, str(tmp_path)).cache()
+    columns = ["doc_id", "piece", "start", "length", "ids_crc32"]
+    found = corpus_pipeline.run(spark, str(tmp_path))
+    assert Counter(rows_of(found.select(columns))) == Counter(rows_of(now.select(columns))) and found.count() > 20
+
+
 def test_mix_keeps_documents_whole(spark):
     df = spark.createDataFrame([(i, "s", f"w{i} " * 10, 40) for i in range(9)] + [(20, "t", "v " * 500, 1000), (21, "t", None, 0), (20, "t", "v " * 500, 1000)], "doc_id long, source string, text string, n_chars long")
     rows = rows_of(mixing.mix(df))
