@@ -126,8 +126,53 @@ def _breadth_first(delta: np.ndarray, final: np.ndarray, start: int, classes: Sy
     return Dfa(rename[delta[order]].astype(np.int32), final[order], classes)
 
 
+#: Cells of a table up to which blocks are split one by one, and beyond which all rows are compared in numpy, round by round.
+FEW_CELLS = 20_000
+
+
+def _split_one_by_one(dfa: Dfa) -> np.ndarray:
+    """Blocks of equivalent states: a block splits the others by what leads into it; of two halves the smaller goes on."""
+    back: list[list[list[int]]] = []
+    for column in dfa.delta.T.tolist():
+        into: list[list[int]] = [[] for _ in range(dfa.size)]
+        for q, to in enumerate(column):
+            into[to].append(q)
+        back.append(into)
+    accepting = set(np.flatnonzero(dfa.final).tolist())
+    blocks = [b for b in (accepting, set(range(dfa.size)) - accepting) if b]
+    block = np.zeros(dfa.size, np.int64)
+    if len(blocks) == 2:
+        block[list(blocks[1])] = 1
+    of, waiting = block.tolist(), set(range(len(blocks)))
+    while waiting:
+        members = list(blocks[waiting.pop()])
+        for into in back:
+            met: dict[int, list[int]] = {}
+            for q in members:
+                for r in into[q]:
+                    met.setdefault(of[r], []).append(r)
+            for i, inside in met.items():
+                if len(inside) == len(blocks[i]):
+                    continue
+                new, j = set(inside), len(blocks)
+                blocks[i] -= new
+                blocks.append(new)
+                for r in new:
+                    of[r] = j
+                waiting.add(j if i in waiting or len(new) <= len(blocks[i]) else i)
+    return np.array(of)
+
+
 def minimize(dfa: Dfa) -> Dfa:
-    """Partition refinement: blocks split while their members' successors lie in different blocks.
+    """The smallest automaton of the same language, its states in breadth-first order."""
+    block = _split_one_by_one(dfa) if dfa.delta.size <= FEW_CELLS else _split_by_rounds(dfa)
+    one = np.zeros(int(block.max()) + 1, np.int64)
+    one[block] = np.arange(dfa.size)
+    return _breadth_first(block[dfa.delta[one]], dfa.final[one], int(block[0]), dfa.classes)
+
+
+def _split_by_rounds(dfa: Dfa) -> np.ndarray:
+    """Blocks of equivalent states by rounds: blocks split while their members' successors lie in different blocks.
 
     Rows of successor blocks are told apart by a random weighted sum; the last partition is checked entry by entry, and
     refined exactly in the (unheard of) case that two sums met.
@@ -149,7 +194,7 @@ def minimize(dfa: Dfa) -> Dfa:
         one[block] = np.arange(dfa.size)
         if (block[dfa.delta] == block[dfa.delta[one]][block]).all() and (dfa.final == dfa.final[one][block]).all():
             break
-    return _breadth_first(block[dfa.delta[one]], dfa.final[one], int(block[0]), dfa.classes)
+    return block
 
 
 def complete(delta: np.ndarray, final: np.ndarray, classes: SymbolClasses) -> Dfa:

@@ -260,6 +260,16 @@ def test_equivalence_and_complexity():
     assert measure.syntactic_complexity("(ab)*") == measure.syntactic_complexity("(ab)*(ab)*") == 6
 
 
+@pytest.mark.parametrize("p", [*PATTERNS, corpora.loop(7), corpora.subset_blowup(6), corpora.map_blowup(4), *list(corpora.RULES.values())[:8]])
+def test_both_ways_of_minimising(p, monkeypatch):
+    raw = Compiled(p).raw_dfa
+    a = dfas.minimize(raw)
+    monkeypatch.setattr(dfas, "FEW_CELLS", 0)
+    b = dfas.minimize(raw)
+    assert (a.delta == b.delta).all() and (a.final == b.final).all() and dfas.equivalent(a, raw) == (True, None)
+    assert a.size == len(np.unique(dfas._split_by_rounds(a))) == len(set(dfas._split_one_by_one(a).tolist()))
+
+
 def test_completion_and_lengths():
     c = AB.dfa.classes
     partial = np.array([[1, -1, -1], [-1, 0, -1]])
