@@ -159,17 +159,32 @@ def walk_table(lanes: Lanes, delta: np.ndarray, start: int | np.ndarray = 0) ->
 
 
 def walk_all_states(lanes: Lanes, dfa: Dfa) -> np.ndarray:
-    """Speculation: every lane carries the destination of each state, so D lookups a symbol. Returns images."""
-    k, d = dfa.classes.k, dfa.size
-    by_class = np.ascontiguousarray(dfa.delta.T, np.intp)
-    flat = (by_class).ravel()
-    state = np.broadcast_to(np.arange(d, dtype=np.intp), (len(lanes), d)).copy()
-    offset = np.arange(k, dtype=np.intp) * d
-
-    def step(s: np.ndarray, c: np.ndarray) -> np.ndarray:
-        return np.take(flat, s + offset[c][:, None], mode="clip")
+    """Speculation: every lane carries the destination of each state, so D lookups where a map takes one. Returns images.
 
-    return _lockstep(lanes, state, step).astype(np.int32)
+    Steps go over the same wide tables as those of ``walk_table``, so that the two compare.
+    """
+    table, d = steps_of(dfa.delta), dfa.size
+    order = np.argsort(-lanes.length, kind="stable")
+    length, at = lanes.length[order], lanes.start[order].astype(np.intp)
+    state = np.broadcast_to(np.arange(d, dtype=np.intp), (len(lanes), d)).copy()
+    t = 0
+    while active := int(np.searchsorted(-length, -t)):
+        steps = min(int(length[active - 1]) - t, _BLOCK)
+        symbols = np.ascontiguousarray(np.lib.stride_tricks.sliding_window_view(lanes.classes, steps)[at[:active] + t].T)
+        whole = steps - steps % table.m
+        s, cell = state[:active], np.empty((active, d), np.intp)
+        if whole:
+            s *= table.columns
+            for run in table.runs(symbols[:whole]):
+                np.add(s, run[:, None], out=cell)
+                np.take(table.flat, cell, out=s, mode="clip")
+            s //= table.columns
+        for row in symbols[whole:]:
+            np.take(table.single, s * table.k + row[:, None], out=s, mode="clip")
+        t += steps
+    back = np.empty((len(lanes), d), np.int32)
+    back[order] = state
+    return back
 
 
 def walk_merged_states(lanes: Lanes, dfa: Dfa, every: int = 8) -> tuple[np.ndarray, int]:
