@@ -227,6 +227,28 @@ def _score(trees: tuple, x: Column) -> Column:
     return total
 
 
+def _unclashed(items: Column, others: Column, rules_out) -> Column:
+    """The items, sorted by start, that no overlapping one of the others rules out. Both have start and stop.
+
+    Items are taken in blocks of about the root of their number, each against the others that overlap it, so that a text
+    with very many spans costs that number times its root and not its square.
+    """
+
+    def blocks(s: Column) -> Column:
+        n = F.size(s["items"])
+        width = F.greatest(F.lit(16), F.ceil(F.sqrt(n.cast("double"))).cast("int"))
+
+        def one(block: Column) -> Column:
+            ends = F.struct(F.get(block, F.lit(0))["start"].alias("lo"), F.array_max(F.transform(block, lambda x: x["stop"])).alias("hi"))
+            near = let(ends, lambda e: F.filter(s["others"], lambda o: (o["start"] < e["hi"]) & (o["stop"] > e["lo"])))
+            return let(near, lambda os: F.filter(block, lambda p: ~F.exists(os, lambda o: (o["start"] < p["stop"]) & (p["start"] < o["stop"]) & rules_out(o, p))))
+
+        cut = let(width, lambda w: F.transform(F.sequence(F.lit(0), F.floor((n - 1) / w).cast("int")), lambda b: F.slice(s["items"], b * w + 1, w)))
+        return F.flatten(F.transform(cut, one))
+
+    return let(F.struct(items.alias("items"), others.alias("others")), lambda s: F.when(F.size(s["items"]) == 0, s["items"]).otherwise(blocks(s)))
+
+
 def added_spans(text: Column, base: Column, fitted: tuple) -> Column:
     """Spans that the model adds: structs (start, k, stop, kind)."""
     trees, thresholds = fitted
@@ -235,14 +257,14 @@ def added_spans(text: Column, base: Column, fitted: tuple) -> Column:
     for kind, pattern, guard in GENERATORS:
         met = F.transform(matches(text, pattern), _as_kind(kind, True))
         found.append(F.when(text.rlike(guard), met).otherwise(none))
-    clash = lambda a, b: (a["start"] < b["stop"]) & (b["start"] < a["stop"])
-    proposed = let(F.struct(base.alias("base"), F.concat(*found).alias("new"), text.alias("t")), lambda s: F.transform(F.filter(s["new"], lambda c: ~F.exists(s["base"], lambda b: clash(b, c))), lambda c: F.struct(c.alias("c"), describe(c["kind"], c["m"], F.substr(s["t"], F.greatest(c["start"] - 27, F.lit(1)), F.least(c["start"], F.lit(28))), F.substr(s["t"], c["stop"] + 1, F.lit(4))).alias("x"))))
-    scored = F.transform(proposed, lambda p: F.struct(_score(trees, p["x"]).alias("score"), p["c"].alias("c")))
+    free = _unclashed(F.array_sort(F.concat(*found)), base, lambda o, p: F.lit(True))
+    proposed = let(F.struct(free.alias("new"), text.alias("t")), lambda s: F.transform(s["new"], lambda c: F.struct(c.alias("c"), describe(c["kind"], c["m"], F.substr(s["t"], F.greatest(c["start"] - 27, F.lit(1)), F.least(c["start"], F.lit(28))), F.substr(s["t"], c["stop"] + 1, F.lit(4))).alias("x"))))
+    scored = F.transform(proposed, lambda p: F.struct(p["c"]["start"].alias("start"), p["c"]["k"].alias("k"), p["c"]["stop"].alias("stop"), p["c"]["kind"].alias("kind"), _score(trees, p["x"]).alias("score")))
     reach = F.array(*[F.lit(t) for t in thresholds])
-    passed = F.filter(scored, lambda p: p["score"] >= F.get(reach, p["c"]["k"]))
-    better = lambda a, b: (a["score"] > b["score"]) | ((a["score"] == b["score"]) & ((a["c"]["start"] < b["c"]["start"]) | ((a["c"]["start"] == b["c"]["start"]) & (a["c"]["k"] < b["c"]["k"]))))
-    alone = let(passed, lambda ps: F.filter(ps, lambda p: ~F.exists(ps, lambda o: better(o, p) & clash(o["c"], p["c"]))))
-    return F.transform(alone, lambda p: F.struct(p["c"]["start"].alias("start"), p["c"]["k"].alias("k"), p["c"]["stop"].alias("stop"), p["c"]["kind"].alias("kind")))
+    passed = F.filter(scored, lambda p: p["score"] >= F.get(reach, p["k"]))
+    better = lambda a, b: (a["score"] > b["score"]) | ((a["score"] == b["score"]) & ((a["start"] < b["start"]) | ((a["start"] == b["start"]) & (a["k"] < b["k"]))))
+    alone = let(passed, lambda ps: _unclashed(ps, ps, better))
+    return F.transform(alone, lambda p: F.struct(p["start"].alias("start"), p["k"].alias("k"), p["stop"].alias("stop"), p["kind"].alias("kind")))
 
 
 def listed(spans: Column) -> Column:
