@@ -10,6 +10,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -47,6 +48,16 @@ def runs_of(batches: Iterator[pa.RecordBatch], key: str) -> Iterator[dict[str, n
         yield held
 
 
+def text_slices(column: pa.Array, chars: int = 4_000_000) -> Iterator[tuple[int, int]]:
+    """lo, hi of runs of texts of about so many bytes together (a longer text is a run of its own)."""
+    sizes = np.cumsum(pc.fill_null(pc.binary_length(column), 0).to_numpy(), dtype=np.int64)
+    lo = 0
+    while lo < len(column):
+        hi = max(lo + 1, int(np.searchsorted(sizes, (sizes[lo - 1] if lo else 0) + chars, "right")))
+        yield lo, hi
+        lo = hi
+
+
 _SLOT: list = [None, None]
 
 

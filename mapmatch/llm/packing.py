@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import parts_for, stored
+from .common import parts_for, stored, tidied
 from .tokens import Encoder
 
 #: Sequence numbers of a packing round: round, partition and bin side by side.
@@ -80,6 +80,7 @@ _PIECE_NAMES = [x.split()[0] for x in _PIECES.split(", ")]
 def pieces(documents: DataFrame, tokenizer: str, capacity: int = 4096, end_id: int = 1) -> DataFrame:
     """Token pieces of every document, with a number to deal them by that spreads repeated rows too."""
 
+    @tidied
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encoder, seen = Encoder.of(tokenizer), 0
         for batch in batches:

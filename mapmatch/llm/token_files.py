@@ -29,7 +29,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from .common import drop_stored, parts_for, shared_folder, stored
+from .common import drop_stored, parts_for, shared_folder, stored, tidied
 from .tokens import Encoder, word_level
 
 #: The first eight bytes of every shard.
@@ -98,6 +98,7 @@ def tokenize(documents: DataFrame, tokenizer: str, end_id: int) -> DataFrame:
     """
     kind = kind_of(tokenizer, end_id)
 
+    @tidied
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         encoder, total = Encoder.of(tokenizer), np.zeros(1 << 16, np.int64)
         for batch in batches:
@@ -158,6 +159,7 @@ def write(documents: DataFrame, tokenizer: str, folder: str, end_id: int = 2, sh
     sent = spark.sparkContext.broadcast(rank)  # four bytes an entry of the vocabulary, whatever the input
     shards = parts_for(sum(n for _, n in ranked), shard_tokens)
 
+    @tidied
     def save(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
@@ -202,6 +204,7 @@ def read(manifest: DataFrame, folder: str) -> DataFrame:
     ranked = [r["id"] for r in spark.read.parquet(f"{folder}/vocabulary").orderBy(F.desc("n"), "id").collect()]
     back = spark.sparkContext.broadcast(np.array(ranked, "<u4"))
 
+    @tidied
     def load(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for name, start in zip(batch.column("shard").to_pylist(), batch.column("start").to_pylist(), strict=True):

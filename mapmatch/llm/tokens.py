@@ -18,7 +18,7 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 
-from .common import worker_slot
+from .common import text_slices, worker_slot
 
 #: Pieces remembered by a worker (some 30 bytes each); characters encoded at once.
 KEEP, SLICE_CHARS = 400_000, 4_000_000
@@ -240,12 +240,8 @@ class Encoder:
     def slices(self, column: pa.Array, chars: int = SLICE_CHARS) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
         """lo, hi, ids, edges: the ids of texts lo to hi, those of text lo + i between edges i and i + 1. Null counts as empty."""
         column = pc.fill_null(column.cast(pa.string()), "")
-        sizes = np.cumsum(pc.binary_length(column).to_numpy(), dtype=np.int64)
-        lo = 0
-        while lo < len(column):
-            hi = max(lo + 1, int(np.searchsorted(sizes, (sizes[lo - 1] if lo else 0) + chars, "right")))
+        for lo, hi in text_slices(column, chars):
             yield lo, hi, *(self._by_words if self.by_word else self._by_texts)(column.slice(lo, hi - lo))
-            lo = hi
 
     def _by_texts(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         found = [e.ids for e in self.library.encode_batch_fast(texts.to_pylist(), add_special_tokens=False)]
