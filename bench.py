@@ -2,8 +2,8 @@
 
 Queries run to the noop sink after a warm-up, compile time of automata excluded, as the published figures exclude it.
 ``kernels`` holds symbols a second of one core over class ids in memory (map table, sequential table, speculation, the
-distinct maps a word touches) and build times. ``scaling`` runs words of $BENCH_SYMBOLS symbols (default 2**28) on Spark:
-seconds and speed-up over one task with the sequential table, by tasks at once, and a word of four times that size (1 GB)
+distinct maps a word touches) and build times. ``scaling`` runs words of $BENCH_SYMBOLS symbols (default 2**27) on Spark:
+seconds and speed-up over one task with the sequential table, by tasks at once, and a word of eight times that size (1 GB)
 by all tasks; text is cached first. ``small_inputs`` has seconds of both ways for growing words, job start and fold
 included, and the size from which two tasks stay ahead.
 """
@@ -61,7 +61,7 @@ def _kernels(compiled: dict) -> dict:
 def _experiments(spark, compiled: dict, cpus: int) -> dict:
     from mapmatch.operators.measure import parallel_seconds, repeated_word, scaling, small_inputs
 
-    size = int(os.environ.get("BENCH_SYMBOLS", 1 << 28))
+    size = int(os.environ.get("BENCH_SYMBOLS", 1 << 27))
     workers = [w for w in (1, 2, 4, 8, 12) if w <= cpus]
     found: dict = {"symbols": size}
     for name, period in (("r5", "1111177777"), ("r50", "1" * 50 + "7" * 50), ("r500", "1" * 500 + "7" * 500), ("ra500", "a")):
@@ -70,10 +70,10 @@ def _experiments(spark, compiled: dict, cpus: int) -> dict:
         rows = scaling(pieces, compiled[name], workers)
         found[name] = {"sequential_s": round(rows[0][1], 3), "by_workers": {str(w): {"s": round(s, 3), "speed_up": round(x, 2)} for w, s, x in rows[1:]}, "symbols_per_s": round(n / rows[-1][1])}
         pieces.unpersist()
-    giant = repeated_word(spark, "1111177777", 4 * size).repartition(cpus).cache()
+    giant = repeated_word(spark, "1111177777", 8 * size).repartition(cpus).cache()
     giant.count()
     s = parallel_seconds(giant, compiled["r5"], "maps", cpus, 1)
-    found["giant"] = {"symbols": 4 * size, "s": round(s, 3), "symbols_per_s": round(4 * size / s)}
+    found["giant"] = {"symbols": 8 * size, "s": round(s, 3), "symbols_per_s": round(8 * size / s)}
     giant.unpersist()
     rows, even = small_inputs(spark, compiled["alternating"], "0123456789", [100_000 * 4**i for i in range(6)])
     return {"scaling": found, "small_inputs": {"seconds": [[n, round(a, 4), round(b, 4)] for n, a, b in rows], "break_even": even}}
