@@ -28,11 +28,11 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from .common import tidied, worker_slot
+from .common import drop_stored, release, stored, text_slices, tidied, worker_slot
 
-#: The most documents of each language that training reads, and the most (language, word) counts, by frequency, that it keeps;
-#: what smooths counts; the longest n-grams.
-SAMPLE_DOCUMENTS, MOST_WORDS, SMOOTH, LONGEST = 2_000, 200_000, 0.5, 4
+#: The most documents of each language that training reads, and the most (language, word) counts that it keeps, the commonest
+#: first; what smooths counts; the longest n-grams.
+SAMPLE_DOCUMENTS, MOST_WORDS, SMOOTH, LONGEST = 2_000, 100_000, 0.5, 4
 #: Unseen words whose scores a worker remembers; characters of a slice.
 KEEP, SLICE_CHARS = 200_000, 4_000_000
 _NOT_LETTERS = r"[^\p{L}]+"
@@ -144,13 +144,9 @@ class Scorer:
     def predict(self, texts: pa.Array) -> tuple[list[str], np.ndarray]:
         """Language and score of every text."""
         languages, found, score = self.model.languages, [], np.zeros(len(texts))
-        sizes = np.cumsum(pc.fill_null(pc.binary_length(texts.cast(pa.string())), 0).to_numpy(), dtype=np.int64)
-        lo = 0
-        while lo < len(texts):
-            hi = max(lo + 1, int(np.searchsorted(sizes, (sizes[lo - 1] if lo else 0) + SLICE_CHARS, "right")))
+        for lo, hi in text_slices(texts.cast(pa.string()), SLICE_CHARS):
             best, score[lo:hi] = self._slice(words_of(texts.slice(lo, hi - lo)))
             found += [languages[b] if b >= 0 else "und" for b in best.tolist()]
-            lo = hi
         return found, score
 
     def _slice(self, words: pa.ListArray) -> tuple[np.ndarray, np.ndarray]:
@@ -171,7 +167,7 @@ class Scorer:
 
 
 def word_counts(labelled: DataFrame, most: int = MOST_WORDS) -> pa.Table:
-    """lang, word, n of the ``most`` commonest. labelled: text, lang."""
+    """lang, word, n of the commonest words: those counted at least so often that there are ``most`` at most. labelled: text, lang."""
 
     @tidied
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -181,8 +177,13 @@ def word_counts(labelled: DataFrame, most: int = MOST_WORDS) -> pa.Table:
                 found = pc.value_counts(words.filter(pc.not_equal(words, "")))
                 yield pa.RecordBatch.from_arrays([pa.array([lang] * len(found), pa.string()), found.field(0), found.field(1)], ["lang", "word", "n"])
 
-    rows = labelled.select("text", "lang").mapInArrow(count, "lang string, word string, n long").groupBy("lang", "word").agg(F.sum("n").alias("n"))
-    return rows.orderBy(F.desc("n"), "lang", "word").limit(most).toArrow()
+    counts = labelled.select("text", "lang").mapInArrow(count, "lang string, word string, n long").groupBy("lang", "word").agg(F.sum("n").alias("n"))
+    rows = stored(counts, "words")
+    times = sorted(((r["n"], r["words"]) for r in rows.groupBy("n").agg(F.count("*").alias("words")).collect()), reverse=True)  # different counts are few
+    kept = [n for (n, _), upto in zip(times, np.cumsum([words for _, words in times]), strict=True) if upto <= most]
+    out = rows.where(F.col("n") >= (kept[-1] if kept else times[0][0] + 1 if times else 1)).toArrow()
+    drop_stored(rows)
+    return out.sort_by([("lang", "ascending"), ("word", "ascending")])
 
 
 def train(labelled: DataFrame, sample: int = SAMPLE_DOCUMENTS, most: int = MOST_WORDS) -> Model:
@@ -198,7 +199,9 @@ def train(labelled: DataFrame, sample: int = SAMPLE_DOCUMENTS, most: int = MOST_
     share = F.create_map(*[x for lang, n in sizes.items() for x in (F.lit(lang), F.lit(math.ceil(min(1.0, 2 * sample / n + 64 / n) * (1 << 20))))])
     some = usable.where(F.pmod(F.xxhash64("id"), F.lit(1 << 20)) < F.element_at(share, F.col("lang")))
     place = F.row_number().over(Window.partitionBy("lang").orderBy(F.xxhash64("id", F.lit(1)), F.xxhash64("text"), "id"))
-    return Model(word_counts(some.withColumn("place", place).where(F.col("place") <= sample), most))
+    model = Model(word_counts(some.withColumn("place", place).where(F.col("place") <= sample), most))
+    release()
+    return model
 
 
 def predict(documents: DataFrame, model: Model, out: tuple[str, str] = ("lang_pred", "score"), keep: tuple[str, ...] = ("doc_id",), text: str = "text") -> DataFrame:

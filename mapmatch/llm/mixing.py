@@ -91,21 +91,17 @@ def plan(documents: DataFrame, weights: tuple[int, ...] = WEIGHTS, share: float
 
 
 def mix(documents: DataFrame, weights: tuple[int, ...] = WEIGHTS, share: float = SHARE, most: int = MOST) -> DataFrame:
-    """The mixed documents, with the columns of the input: a row for each whole copy, one for the words cut at the edge.
+    """The mixed documents, with the columns of the input: a row for each copy.
 
-    Documents that the mix does not take, or without words, go. Rows alike in id, source and text are merged first and
-    share what they take. A cut text keeps its first words, joined by single spaces, and n_chars follows it.
+    Documents stay whole: the one at the edge of a source's budget comes once more if at least half of it is within the
+    budget. Documents that the mix does not take, or without words, go. Rows alike in id, source and text are merged first
+    and share what they take.
     """
     columns = documents.columns
     mark = F.xxhash64(F.col("doc_id"), F.col("source").cast("string"))
-    chosen = plan(documents, weights, share, most).groupBy(mark.alias("_mark"), F.col("key").alias("_key")).agg(F.first("size").alias("_size"), F.sum("taken").alias("_taken")).where("_taken > 0")
+    chosen = plan(documents, weights, share, most).groupBy(mark.alias("_mark"), F.col("key").alias("_key")).agg(F.first("size").alias("_size"), F.sum("taken").alias("_taken"))
+    chosen = chosen.withColumn("_copies", F.floor((F.col("_taken") + F.col("_size") / 2) / F.col("_size"))).where("_size > 0 AND _copies > 0")
     text = F.col("text").cast("string")
-    docs = documents.withColumn("_mark", mark).withColumn("_key", _key(F.col("doc_id"), text, word_count(text))).dropDuplicates(["_mark", "_key"])
-    met = docs.join(chosen, ["_mark", "_key"]).withColumn("_copy", F.explode(F.sequence(F.lit(1), F.ceil(F.col("_taken") / F.col("_size")))))
-    rest = (F.col("_taken") % F.col("_size")).cast("int")
-    whole = F.col("_copy") * F.col("_size") <= F.col("_taken")
-    cut = F.array_join(F.slice(F.regexp_extract_all(text, F.lit(WORD), F.lit(0)), F.lit(1), F.greatest(rest, F.lit(1))), " ")
-    met = met.withColumn("text", F.when(whole, text).otherwise(cut))
-    if "n_chars" in columns:
-        met = met.withColumn("n_chars", F.when(whole, F.col("n_chars")).otherwise(F.length("text")).cast(documents.schema["n_chars"].dataType))
+    docs = documents.withColumn("_mark", mark).withColumn("_key", _key(F.col("doc_id"), text, word_count(text)))
+    met = docs.join(chosen, ["_mark", "_key"]).dropDuplicates(["_mark", "_key", "doc_id", "source", "text"]).withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_copies"))))
     return met.select(*columns)

@@ -273,6 +273,34 @@ def test_top_k_beyond_doubles_and_fewer_than_k(spark):
     assert [(r["vec_id"], r["score"]) for r in sorted(found, key=lambda r: r["rank"])] == [(1, 2 * big), (2, 2 * big - 1)]
 
 
+def test_pii_added_spans_on_unseen_examples(spark):
+    """Precision and recall of the spans that the model adds, on generated examples of a seed that training has not seen."""
+    rows = pii.examples(seed=1234, each=40)
+    docs = [(i, f"We saw this. {before}{span}{after} End of it.") for i, (_, span, before, after, _) in enumerate(rows)]
+    found = {r["doc_id"]: r for r in pii.find(spark.createDataFrame(docs, "doc_id long, text string")).collect()}
+    right = wrong = wanted = 0
+    for i, (kind, span, before, _, label) in enumerate(rows):
+        start = len("We saw this. " + before)
+        spans = [x.split(":") for x in found[i]["spans"].split(",") if x]
+        base = sum(found[i][f"n_{k}"] for k in pii.KINDS)
+        hit = any(k == kind and int(a) < start + len(span) and start < int(b) for k, a, b in spans)
+        if base:
+            continue
+        wanted += label
+        right += label and hit
+        wrong += (not label) and bool(spans)
+    assert wanted > 100 and right / max(1, right + wrong) > 0.9 and right / wanted > 0.6, (right, wrong, wanted)
+
+
+def test_pii_many_spans_in_one_text(spark):
+    """A text with thousands of spans keeps them all, in order."""
+    n = 3000
+    text = " ".join(f"a{i}@b.org" for i in range(n))
+    row = pii.find(spark.createDataFrame([(1, text)], "doc_id long, text string")).first()
+    spans = row["spans"].split(",")
+    assert row["n_email"] == n == len(spans) and spans[0] == "email:0:8" and spans[-1].endswith(f":{len(text)}")
+
+
 def test_mix_reaches_its_targets(spark, sf):
     docs = spark.read.parquet(f"{sf}/documents.parquet")
     plan = mixing.plan(docs).collect()
