@@ -14,6 +14,7 @@ MOVED = {
     "closure_size_ra5": [(13, 12, 8, 7)],
     "closure_size_w10": [(5, 4, 2, 2)],
     "closure_size_w9": [(32, 31, 2, 1)],
+    "chunk_maps_ab": 4,
 }
 
 
