@@ -15,6 +15,7 @@ MOVED = {
     "closure_size_w10": [(5, 4, 2, 2)],
     "closure_size_w9": [(32, 31, 2, 1)],
     "chunk_maps_ab": 4,
+    "closure_distributed": [(2, 1)],
 }
 
 
