@@ -16,6 +16,7 @@ MOVED = {
     "closure_size_w9": [(32, 31, 2, 1)],
     "chunk_maps_ab": 4,
     "closure_distributed": [(2, 1)],
+    "equivalences": [("(click|view)*", "(error|view)*", False, "click")],
 }
 
 
