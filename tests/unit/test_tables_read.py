@@ -18,6 +18,7 @@ MOVED = {
     "closure_distributed": [(2, 1)],
     "equivalences": [("(click|view)*", "(error|view)*", False, "click")],
     "fold_ab": [(1, "2024-01-01", 1, "1,2,2"), (1, "2024-01-02", 0, "0,2,2"), (2, "2024-01-01", 2, "2,2,2")],
+    "loop_sizes": 4,
 }
 
 
