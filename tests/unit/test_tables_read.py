@@ -20,6 +20,7 @@ MOVED = {
     "fold_ab": [(1, "2024-01-01", 1, "1,2,2"), (1, "2024-01-02", 0, "0,2,2"), (2, "2024-01-01", 2, "2,2,2")],
     "loop_sizes": 4,
     "map_blowup_sizes": [(2, 4), (3, 27)],
+    "map_table_ab": [("0,1,2", True), ("2,2,2", False)],
 }
 
 
