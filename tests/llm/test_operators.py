@@ -719,3 +719,37 @@ def test_pipeline_drops_planted_near_copies(spark, monkeypatch, common):
     assert apart  # near copies that fingerprints four bits apart do not find
     stage = dict(corpus_pipeline.STAGES)["simhash_near_dedup"]
     assert {r["doc_id"] for r in stage(spark, df, "").collect()} == want
+
+
+def test_near_copies_come_from_fingerprints_and_groups(spark, monkeypatch):
+    """Close fingerprints are searched first; then a group of texts alike below four fifths leaves as many links as texts, and blocks lose none."""
+    from mapmatch.llm import near_copies
+
+    rng = random.Random(5)
+    base = prose(rng, 300).split()
+    texts = []
+    for i in range(90):  # some thirty edits apart: alike by about two thirds, with a close copy of every third
+        copy = list(base)
+        for at in rng.sample(range(300), 6):
+            copy[at] = f"edit{i}x{at}"
+        texts += [" ".join(copy)] + ([" ".join([*copy, f"more{i}"])] if i % 3 == 0 else [])
+    df = spark.createDataFrame(list(enumerate(texts)), "node long, text string").repartition(3)
+    searched, candidates = [], []
+    search, meet = near_copies.fingerprint_links, near_copies._candidates
+    monkeypatch.setattr(near_copies, "fingerprint_links", lambda distinct: searched.append(distinct.count()) or search(distinct))
+    monkeypatch.setattr(near_copies, "_candidates", lambda rest: candidates.append(meet(rest)) or candidates[-1])
+    dropped = near_copies.drop_stored
+    monkeypatch.setattr(near_copies, "drop_stored", lambda df: None)
+    want = brute_near_copies(texts)
+
+    def left():
+        root = {r["node"]: r["root"] for r in near_copies.connected(near_copies.links(df)).collect()}
+        return {i for i in range(len(texts)) if root.get(i, i) == i}
+
+    assert left() == want and searched[0] > 50 and len(want) > 30
+    assert candidates[0].count() < 40 * len(texts)  # of some 7000 pairs
+    settle = near_copies._settled
+    monkeypatch.setattr(near_copies, "_settled", lambda texts, groups: settle(texts, groups, 7))
+    monkeypatch.setattr(near_copies, "_candidates", lambda rest: meet(rest, 5))
+    assert left() == want
+    assert dropped
