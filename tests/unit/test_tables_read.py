@@ -48,3 +48,10 @@ def test_moved_queries_follow_their_tables(spark, small, tmp_path, name):
     assert MOVED[name] in (want, len(want))
     with pytest.raises(Exception, match="PATH_NOT_FOUND"):
         QUERIES[name](spark, str(tmp_path)).collect()
+
+
+def test_size_reports_of_no_pattern(spark):
+    from mapmatch.operators import measure
+
+    rows = spark.createDataFrame([], "pattern_id int, family string, pattern string, mode string")
+    assert measure.corpus_sizes(rows, parts=2).collect() == []
